@@ -7,6 +7,8 @@ import importlib
 #: query name -> (module, function); modules load when a query is made.
 _WHERE = {
     "op4_bpe": "bpe",
+    "op7_langid": "langid",
+    "op8_decontaminate": "decontaminate",
 }
 SQL: dict[str, str] = {}
 

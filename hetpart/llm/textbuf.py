@@ -56,11 +56,11 @@ def powers(n: int, inverse: bool = False) -> np.ndarray:
     got = _powers.get(int(inverse))
     if got is None or len(got) < n:
         size = max(1 << 16, 1 << int(n - 1).bit_length())
-        base, got = (_PINV if inverse else _P), np.empty(size, np.uint64)
-        got[0], done, step = 1, 1, base
+        step, got = int(_PINV if inverse else _P), np.empty(size, np.uint64)
+        got[0], done = 1, 1
         while done < size:
-            got[done : 2 * done] = got[:done] * step
-            step, done = step * step, 2 * done
+            got[done : 2 * done] = got[:done] * np.uint64(step)
+            step, done = step * step % (1 << 64), 2 * done
         if size <= 1 << 22:
             _powers[int(inverse)] = got
     return got[:n]
