@@ -7,6 +7,7 @@ import importlib
 #: query name -> (module, function); modules load when a query is made.
 _WHERE = {
     "op4_bpe": "bpe",
+    "op5_toxicity": "toxicity",
     "op7_langid": "langid",
     "op8_decontaminate": "decontaminate",
 }
