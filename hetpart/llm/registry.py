@@ -6,6 +6,7 @@ import importlib
 
 #: query name -> (module, function); modules load when a query is made.
 _WHERE = {
+    "op2_quality_cnn": "quality_cnn",
     "op4_bpe": "bpe",
     "op5_toxicity": "toxicity",
     "op7_langid": "langid",
