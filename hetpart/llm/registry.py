@@ -11,6 +11,7 @@ _WHERE = {
     "op5_toxicity": "toxicity",
     "op7_langid": "langid",
     "op8_decontaminate": "decontaminate",
+    "op10_line_rules": "line_rules",
 }
 SQL: dict[str, str] = {}
 
