@@ -24,7 +24,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import fold, table
@@ -152,8 +152,9 @@ def learn_samples(labelled: DataFrame, lang: str = "lang", text: str = "text", r
         if kept is not None:
             yield kept
 
-    best = part.mapInPandas(least, "l string, h bigint, p array<string>").toPandas()
-    best = best.drop_duplicates("h").sort_values("h").groupby("l").head(rows)
+    some = part.mapInPandas(least, "l string, h bigint, p array<string>").dropDuplicates(["l", "h"])
+    rank = F.row_number().over(Window.partitionBy("l").orderBy("h"))
+    best = some.withColumn("r", rank).where(F.col("r") <= rows).toPandas().sort_values(["l", "h"])
     out = {}
     for name, group in best.groupby("l"):
         pieces = [x for r in range(4) for p in group["p"] for x in list(p)[r : r + 1]]
