@@ -9,6 +9,7 @@ _WHERE = {
     "op2_quality_cnn": "quality_cnn",
     "op4_bpe": "bpe",
     "op5_toxicity": "toxicity",
+    "op6_suffix_dedup": "suffix_dedup",
     "op7_langid": "langid",
     "op8_decontaminate": "decontaminate",
     "op10_line_rules": "line_rules",
