@@ -12,6 +12,7 @@ _WHERE = {
     "op6_suffix_dedup": "suffix_dedup",
     "op7_langid": "langid",
     "op8_decontaminate": "decontaminate",
+    "op9_near_dup": "near_dup",
     "op10_line_rules": "line_rules",
 }
 SQL: dict[str, str] = {}
