@@ -7,6 +7,7 @@ import importlib
 #: query name -> (module, function); modules load when a query is made.
 _WHERE = {
     "op2_quality_cnn": "quality_cnn",
+    "op3_pii": "pii",
     "op4_bpe": "bpe",
     "op5_toxicity": "toxicity",
     "op6_suffix_dedup": "suffix_dedup",
