@@ -30,6 +30,12 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="hetpart-checkpoint-"))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """A folder that driver and executors share, for tables that are written and read again."""
+    ensure_checkpoint_dir(spark)
+    return spark.sparkContext.getCheckpointDir()
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     ensure_checkpoint_dir(df.sparkSession)
     return df.checkpoint(eager=True)
@@ -37,7 +43,7 @@ def checkpointed(df: DataFrame) -> DataFrame:
 
 def plan_bytes(df: DataFrame) -> int:
     """The planner's estimate of a plan's size: of files, what they take on disk."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
 def fold(doc_id: str = "doc_id", parts: int = 5):
