@@ -6,6 +6,7 @@ import importlib
 
 #: query name -> (module, function); modules load when a query is made.
 _WHERE = {
+    "op1_tool_calls": "tool_calls",
     "op2_quality_cnn": "quality_cnn",
     "op3_pii": "pii",
     "op4_bpe": "bpe",
