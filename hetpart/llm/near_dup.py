@@ -8,13 +8,12 @@ documents that agree in a band are candidates.
 
 Equal word sequences are folded first, so copies are neither paired nor moved. In each
 bucket the least document is the hub and all others meet it (a star, not all pairs).
-Texts travel to their hubs compressed, a hub with many in salted parts, and weighted
-Jaccard similarity decides each link. Linked documents form classes (components).
-What a star may miss is made up for until nothing is left: while a bucket holds more
-than one class, the members outside its hub's class get another hub among themselves,
-and those that the triangle inequality of the Jaccard distance doesn't rule out also
-meet members of that class. Each pair of different texts that shares a bucket is thus
-compared, known to be in one class, or ruled out.
+Texts of candidates are kept compressed and travel to their hubs, a hub with many in
+salted parts; weighted Jaccard similarity decides each link. Linked documents form
+classes (components). What a star may miss is made up for: where a hub's members are of
+several classes, those outside the hub's class meet all members of other classes, in
+blocks of bounded size. So each pair of different texts that shares a bucket is compared
+or known to be in one class, and what moves is documents times blocks, not pairs.
 
 Defined results: a text without words is a class of its own, as is a null id (its class
 is null); a class's id is its least document id; equal rows share a class; ties don't
@@ -190,46 +189,83 @@ def signatures(docs: DataFrame, idf: np.ndarray, key: str, text: str) -> DataFra
 # ---------------------------------------------------------------- links
 
 
-def similarities(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, key: str, text: str) -> DataFrame:
-    """hub, id and similarity of each pair (hub, id, n_words of id).
-
-    A hub's pairs are dealt over parts by the words they bring; its own text goes to
-    each part. Each document's text moves once, compressed, and once more for each hub."""
-    parts = pairs.groupBy("hub").agg(F.ceil(F.sum("n_words") / PART_WORDS).cast("int").alias("parts"))
-    dealt = pairs.join(parts, "hub").select("hub", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int").alias("part"), "id")
-    own = parts.select("hub", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("hub").alias("id"))
-    wanted = dealt.unionByName(own)
+def squeezed(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """id and the compressed text of each row."""
     kind = docs.schema[key].dataType.simpleString()
 
-    def squeeze(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         z = zstandard.ZstdCompressor(level=3)
         for part, data, offsets in text_slices(batches, text):
             whole = data.tobytes()
             blobs = [z.compress(whole[a:b]) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index(key)), pa.array(blobs, pa.binary())], names=["id", "z"])
 
-    texts = docs.select(key, text).mapInArrow(squeeze, f"id {kind}, z binary")
+    return docs.select(key, text).mapInArrow(run, f"id {kind}, z binary")
+
+
+def _texts(blobs: list[bytes], idf: np.ndarray) -> Iterator[Shingles]:
+    """Shingles of documents in turn, a slice of bounded size at a time."""
+    z, held, size = zstandard.ZstdDecompressor(), [], 0
+    for blob in blobs:
+        held.append(z.decompress(blob))
+        size += len(held[-1])
+        if size >= SLICE:
+            yield Shingles(*_buffer(held), idf)
+            held, size = [], 0
+    if held:
+        yield Shingles(*_buffer(held), idf)
+
+
+def star_similarities(pairs: DataFrame, texts: DataFrame, idf: np.ndarray) -> DataFrame:
+    """hub, id and similarity of each pair (hub, id, n_words of id).
+
+    A hub's pairs are dealt over parts by the words they bring; its text goes to each."""
+    kind = pairs.schema["id"].dataType.simpleString()
+    parts = pairs.groupBy("hub").agg(F.ceil(F.sum("n_words") / PART_WORDS).cast("int").alias("parts"))
+    dealt = pairs.join(parts, "hub").select("hub", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int").alias("part"), "id")
+    own = parts.select("hub", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("hub").alias("id"))
 
     def compare(group: pa.Table) -> pa.Table:
-        z = zstandard.ZstdDecompressor()
-        ids, hub = group.column("id").to_numpy(), group.column("hub")[0].as_py()
-        _, once = np.unique(ids, return_index=True)  # a repeated row brings its text again
-        blobs = group.column("z")
-        mine = once[ids[once] == hub]
-        head = Shingles(*_buffer([z.decompress(blobs[int(mine[0])].as_py())]), idf).of(0) if len(mine) else (np.zeros(0, np.uint64), np.zeros(0, np.float32))
-        rest, got, held, size = once[ids[once] != hub], [], [], 0
-        for i in rest.tolist():
-            held.append(z.decompress(blobs[i].as_py()))
-            size += len(held[-1])
-            if size >= SLICE:
-                got.append(weighted_jaccard(head, Shingles(*_buffer(held), idf)))
-                held, size = [], 0
-        if held:
-            got.append(weighted_jaccard(head, Shingles(*_buffer(held), idf)))
-        sim = np.concatenate(got) if got else np.zeros(0)
-        return pa.Table.from_arrays([pa.array(np.full(len(rest), hub, ids.dtype)), pa.array(ids[rest]), pa.array(sim)], names=["hub", "id", "sim"])
-
-    return wanted.join(texts, "id").groupBy("hub", "part").applyInArrow(compare, f"hub {kind}, id {kind}, sim double")
+        ids, hub, blobs = group.column("id").to_numpy(), group.column("hub")[0].as_py(), group.column("z")
+        head = next(_texts([blobs[int(np.flatnonzero(ids == hub)[0])].as_py()], idf)).of(0)
+        rest = np.flatnonzero(ids != hub)
+        sim = [weighted_jaccard(head, sh) for sh in _texts([blobs[i].as_py() for i in rest.tolist()], idf)]
+        return pa.Table.from_arrays([pa.array(np.full(len(rest), hub, ids.dtype)), pa.array(ids[rest]), pa.array(np.concatenate(sim) if sim else np.zeros(0))], names=["hub", "id", "sim"])
+
+    return dealt.unionByName(own).join(texts, "id").groupBy("hub", "part").applyInArrow(compare, f"hub {kind}, id {kind}, sim double")
+
+
+def further_links(open_: DataFrame, texts: DataFrame, idf: np.ndarray, similarity: float) -> DataFrame:
+    """Links (a, b) between different classes of a hub's members: hub, id, n_words, class, out.
+
+    Members outside the hub's class (``out``) meet all members of other classes; a hub's
+    members are dealt over blocks by their words, the outer ones go to every block. Of an
+    outer member's links to one class in a block the first is enough."""
+    kind = open_.schema["id"].dataType.simpleString()
+    blocks = open_.groupBy("hub").agg(F.ceil(F.sum("n_words") / PART_WORDS).cast("int").alias("blocks"))
+    rows = open_.join(blocks, "hub")
+    inner = rows.select("hub", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int").alias("block"), "id", "class", F.lit(False).alias("pivot"))
+    outer = rows.where("out").select("hub", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "id", "class", F.lit(True).alias("pivot"))
+
+    def meet(group: pa.Table) -> pa.Table:
+        pivot = group.column("pivot").to_numpy(zero_copy_only=False)
+        ids, cls, blobs = group.column("id").to_numpy(), group.column("class").to_numpy(), group.column("z")
+        mine, other = np.flatnonzero(pivot), np.flatnonzero(~pivot)
+        heads = [sh.of(d) for sh in _texts([blobs[i].as_py() for i in mine.tolist()], idf) for d in range(len(sh.n_words))]
+        a, b, at = [], [], 0
+        for sh in _texts([blobs[i].as_py() for i in other.tolist()], idf):
+            here = other[at : at + len(sh.n_words)]
+            at += len(here)
+            for i, head in zip(mine.tolist(), heads, strict=True):
+                apart = cls[here] != cls[i]
+                if apart.any():
+                    hit = np.flatnonzero(apart & (weighted_jaccard(head, sh) >= similarity))
+                    hit = hit[np.unique(cls[here[hit]], return_index=True)[1]]
+                    a += [ids[i]] * len(hit)
+                    b += ids[here[hit]].tolist()
+        return pa.Table.from_arrays([pa.array(np.array(a, ids.dtype)), pa.array(np.array(b, ids.dtype))], names=["a", "b"])
+
+    return inner.unionByName(outer).join(texts, "id").groupBy("hub", "block").applyInArrow(meet, f"a {kind}, b {kind}")
 
 
 def _buffer(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -267,49 +303,27 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", si
     first = checkpointed(same.groupBy("h1", "h2", "n_words").agg(F.min("id").alias("id"), F.first("bands").alias("bands")))
     rows = first.select("id", "n_words", F.posexplode("bands").alias("band", "key"))
     hubs = rows.groupBy("band", "key").agg(F.min("id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    member = checkpointed(rows.join(hubs, ["band", "key"]).select("band", "key", "hub", "id", "n_words"))
-    done = pairs = member.where("hub <> id").select("hub", "id", "n_words").distinct()
-    known = checkpointed(similarities(pairs, docs, idf, key, text))
-    classes = components(known.where(F.col("sim") >= similarity).select(F.col("id").alias("a"), F.col("hub").alias("b")))
-    del done
-    while True:
-        more = _unsettled(member, known, classes, 1 - similarity)
-        new = checkpointed(more)
-        if new.isEmpty():
-            break
-        found = checkpointed(similarities(new, docs, idf, key, text))
-        known = checkpointed(known.unionByName(found))
-        links = found.where(F.col("sim") >= similarity)
-        if not links.isEmpty():
-            classes = components(links.select(F.col("id").alias("a"), F.col("hub").alias("b")).unionByName(classes.select(F.col("id").alias("a"), F.col("class").alias("b"))))
+    member = checkpointed(rows.join(hubs, ["band", "key"]).select("hub", "id", "n_words").distinct())
+    texts = squeezed(docs, key, text).join(member.select("id").distinct(), "id", "left_semi").groupBy("id").agg(F.first("z").alias("z"))
+    texts = checkpointed(texts)
+    star = star_similarities(member.where("hub <> id"), texts, idf).where(F.col("sim") >= similarity)
+    links = checkpointed(star.select(F.col("id").alias("a"), F.col("hub").alias("b")))
+    classes = components(links)
+    more = checkpointed(further_links(_open(member, classes), texts, idf, similarity))
+    if not more.isEmpty():
+        classes = components(more.unionByName(classes.select(F.col("id").alias("a"), F.col("class").alias("b"))))
     least = first.select("h1", "h2", "n_words", F.col("id").alias("rep")).join(classes.withColumnRenamed("id", "rep"), "rep", "left").select("h1", "h2", "n_words", F.coalesce("class", "rep").alias("class_id"))
     out = signed.select("id", "h1", "h2", "n_words").join(least, ["h1", "h2", "n_words"], "left")
     return out.select(F.col("id").alias(key), F.when(F.col("id").isNotNull(), F.coalesce("class_id", "id")).alias("class_id")).withColumn("is_kept", F.coalesce(F.col(key) == F.col("class_id"), F.lit(True)))
 
 
-def _unsettled(member: DataFrame, known: DataFrame, classes: DataFrame, reach: float) -> DataFrame:
-    """Pairs to compare next, a star in each bucket with several classes.
-
-    Each round a bucket's next pivot is its least member outside the hub's class that was
-    no pivot yet, and it meets all members of other classes that it hasn't met, unless
-    their distances to the hub differ by more than ``reach``."""
+def _open(member: DataFrame, classes: DataFrame) -> DataFrame:
+    """Members of the hubs whose members are of several classes, each with its class."""
     of = member.join(classes, "id", "left").withColumn("class", F.coalesce("class", "id"))
     head = classes.select(F.col("id").alias("hub"), F.col("class").alias("hub_class"))
-    of = of.join(head, "hub", "left").withColumn("hub_class", F.coalesce("hub_class", "hub"))
-    out = of.where("class <> hub_class")
-    # the pivots so far are the hubs of known pairs with the bucket's members
-    open_ = out.select("band", "key", "hub", "id", "n_words", "class")
-    met = known.select(F.col("hub").alias("p"), F.col("id").alias("q"), "sim")
-    far = met.select(F.col("p").alias("hub"), F.col("q").alias("id"), (1 - F.col("sim")).alias("d"))
-    open_ = open_.join(far, ["hub", "id"], "left").withColumn("d", F.coalesce("d", F.lit(0.0)))
-    bucket = of.join(open_.select("band", "key").distinct(), ["band", "key"], "left_semi").join(far, ["hub", "id"], "left").withColumn("d", F.coalesce("d", F.lit(0.0)))
-    tried = met.select(F.col("p").alias("pivot")).distinct()
-    fresh = open_.join(tried, F.col("id") == F.col("pivot"), "left_anti")
-    pivot = fresh.groupBy("band", "key").agg(F.min(F.struct("id", "class", "d")).alias("x")).select("band", "key", F.col("x.id").alias("pivot"), F.col("x.class").alias("pivot_class"), F.col("x.d").alias("pivot_d"))
-    pairs = bucket.join(pivot, ["band", "key"]).where((F.col("class") != F.col("pivot_class")) & (F.abs(F.col("d") - F.col("pivot_d")) <= reach) & (F.col("id") != F.col("pivot")))
-    pairs = pairs.select(F.col("pivot").alias("hub"), "id", "n_words").distinct()
-    seen = met.select(F.col("p").alias("hub"), F.col("q").alias("id")).unionByName(met.select(F.col("q").alias("hub"), F.col("p").alias("id")))
-    return pairs.join(seen, ["hub", "id"], "left_anti")
+    of = of.join(head, "hub", "left").withColumn("out", F.col("class") != F.coalesce("hub_class", "hub")).drop("hub_class")
+    several = of.groupBy("hub").agg(F.max("out").alias("several"), F.count(F.lit(1)).alias("n")).where("several AND n > 2").select("hub")
+    return of.join(several, "hub", "left_semi")
 
 
 def op9_near_dup(spark, sf_dir: str) -> DataFrame:
