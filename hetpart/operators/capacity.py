@@ -39,7 +39,7 @@ def waterfill(t: DataFrame, edges: int) -> DataFrame:
     that of the first machine which the shared level doesn't overflow."""
     w = Window.orderBy(F.col("cost") * F.col("cap"), "machine")
     s = t.withColumn("full", F.coalesce(F.sum("cap").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))).withColumn("speed", F.sum(1 / F.col("cost")).over(w.rowsBetween(0, Window.unboundedFollowing)))
-    level = s.withColumn("level", (edges - F.col("full")) / F.col("speed")).where(F.col("level") <= F.col("cost") * F.col("cap") * (1 + 1e-12)).agg(F.min("level").alias("level"))
+    level = s.withColumn("level", (edges - F.col("full")) / F.col("speed")).where(F.col("level") <= F.col("cost") * F.col("cap") * (1 + 1e-12)).agg(F.min_by("level", F.struct(F.col("cost") * F.col("cap"), "machine")).alias("level"))
     return t.crossJoin(F.broadcast(level)).select("machine", F.least("cap", F.col("level") / F.col("cost")).alias("amount"), "level")
 
 

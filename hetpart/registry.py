@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-SQL: dict[str, str] = {}
+from .plans import core, experiments, relational, streams
+
+QUERIES: dict = {**core.QUERIES, **relational.QUERIES, **streams.QUERIES, **experiments.QUERIES}
+SQL: dict[str, str] = {**core.SQL, **relational.SQL, **streams.SQL, **experiments.SQL}
 FLAGSHIP = "method_full"
