@@ -156,8 +156,8 @@ def star(spark, n: int) -> DataFrame:
 
 
 def clique(spark, n: int) -> DataFrame:
-    v = spark.range(n)
-    return v.select(F.col("id").alias("src"), F.explode(F.sequence(F.col("id") + 1, F.lit(n - 1).cast("long"))).alias("dst")).where("src < dst") if n > 1 else v.selectExpr("id AS src", "id AS dst").limit(0)
+    v = spark.range(max(0, n - 1))
+    return v.select(F.col("id").alias("src"), F.explode(F.sequence(F.col("id") + 1, F.lit(n - 1).cast("long"))).alias("dst"))
 
 
 #: Quadrant shares of the R-MAT model in thousandths, and edges a vertex.
