@@ -27,18 +27,13 @@ from pyspark.sql import functions as F
 from .common import checkpointed, table
 
 SPACE = "[\\x20\\x09-\\x0D]"  # fixed value
-BLANKS, SYMBOLS = " \t\n\x0b\f\r", "#*$%&|<>"  # fixed values
+SYMBOLS = "[#*$%&|<>]"  # fixed value
 MAX_DOCS, MIN_KEPT, MIN_WORDS = 20, 0.5, 50
 BROADCAST_ROWS = 100_000
 #: Up to this many different repeated windows a lookup in the array is the cheaper way.
 FEW = 24
 
 
-def removed_chars(text: Column, chars: str) -> Column:
-    """How many code points of a text are among the characters."""
-    return F.char_length(text) - F.char_length(F.translate(text, chars, ""))
-
-
 def word_array(text: Column) -> Column:
     return F.filter(F.split(text, f"{SPACE}+"), lambda w: w != "")
 
@@ -65,19 +60,21 @@ def with_base_rules(docs: DataFrame, text: str = "text") -> DataFrame:
     lines = F.filter(F.split("_t", "\n", -1), lambda x: x.rlike("[^\\x20\\x09-\\x0D]"))
     df = df.withColumn("_l", lines)
     n, rep = F.col("_n").cast("long"), F.when(F.size("_at") == 0, F.lit(0)).otherwise(cover).cast("long")
-    df = df.select(*docs.columns, n.alias("n_words"), (F.char_length("_t") - removed_chars(F.col("_t"), BLANKS)).cast("long").alias("word_chars"), removed_chars(F.col("_t"), SYMBOLS).cast("long").alias("n_symbols"), (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long").alias("n_dup_lines"), rep.alias("n_repeat_words"))
+    df = df.select(*docs.columns, n.alias("n_words"), F.char_length(F.array_join("_w", "")).cast("long").alias("word_chars"), (F.char_length("_t") - F.char_length(F.regexp_replace("_t", SYMBOLS, ""))).cast("long").alias("n_symbols"), (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long").alias("n_dup_lines"), rep.alias("n_repeat_words"))
     return df.withColumn("base_failed", (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
 
 
-def normalised(line: Column) -> Column:
-    return F.trim(F.regexp_replace(F.regexp_replace(F.lower(line), "[0-9]", "0"), "\\s+", " "))
+def normalised(text: Column) -> Column:
+    """The whole text at once: lower case, digits as 0, runs of blanks as one; lines stay."""
+    digits = F.when(text.rlike("[1-9]"), F.regexp_replace(F.lower(text), "[1-9]", "0")).otherwise(F.lower(text))
+    return F.regexp_replace(digits, "[\\x20\\x09\\x0B-\\x0D]{2,}|[\\x09\\x0B-\\x0D]", " ")
 
 
 def line_hashes(docs: DataFrame, host: str, text: str) -> DataFrame:
-    """Adds _h (hash of the text) and _lines: (hash with host, characters) of each line."""
+    """Adds _h (hash of the text) and _lines: (hash with host, word characters) of each line."""
     t = F.coalesce(F.col(text), F.lit(""))
-    rows = F.filter(F.split(t, "\n", -1), lambda x: x.rlike("[^\\x20\\x09-\\x0D]"))
-    return docs.withColumn("_h", F.xxhash64(t)).withColumn("_lines", F.transform(rows, lambda x: F.struct(F.xxhash64(F.col(host), normalised(x)).alias("k"), (F.char_length(x) - removed_chars(x, BLANKS)).alias("c"))))
+    rows = F.filter(F.transform(F.split(normalised(t), "\n", -1), lambda x: F.trim(x)), lambda x: x != "")
+    return docs.withColumn("_h", F.xxhash64(t)).withColumn("_lines", F.transform(rows, lambda x: F.struct(F.xxhash64(F.col(host), x).alias("k"), F.char_length(F.replace(x, F.lit(" "), F.lit(""))).alias("c"))))
 
 
 def frequent_lines(hashed: DataFrame, max_docs: int = MAX_DOCS) -> DataFrame:
@@ -98,17 +95,19 @@ def judge(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str
     out = base.join(hits, F.col(key).eqNullSafe(F.col("_key")), "left").drop("_key")
     gone = F.coalesce(F.col("c"), F.lit(0).cast("long"))
     out = out.withColumn("boilerplate_chars", gone).drop("c")
-    keep = ~F.col("base_failed") & (F.col("boilerplate_chars") <= (1 - min_kept) * F.col("word_chars"))
-    return out.withColumn("kept", keep)
+    # one comparison over both: split in two, a filter on it would move below the base
+    # rules' projections and repeat their expressions
+    depleted = F.col("boilerplate_chars") > (1 - min_kept) * F.col("word_chars")
+    return out.withColumn("kept", F.col("base_failed").cast("int") + depleted.cast("int") == 0)
 
 
 def cleaned(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str = "text", max_docs: int = MAX_DOCS, min_kept: float = MIN_KEPT) -> DataFrame:
     """The documents that stay, without their boilerplate lines: for callers that filter."""
-    verdict = judge(docs, key, host, text, max_docs, min_kept)
+    verdict = checkpointed(judge(docs, key, host, text, max_docs, min_kept))
     hashed = line_hashes(docs.select(key, host, text), host, text)
     common = checkpointed(frequent_lines(hashed, max_docs))
     flat = docs.where(F.col(text).isNotNull()).select(key, host, F.posexplode(F.split(text, "\n", -1)).alias("i", "line"))
-    flat = flat.withColumn("k", F.xxhash64(F.col(host), normalised(F.col("line"))))
+    flat = flat.withColumn("k", F.xxhash64(F.col(host), F.trim(normalised(F.col("line")))))
     stay = flat.join(common.withColumn("_bad", F.lit(True)), "k", "left").where(F.col("_bad").isNull() | ~F.col("line").rlike("[^\\x20\\x09-\\x0D]"))
     whole = stay.groupBy(F.col(key).alias("_key")).agg(F.sort_array(F.collect_list(F.struct("i", "line"))).alias("a")).select("_key", F.array_join(F.transform("a", lambda x: x["line"]), "\n").alias("_text"))
     out = docs.join(verdict.where("kept").select(F.col(key).alias("_ok")), F.col(key) == F.col("_ok")).drop("_ok").join(whole, F.col(key) == F.col("_key"), "left").drop("_key")
