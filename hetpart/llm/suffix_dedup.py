@@ -43,8 +43,8 @@ from .textbuf import covered, mix, powers, prefix_sums, ragged, run_hashes, text
 LENGTH, GRAM, SHALLOW = 50, 16, 16
 GRAMS = LENGTH - GRAM + 1  # grams of a string
 #: Text that a task gathers before it sends; input on disk for each bucket.
-FLUSH_BYTES, BUCKET_BYTES, MAX_BUCKETS = 24_000_000, 4_000_000, 200_000
-WINDOWS_AT_ONCE = 1_500_000
+FLUSH_BYTES, BUCKET_BYTES, MAX_BUCKETS = 16_000_000, 4_000_000, 200_000
+WINDOWS_AT_ONCE = 500_000
 NULL_ID = np.iinfo(np.int64).min
 
 
@@ -314,7 +314,7 @@ def removed_ranges(docs: DataFrame, buckets: int, key: str = "doc_id", text: str
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out = Sender(buckets)
-        for part, data, offsets in text_slices(batches, text):
+        for part, data, offsets in text_slices(batches, text, 1_000_000):
             out.add(_ids(part, key), data, offsets)
             if out.size >= FLUSH_BYTES:
                 yield from _rows(out.flush())
@@ -387,14 +387,16 @@ def bucket_count(docs: DataFrame) -> int:
 def _finish(key: str, texts: bool):
     def finish(ids, data, offsets, gone) -> pa.Table:
         n = np.diff(offsets)
-        total = np.concatenate([[0], np.cumsum(gone)])
+        total = np.zeros(len(gone) + 1, np.int32 if len(gone) < 2**31 else np.int64)
+        np.cumsum(gone, out=total[1:])
         removed = total[offsets[1:]] - total[offsets[:-1]]
         begin = gone.copy()
         begin[1:] &= ~gone[:-1]
         inner = offsets[1:-1]
         inner = inner[inner < len(gone)]
         begin[inner] = gone[inner]
-        spans = np.concatenate([[0], np.cumsum(begin)])
+        spans = np.zeros_like(total)
+        np.cumsum(begin, out=spans[1:])
         spans = spans[offsets[1:]] - spans[offsets[:-1]]
         kept, at = data[~gone].tobytes(), offsets - total[offsets]
         pieces = [kept[a:b] for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]

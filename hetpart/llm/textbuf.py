@@ -122,8 +122,10 @@ def ragged(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
 
 def covered(starts: np.ndarray, ends: np.ndarray, n: int) -> np.ndarray:
     """Boolean of length n: positions inside any of the ranges [start, end)."""
-    edge = np.bincount(starts, minlength=n + 1) - np.bincount(ends, minlength=n + 1)
-    return np.cumsum(edge[:n]) > 0
+    edge = np.zeros(n + 1, np.int32)
+    np.add.at(edge, starts, 1)
+    np.add.at(edge, ends, -1)
+    return np.cumsum(edge[:n], dtype=np.int32) > 0
 
 
 #: Lower-cased ASCII; the word bytes of the benchmark contract: digits, a-z and all of other alphabets.
