@@ -48,8 +48,9 @@ _ASCII = bytes(b if b >= 128 or 97 <= b <= 122 else 32 for b in range(256))
 class Automaton:
     """Suffix automaton of a byte string as a dense table.
 
-    table[state * classes + class] is the next state; with MISS set, no such string is
-    in the sample: a phrase ends and the state is the one after that byte alone."""
+    table[state * classes + class] is the next state; with MISS set the byte begins a
+    phrase: no such string is in the sample, and the state is the one after that byte
+    alone (the root, if the sample lacks it)."""
 
     def __init__(self, sample: bytes):
         seen = sorted(set(sample))
@@ -89,6 +90,7 @@ class Automaton:
         rows = np.fromiter((i * self.classes + c for i, m in enumerate(nxt) for c in m), np.int64)
         to = np.fromiter((s for m in nxt for s in m.values()), np.int64)
         out[rows] = (to * self.classes).astype(np.int32)
+        out[: self.classes] |= MISS  # at the root every byte begins a phrase
         self.table = out
 
     def phrases(self, blocks: np.ndarray, lengths: np.ndarray) -> np.ndarray:
@@ -103,7 +105,7 @@ class Automaton:
             got = self.table[state[:m] + cls[k, :m]]
             count[:m] += got >> 30
             state[:m] = got & low
-        return count + (lengths > 0)
+        return count
 
 
 class Model:
