@@ -93,7 +93,9 @@ class Net:
         z = mean @ p["mean"] + top @ p["top"] + p["out"]
         d = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) * w / w.sum()
         dh = (d / lay.chunks)[lay.doc, None] * p["mean"][None]
-        dh = dh + np.where(h == top[lay.doc], d[lay.doc, None] * p["top"][None], 0)
+        first = h == top[lay.doc]
+        first = first / np.add.reduceat(first, lay.begin, axis=0, dtype=h.dtype)[lay.doc]  # equal chunks share
+        dh = dh + first * d[lay.doc, None] * p["top"][None]
         dbest = np.zeros_like(best)
         for k in range(CHUNK):  # each chunk's response came from the strip that equals it
             s = np.minimum(lay.start + k, lay.end - 1)
