@@ -14,7 +14,7 @@ Learning uses a bounded sample: ``SAMPLE`` labelled rows of each class with the
 hashes of their ids, weighted back to the classes' shares. Labels are sampled before
 they meet the documents, so texts are never shuffled. Scoring is narrow.
 
-Defined results: null and empty texts have no feature and get the models' base rate;
+Defined results: null and empty texts have no feature, and texts without features are learned to be clean;
 without usable labels every score is 0; repeated rows each give a row; labels of absent
 documents and null labels teach nothing; extra columns are kept where asked for.
 """
@@ -184,7 +184,11 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
     dense, repeated = toxic * (leads * 100 >= np.maximum(got.n, 1)), toxic * (leads >= 3)
     y = np.stack([dense, repeated, toxic], 1).astype(np.float32)
     w = np.where(toxic > 0, share.get(1, 0) / max(1, (toxic > 0).sum()), share.get(0, 0) / max(1, (toxic == 0).sum())).astype(np.float32)
-    part = np.arange(len(got)) % FOLDS
+    # a text without any feature is no toxic one: rows of zeros say so, with a small weight
+    blank = 2 * FOLDS
+    x, y = np.vstack([x, np.zeros((blank, FEATURES), np.float32)]), np.vstack([y, np.zeros((blank, y.shape[1]), np.float32)])
+    w = np.append(w, np.full(blank, 0.02 * w.sum() / blank)).astype(np.float32)
+    part = np.arange(len(x)) % FOLDS
     weights, threshold = fit_chain(x, y, w, part)
     return Chain(lut, weights, CATEGORIES, threshold)
 
