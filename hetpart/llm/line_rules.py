@@ -89,9 +89,10 @@ def judge(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str
     base = with_base_rules(docs.select(key, text)).drop(text)
     hashed = line_hashes(docs.select(key, host, text), host, text)
     common = checkpointed(frequent_lines(hashed, max_docs))
-    lines = hashed.select(F.col(key).alias("_key"), F.explode("_lines").alias("x")).select("_key", "x.k", "x.c")
+    lines = hashed.select(F.col(key).alias("_key"), F.posexplode("_lines").alias("i", "x")).select("_key", "i", "x.k", "x.c")
     goal = F.broadcast(common) if common.count() <= broadcast_rows else common
-    hits = lines.join(goal, "k").groupBy("_key").agg(F.sum("c").alias("c"))
+    hits = lines.join(goal, "k").groupBy("_key").agg(F.collect_set(F.struct("i", "c")).alias("a"))  # lines of one document; a repeated row adds none
+    hits = hits.select("_key", F.aggregate("a", F.lit(0).cast("long"), lambda s, x: s + x["c"]).alias("c"))
     out = base.join(hits, F.col(key).eqNullSafe(F.col("_key")), "left").drop("_key")
     gone = F.coalesce(F.col("c"), F.lit(0).cast("long"))
     out = out.withColumn("boilerplate_chars", gone).drop("c")
