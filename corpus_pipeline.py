@@ -18,11 +18,16 @@ from hetpart.llm.common import shared_folder, table
 ORACLE_SQL = None
 
 
+def boxed(docs: DataFrame) -> DataFrame:
+    """text, and the whole row as ``_doc``: it passes through an operator as its key."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"), "text")
+
+
 def toxic_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier chain takes as toxic go. It learns from the labels of
     the documents that are here."""
     chain = toxicity.train(docs, table(spark, sf_dir, "labels"))
-    return toxicity.score(docs, chain, docs.columns).where(~F.col("is_toxic")).select(*docs.columns)
+    return toxicity.score(boxed(docs), chain, ["_doc"]).where(~F.col("is_toxic")).select("_doc.*")
 
 
 def near_copies_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -35,8 +40,8 @@ def near_copies_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def benchmark_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a window of a benchmark item go."""
-    verdict = decontaminate.contamination(docs, table(spark, sf_dir, "benchmark")).where("contaminated").select(F.col("doc_id").alias("_id"))
-    return docs.join(verdict, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti").select(*docs.columns)
+    verdict = decontaminate.contamination(boxed(docs), table(spark, sf_dir, "benchmark"), key="_doc")
+    return verdict.where(~F.col("contaminated")).select("_doc.*")
 
 
 def personal_data_masked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -165,11 +165,6 @@ def term_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", alpha:
     return one.groupBy(F.col(key).alias("_key")).agg(F.sort_array(F.collect_list(F.struct("s", "e", "generalise"))).alias("_terms"))
 
 
-def with_all_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:
-    terms = term_spans(docs, key, text, **limits)
-    return docs.join(terms, F.col(key).eqNullSafe(F.col("_key")), "left").drop("_key")
-
-
 def findings(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:
     """Counts and span lists of each document. Texts stay where they are read."""
     base = with_base_spans(docs.select(key, text), text)
@@ -182,8 +177,10 @@ def findings(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits)
 
 def sanitised(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:
     """The documents with base spans masked and disclosing terms generalised or removed."""
-    columns = docs.columns
-    df = with_base_spans(with_all_spans(docs, key, text, **limits), text)
+    # extra columns travel in one struct, so their names can't clash with those here
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"), F.col(key).alias("_id"), F.col(text).alias("_text"))
+    terms = term_spans(rows.select("_id", "_text"), "_id", "_text", **limits)
+    df = with_base_spans(rows.join(terms, F.col("_id").eqNullSafe(F.col("_key")), "left").drop("_key"), "_text")
     kind = "array<struct<s:int,e:int,put:string>>"
     marks = [F.transform(f"_{k}", _mask(k)) for k, *_ in KINDS]
     words = F.transform(F.coalesce("_terms", F.array().cast("array<struct<s:int,e:int,generalise:boolean>>")), lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), F.when(x["generalise"], F.concat(F.substring(F.col("_t"), x["s"] + 1, F.lit(HEAD)), F.lit("*"))).otherwise(F.lit("[TERM]")).alias("put")))
@@ -198,7 +195,8 @@ def sanitised(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits
     def close(acc: Column) -> Column:
         return F.concat(F.array_join(acc["out"], ""), F.substring(F.col("_t"), acc["pos"] + 1, F.lit(2**31 - 1)))
 
-    return df.withColumn(text, F.when(F.size("_marks") == 0, F.col(text)).otherwise(F.aggregate("_marks", zero, step, close))).select(*columns)
+    new = F.when(F.size("_marks") == 0, F.col("_text")).otherwise(F.aggregate("_marks", zero, step, close))
+    return df.select("_doc", new.alias("_new")).select(*[F.col("_new").alias(c) if c == text else F.col("_doc").getField(c).alias(c) for c in docs.columns])
 
 
 def op3_pii(spark, sf_dir: str) -> DataFrame:
