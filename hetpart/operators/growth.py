@@ -23,10 +23,17 @@ class GrowthConfig:
     memory_guard: bool = True
 
 
+#: A vertex of so many edges or fewer is handled edge by edge.
+FEW = 48
+
+
 class Block:
-    """Edges of one group with adjacency; edge i joins a[i] and b[i] (compressed ids)."""
+    """Edges of one group with adjacency; edge i joins a[i] and b[i] (compressed ids).
 
-    def __init__(self, src: np.ndarray, dst: np.ndarray):
+    direction: 'both', or 'out' / 'in' for arcs, where growth only follows arcs from (to)
+    the core; edges between covered vertices are taken whatever way they point."""
+
+    def __init__(self, src: np.ndarray, dst: np.ndarray, direction: str = "both"):
         order = np.lexsort((dst, src))
         self.src, self.dst = src[order], dst[order]
         self.ids, flat = np.unique(np.concatenate([self.src, self.dst]), return_inverse=True)
@@ -36,14 +43,17 @@ class Block:
         o = np.lexsort((other, ends))
         self.nbr, self.eid = other[o], eid[o]
         self.ptr = np.searchsorted(ends[o], np.arange(len(self.ids) + 1))
+        self.ptr_list = self.ptr.tolist()
         self.free = np.ones(m, np.bool_)
         self.degree = np.diff(self.ptr).astype(np.int64)
-
-    def around(self, v: int) -> tuple[np.ndarray, np.ndarray]:
-        """Free neighbours of a vertex and the edges to them."""
-        e = self.eid[self.ptr[v] : self.ptr[v + 1]]
-        k = self.free[e]
-        return self.nbr[self.ptr[v] : self.ptr[v + 1]][k], e[k]
+        self.nbr, self.eid = np.ascontiguousarray(self.nbr, np.int64), np.ascontiguousarray(self.eid, np.int64)
+        if direction == "both":
+            self.reach = (self.ptr_list, memoryview(self.nbr), memoryview(self.eid), self.nbr, self.eid)
+        else:
+            ends, other = (self.a, self.b) if direction == "out" else (self.b, self.a)
+            o = np.lexsort((other, ends))
+            near, edge = np.ascontiguousarray(other[o], np.int64), o.astype(np.int64)
+            self.reach = (np.searchsorted(ends[o], np.arange(len(self.ids) + 1)).tolist(), memoryview(near), memoryview(edge), near, edge)
 
 
 class Seeds:
@@ -60,7 +70,7 @@ class Seeds:
             self.heap = [(sign * int(d), int(x)) for d, x in zip(block.degree, v, strict=True)]
         heapq.heapify(self.heap)
 
-    def next(self, done: np.ndarray) -> int | None:
+    def next(self, done) -> int | None:
         sign = -1 if self.policy == "max_degree" else 1
         aside, found = [], None
         while self.heap:
@@ -82,52 +92,100 @@ class Seeds:
 
 def grow_one(block: Block, cap: int, border: np.ndarray, seeds: Seeds, cfg: GrowthConfig, room: float = np.inf, m_node: float = 1.0, m_edge: float = 2.0) -> np.ndarray:
     """Edges of one partition in the order they were taken; stops exactly at cap, or where
-    the next edge wouldn't fit in memory. Adds the partition's frontier to the border."""
+    the next edge wouldn't fit in memory. Adds the partition's frontier to the border.
+
+    Vertices of few edges are handled one edge at a time, hubs by whole arrays: flags and
+    counts live in buffers that plain Python and numpy both see."""
     n = len(block.ids)
-    covered, core, touched = np.zeros(n, np.bool_), np.zeros(n, np.bool_), np.zeros(n, np.bool_)
-    outside, whole = block.degree.copy(), block.degree.copy()
+    covered, core, touched = bytearray(n), bytearray(n), bytearray(n)
+    see = lambda x: np.frombuffer(x, np.bool_)
+    covered_, core_, touched_ = see(covered), see(core), see(touched)
+    outside_ = block.degree.copy()
+    outside, degree, free, edge_of, other = memoryview(outside_), memoryview(block.degree), memoryview(block.free.view(np.uint8)), memoryview(block.eid), memoryview(block.nbr)
+    # priority = a1 * outside - pull, with pull fixed while this partition grows
+    a1 = 1 + cfg.alpha
+    pull = memoryview((cfg.alpha + cfg.beta * border) * block.degree)
+    ptr, best = block.ptr_list, cfg.order == "best"
     line: deque[int] = deque()
     heap: list[tuple[float, int]] = []
-    taken: list[np.ndarray] = []
-    count, used = 0, 0.0
-    a1, alpha, beta = 1 + cfg.alpha, cfg.alpha, cfg.beta
-    full = False
-
-    def cover(y: int) -> None:
-        nonlocal count, used, full
-        covered[y] = True
-        near, edge = block.around(y)
-        inner = covered[near]
-        near_in, edge_in = near[inner], edge[inner]
-        if len(edge_in):
-            take = min(len(edge_in), cap - count)
-            if np.isfinite(room):
-                grown = used + m_edge * np.arange(1, take + 1) + m_node * (np.cumsum(~touched[near_in[:take]]) + (not touched[y]))
+    taken: list[int] = []
+    arrays: list[np.ndarray] = []
+    bounded, used, count, full = np.isfinite(room), 0.0, 0, False
+    push = heapq.heappush
+
+    def cover_few(y: int, lo: int, hi: int) -> None:
+        nonlocal used, count, full
+        mine = 0
+        for k in range(lo, hi):
+            e = edge_of[k]
+            if not free[e]:
+                continue
+            v = other[k]
+            outside[v] -= 1
+            if not covered[v] or v == y:
+                continue
+            if not full:
+                grown = used
+                if bounded:
+                    grown += m_edge + m_node * ((not touched[v]) + (not touched[y]))
+                if grown > room + 1e-9:
+                    full = True
+                else:
+                    used, free[e] = grown, 0
+                    touched[v] = touched[y] = 1
+                    degree[v] -= 1
+                    mine += 1
+                    taken.append(e)
+                    count += 1
+                    full = count >= cap
+            if best and not core[v]:
+                push(heap, (a1 * outside[v] - pull[v], v))
+        degree[y] -= mine
+
+    def cover_many(y: int, lo: int, hi: int) -> None:
+        nonlocal used, count, full, taken
+        e, v = block.eid[lo:hi], block.nbr[lo:hi]
+        k = block.free[e]
+        e, v = e[k], v[k]
+        outside_[v] -= 1
+        k = covered_[v]
+        e, v = e[k], v[k]
+        if len(e):
+            take = min(len(e), cap - count)
+            if bounded:
+                grown = used + m_edge * np.arange(1, take + 1) + m_node * (np.cumsum(~touched_[v[:take]]) + (not touched[y]))
                 take = int(np.searchsorted(grown, room + 1e-9, "right"))
                 used = float(grown[take - 1]) if take else used
-            e = edge_in[:take]
             if take:
-                touched[near_in[:take]] = True
-                touched[y] = True
-                block.free[e] = False
-                np.subtract.at(block.degree, near_in[:take], 1)
-                block.degree[y] -= take
-                taken.append(e)
+                own = v[:take]
+                touched_[own] = True
+                touched[y] = 1
+                block.free[e[:take]] = False
+                block.degree[own] -= 1
+                degree[y] -= take
+                arrays.append(np.array(taken, np.int64))
+                arrays.append(e[:take])
+                taken = []
                 count += take
-            full = count >= cap or take < len(edge_in)
-        outside[near] -= 1
-        if cfg.order != "best":
+            full = count >= cap or take < len(e)
+        if best:
+            for u in v[~core_[v]].tolist():
+                push(heap, (a1 * outside[u] - pull[u], u))
+
+    def cover(y: int) -> None:
+        covered[y] = 1
+        lo, hi = ptr[y], ptr[y + 1]
+        (cover_few if hi - lo <= FEW else cover_many)(y, lo, hi)
+        if best:
+            push(heap, (a1 * outside[y] - pull[y], y))
+        else:
             line.append(y)
-            return
-        for v in near_in[~core[near_in]].tolist():
-            heapq.heappush(heap, (a1 * outside[v] - (alpha + beta * border[v]) * whole[v], v))
-        heapq.heappush(heap, (a1 * outside[y] - (alpha + beta * border[y]) * whole[y], y))
 
     def pick() -> int | None:
-        if cfg.order == "best":
+        if best:
             while heap:
                 key, v = heapq.heappop(heap)
-                if not core[v] and key <= a1 * outside[v] - (alpha + beta * border[v]) * whole[v] + 1e-12:
+                if not core[v] and key <= a1 * outside[v] - pull[v] + 1e-12:
                     return v
             return None
         while line:
@@ -142,20 +200,27 @@ def grow_one(block: Block, cap: int, border: np.ndarray, seeds: Seeds, cfg: Grow
             x = seeds.next(core)
             if x is None:
                 break
-            core[x] = True
+            core[x] = 1
             if not covered[x]:
                 cover(x)
-        core[x] = True
+        core[x] = 1
         if full:
             break
-        near, _ = block.around(x)
-        for y in near[~covered[near]].tolist():
+        lo, hi = block.reach[0][x], block.reach[0][x + 1]
+        near, edge = block.reach[1], block.reach[2]
+        if hi - lo <= FEW:
+            todo = [near[k] for k in range(lo, hi) if free[edge[k]] and not covered[near[k]]]
+        else:
+            e, v = block.reach[4][lo:hi], block.reach[3][lo:hi]
+            todo = v[block.free[e] & ~covered_[v]].tolist()
+        for y in todo:
             if not covered[y]:
                 cover(y)
                 if full:
                     break
-    border |= covered & ~core
-    return np.concatenate(taken) if taken else np.zeros(0, np.int64)
+    border |= covered_ & ~core_
+    arrays.append(np.array(taken, np.int64))
+    return np.concatenate(arrays)
 
 
 def grow_all(block: Block, caps: list[int], memory: list[float] | None, cfg: GrowthConfig, served: list[int] | None = None, m_node: float = 1.0, m_edge: float = 2.0) -> tuple[np.ndarray, np.ndarray]:

@@ -8,7 +8,7 @@ partitioned in its own task, and blocks share each machine's capacity by their s
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -34,6 +34,7 @@ class Config:
     search: SearchConfig = field(default_factory=SearchConfig)
     balance: float = 1.1
     remainder: str = "greedy"
+    machine_order: str = "given"  # or capacity, network
 
 
 def served_order(fleet: Fleet, caps: list[int], how: str = "given") -> list[int]:
@@ -52,7 +53,7 @@ def three_phase(block: Block, fleet: Fleet, cfg: Config, trace: list | None = No
     else:
         caps = [min(a, b) for a, b in zip(uniform(len(fleet), edges, cfg.balance), memory_only(fleet, edges, vertices), strict=True)]
     growth = cfg.growth if "best_first" in cfg.steps else GrowthConfig(0.0, 0.0, cfg.growth.order, cfg.growth.seeds, cfg.growth.seed, cfg.growth.memory_guard)
-    machine, seq = grow_all(block, caps, fleet.column("mem"), growth, m_node=fleet.m_node, m_edge=fleet.m_edge)
+    machine, seq = grow_all(block, caps, fleet.column("mem"), growth, served_order(fleet, caps, cfg.machine_order), fleet.m_node, fleet.m_edge)
     state = State(block, fleet, machine, seq)
     state.repair(np.flatnonzero(machine < 0).tolist())
     if "refine" not in cfg.steps:
@@ -72,7 +73,7 @@ def method(name: str, fleet: Fleet, cfg: Config | None = None, seed: int = 1) ->
     cfg = cfg or Config()
     steps = {"full": cfg.steps, "plus": ("capacity", "best_first"), "star": ("capacity",), "naive": ()}
     if name in steps:
-        own = Config(steps[name], cfg.growth, cfg.search, cfg.balance, cfg.remainder)
+        own = replace(cfg, steps=steps[name])
         return lambda b: three_phase(b, fleet, own)
 
     def speed_caps(b: Block) -> list[int]:
@@ -102,16 +103,18 @@ PAPER_METHODS = ("full", "plus", "star", "naive")
 BASELINES = ("multilevel", "degree_aware_stream", "neighbor_expansion", "sorted_balance", "load_only", "traffic_migration", "hetero_stream", "hetero_expansion")
 
 
-def kernel(edges: DataFrame, run: Callable[[Block], tuple[np.ndarray, np.ndarray]], limit: int = KERNEL_EDGES) -> DataFrame:
-    """Runs a method over all edges in one task; refuses more edges than one task takes."""
+def kernel(edges: DataFrame, run: Callable[[Block], tuple[np.ndarray, np.ndarray]], limit: int = KERNEL_EDGES, direction: str = "both") -> DataFrame:
+    """Runs a method over all edges in one task; refuses more edges than one task takes.
+    With a direction, src -> dst are arcs and growth follows them ('out') or goes against
+    them ('in')."""
     n = edges.count()
     if n > limit:
         raise ValueError(f"{n} edges; one task takes {limit}. Use two_level()")
-    return edges.withColumn("_b", F.lit(0)).groupBy("_b").applyInArrow(lambda t: _apply(t, run), SCHEMA)
+    return edges.withColumn("_b", F.lit(0)).groupBy("_b").applyInArrow(lambda t: _apply(t, run, direction), SCHEMA)
 
 
-def _apply(t: pa.Table, run) -> pa.Table:
-    b = Block(t.column("src").to_numpy(), t.column("dst").to_numpy())
+def _apply(t: pa.Table, run, direction: str) -> pa.Table:
+    b = Block(t.column("src").to_numpy(), t.column("dst").to_numpy(), direction)
     machine, seq = run(b)
     return pa.Table.from_arrays([pa.array(b.src), pa.array(b.dst), pa.array(machine.astype(np.int32)), pa.array(seq.astype(np.int64))], names=["src", "dst", "machine", "seq"])
 
@@ -138,8 +141,6 @@ def two_level(edges: DataFrame, fleet: Fleet, name: str = "full", cfg: Config |
 
     def run(t: pa.Table) -> pa.Table:
         share = t.num_rows / n
-        from dataclasses import replace
-
         own = replace(fleet, machines=tuple(replace(m, mem=m.mem * share) for m in fleet.machines))
         b = Block(t.column("src").to_numpy(), t.column("dst").to_numpy())
         try:

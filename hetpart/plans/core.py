@@ -238,6 +238,17 @@ def _parallel(s, d):
 
 
 query("inv_grow_parallel", "select * exclude (n_over_memory) from (" + _inv_sql("g6") + ")")(lambda s, d: costs.invariants(*_parallel(s, d)).drop("n_over_memory"))
+for _w in ("out", "in", "both"):
+    _sql = f"select count(*)::BIGINT as n_edges, count(*)::BIGINT as n_assigned, 0::BIGINT as n_duplicate, 0::BIGINT as n_foreign, 0::BIGINT as n_unknown, 0::BIGINT as n_over_memory from (select distinct page_id, t from {O.TERMS})"
+
+    def _directed(s, d, w=_w):
+        arcs = graphs.page_terms(s, d)
+        f = machines.small(arcs.count(), 2, 4).with_memory(9)
+        return costs.invariants(partitioners.kernel(arcs, partitioners.method("full", f), direction=w), arcs, f)
+
+    query(f"inv_directed_{_w}", _sql)(_directed)
+for _w in ("capacity", "network"):
+    query(f"inv_order_{_w}", _inv_sql("g4"))(lambda s, d, w=_w: costs.invariants(*run_method(s, d, "g4", "plus", cfg=partitioners.Config(machine_order=w))))
 query("inv_two_level", "select * exclude (n_over_memory) from (" + _inv_sql("g4") + ")")(lambda s, d: (lambda e: costs.invariants(partitioners.two_level(e, machines.small(e.count()).with_memory(2), blocks=4), e, machines.small(e.count())))(edges(s, d, "g4")).drop("n_over_memory"))
 
 

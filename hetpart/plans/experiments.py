@@ -115,6 +115,49 @@ query("exp_types")(_sweep("g4", [("full", "types", v) for v in range(1, 7)], lam
 query("exp_seeds")(_sweep("g4", [("full", "seed", v) for v in range(1, 11)]))
 
 
+@query("exp_repeat")
+def exp_repeat(s, d):
+    """Ten seeded runs of each method that has a seed: mean and spread."""
+    runs = [(m, "seed", v) for m in ("full", "degree_aware_stream", "neighbor_expansion") for v in range(1, 11)]
+    r = sweep(_graph(s, d, "g4"), "g4", runs)
+    return r.groupBy("graph", "method").agg(F.count(F.lit(1)).alias("runs"), F.avg("tc").alias("tc_mean"), F.stddev("tc").alias("tc_stddev"), F.avg("seconds").alias("seconds_mean"))
+
+
+@query("exp_seconds")
+def exp_seconds(s, d):
+    """Partitioning time and throughput of every method."""
+    r = sweep(_graph(s, d, "g1"), "g1", [(m, "none", 0.0) for m in (*PAPER_METHODS, *BASELINES)])
+    return r.select("graph", "method", "seconds", "edges_per_second")
+
+
+@query("exp_gains")
+def exp_gains(s, d):
+    """Gain of each step of the method over the one before, by graph."""
+    out = None
+    for g in ("g1", "g4", "g6", "g9", "rmat"):
+        r = sweep(_graph(s, d, g), g, [(m, "none", 0.0) for m in PAPER_METHODS])
+        out = r if out is None else out.unionByName(r)
+    t = out.groupBy("graph").pivot("method", list(PAPER_METHODS)).agg(F.first("tc"))
+    return t.select("graph", (F.col("naive") / F.col("star")).alias("capacity_gain"), (F.col("star") / F.col("plus")).alias("best_first_gain"), (F.col("plus") / F.col("full")).alias("search_gain"))
+
+
+@query("exp_pagerank_time")
+def exp_pagerank_time(s, d):
+    """Simulated time of ten dense supersteps and of the map-reduce routine on nine machines."""
+    from ..operators import bsp
+    from .core import edges, run_method
+
+    f = machines.nine(edges(s, d, "g4").count())
+    rows = []
+    for m in ("full", "degree_aware_stream", "neighbor_expansion", "load_only", "hetero_stream", "hetero_expansion"):
+        a, _, _ = run_method(s, d, "g4", m, fleet=f)
+        a = a.persist()
+        step, split = (bsp.simulate(a, f, bsp.dense_activity(a, 1), mode).agg(F.sum("t")).first()[0] for mode in ("superstep", "barrier_split"))
+        a.unpersist()
+        rows.append((m, 10 * float(step), 10 * float(split)))
+    return s.createDataFrame(rows, "method string, superstep_time double, mapreduce_time double")
+
+
 @query("exp_rmat")
 def exp_rmat(s, d):
     """Sizes doubling; the slope of ln TC over the scale follows from the rows."""

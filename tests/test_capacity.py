@@ -61,3 +61,14 @@ def test_remainder_modes():
     assert capacity.whole(cost, cap, real, 10, "last") == [3, 3, 4]
     assert capacity.whole(cost, cap, real, 10, "none") == [3, 3, 3]
     assert list(itertools.islice(capacity.all_plans(2, 2), 3)) == [(0, 2), (1, 1), (2, 0)]
+
+
+@pytest.mark.parametrize("name, v, e, fleet, level", [("co", 3_072_441, 117_185_083, "large", 12.73), ("lj", 4_847_570, 33_099_465, "small", 13.40), ("po", 1_632_803, 30_622_564, "small", 11.81), ("cp", 3_774_768, 16_518_947, "small", 6.96), ("rn", 1_965_206, 2_766_607, "small", 1.43), ("tw", 41_652_230, 1_202_513_046, "large", 131.18)])
+def test_levels_of_the_published_graphs(name, v, e, fleet, level):
+    """Balanced compute time on the published sizes and unscaled fleets, in millions."""
+    from hetpart.operators import machines
+
+    f = machines.small(33_099_465) if fleet == "small" else machines.large(117_185_083)
+    cost, cap = capacity.terms(f, e, v)
+    got = max(c * x for c, x in zip(cost, capacity.rounds(cost, cap, e)))
+    assert got / 1e6 == pytest.approx(level, abs=0.006)

@@ -115,3 +115,25 @@ def test_rows_and_partitions_dont_matter(spark):
     a = {tuple(r) for r in partition(e, fleet).collect()}
     b = {tuple(r) for r in partition(e.repartition(7), fleet).collect()}
     assert a == b and len(a) == len(src)
+
+
+def test_directed_growth_follows_arcs():
+    # a chain of arcs and one arc against it: growth along arcs takes the chain first
+    src, dst = np.array([0, 1, 2, 3, 9]), np.array([1, 2, 3, 4, 0])
+    block = Block(src, dst, "out")
+    machine, _ = grow_all(block, [4, 1], None, GrowthConfig(seeds="low_degree"))
+    assert (machine >= 0).all()
+    for direction in ("out", "in", "both"):
+        s2, d2 = random_block(seed=4)
+        m, _ = grow_all(Block(s2, d2, direction), [100] * 3, None, GrowthConfig())
+        assert (np.bincount(m[m >= 0], minlength=3) == 100).all()
+
+
+def test_top_level_api(spark):
+    import hetpart
+    from hetpart.sources.graphs import grid
+
+    fleet = Fleet((Machine(1e4, 1, 1, 1), Machine(1e4, 1, 2, 1)))
+    a = hetpart.partition(grid(spark, 10, 10), fleet)
+    rows = hetpart.evaluate(a, fleet).orderBy("machine").collect()
+    assert sum(r["n_edges"] for r in rows) == 180 and rows[0]["n_edges"] > rows[1]["n_edges"]
