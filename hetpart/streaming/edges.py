@@ -63,17 +63,21 @@ def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(out)
 
 
-def placed(stream: DataFrame, p: int = 8) -> DataFrame:
+def placed(stream: DataFrame, p: int = 8, folder: str | None = None) -> DataFrame:
     """One-pass placement in micro-batches: each new edge goes to a machine that holds both
     its ends, else one, else any, by least load; replicas and loads live in a snapshot that
-    each batch reads and replaces. Returns src, dst, machine of all distinct edges."""
+    each batch reads and replaces. Returns src, dst, machine of all distinct edges.
+
+    Batch k reads the snapshot of batch k - 1 and writes its own, so a batch that runs
+    again after a failure gives the same snapshot; with a ``folder`` a later run goes on
+    from there."""
     spark = stream.sparkSession
-    root, at = fresh_folder(spark, "placement"), fresh_folder(spark, "progress")
-    state = {"path": None}
+    folder = folder or fresh_folder(spark, "placement")
+    last: dict[str, int] = {}
 
     def batch(df: DataFrame, k: int) -> None:
         new = df.select("src", "dst").distinct()
-        old = spark.read.parquet(state["path"]) if state["path"] else spark.createDataFrame([], "src long, dst long, machine int")
+        old = spark.read.parquet(f"{folder}/state/{k - 1}") if k else spark.createDataFrame([], "src long, dst long, machine int")
         new = new.join(old, ["src", "dst"], "left_anti")
         loads = {r["machine"]: r["count"] for r in old.groupBy("machine").count().collect()}  # p rows
         load = F.array(*[F.lit(int(loads.get(i, 0))) for i in range(p)])
@@ -83,12 +87,13 @@ def placed(stream: DataFrame, p: int = 8) -> DataFrame:
         a, b = F.coalesce("a", none), F.coalesce("b", none)
         options = F.when(F.size(F.array_intersect(a, b)) > 0, F.array_intersect(a, b)).when(F.size(F.array_union(a, b)) > 0, F.array_union(a, b)).otherwise(F.array(hash_machine(F.col("src"), F.col("dst"), p)))
         pick = F.array_min(F.transform(options, lambda m: F.struct(F.get(load, m), m.alias("m"))))["m"]
-        path = f"{root}/{k}"
-        old.unionByName(x.select("src", "dst", pick.alias("machine"))).write.mode("overwrite").parquet(path)
-        state["path"] = path
+        old.unionByName(x.select("src", "dst", pick.alias("machine"))).write.mode("overwrite").parquet(f"{folder}/state/{k}")
+        last["batch"] = k
 
-    q = stream.writeStream.option("checkpointLocation", at).trigger(availableNow=True).foreachBatch(batch).start()
+    q = stream.writeStream.option("checkpointLocation", f"{folder}/progress").trigger(availableNow=True).foreachBatch(batch).start()
     q.awaitTermination()
     if q.exception():
         raise q.exception()
-    return spark.read.parquet(state["path"]) if state["path"] else spark.createDataFrame([], "src long, dst long, machine int")
+    if "batch" not in last:
+        return spark.createDataFrame([], "src long, dst long, machine int")
+    return spark.read.parquet(f"{folder}/state/{last['batch']}")
