@@ -322,3 +322,21 @@ m as (select act.step, i.machine, sum(fi.c_com + fj.c_com) as t_com from act joi
 z as (select n.step, n.machine, f.c_node * nv + f.c_edge * coalesce(ne, 0) as t_cal, coalesce(t_com, 0) as t_com from n join f on f.machine = n.machine left join e on e.step = n.step and e.machine = n.machine left join m on m.step = n.step and m.machine = n.machine)
 select step, max(t_cal) as t_cal, max(t_com) as t_com, max(t_cal + t_com) as t from z group by 1"""
 query("bsp_sparse", O.setting("g6") + _SPARSE)(lambda s, d: (lambda a, f: bsp.simulate(a, f, a.select(F.explode(F.array("src", "dst")).alias("v")).distinct().withColumn("step", (F.col("v") % 4 + 1).cast("int"))))(*setting(s, d, "g6")))
+
+
+@query("recursive_bfs", f"with recursive a as materialized ({O.EDGES['g12']}), b(v, level) as (select min(src), 0 from a union all select a.dst, level + 1 from b join a on a.src = b.v where level < 40) select v, level from b")
+def _recursive(s, d):
+    return s.sql("WITH RECURSIVE b(v, level) AS (SELECT min(src), 0 FROM {a} UNION ALL SELECT a.dst, level + 1 FROM b JOIN {a} a ON a.src = b.v WHERE level < 40) SELECT v, level FROM b", a=edges(s, d, "g12"))
+
+
+@query("example_costs", "select * from (values (1, 0, 2.0::DOUBLE, 2.0::DOUBLE, true), (1, 1, 4.0, 3.0, true), (1, 2, 1.0, 5.0, true), (2, 0, 1.0, 3.0, true), (2, 1, 4.0, 6.0, true), (2, 2, 2.0, 3.0, false)) t(split, machine, t_cal, t_com, fits)")
+def _example(s, d):
+    """The running example: five edges, three machines, two splits."""
+    pairs = [(0, 1), (1, 2), (2, 5), (3, 4), (4, 5)]
+    out = None
+    for k, split in ((1, [0, 0, 2, 1, 1]), (2, [0, 1, 1, 2, 2])):
+        a = s.createDataFrame([(x, y, m) for (x, y), m in zip(pairs, split, strict=True)], "src long, dst long, machine int")
+        c = costs.costs(a, machines.THREE).join(machines.THREE.df(s).select("machine", "mem"), "machine")
+        c = c.select(F.lit(k).alias("split"), "machine", "t_cal", "t_com", (F.col("mem_used") <= F.col("mem")).alias("fits"))
+        out = c if out is None else out.unionByName(c)
+    return out
