@@ -141,6 +141,30 @@ def exp_gains(s, d):
     return t.select("graph", (F.col("naive") / F.col("star")).alias("capacity_gain"), (F.col("star") / F.col("plus")).alias("best_first_gain"), (F.col("plus") / F.col("full")).alias("search_gain"))
 
 
+@query("exp_workload_times")
+def exp_workload_times(s, d):
+    """Simulated time of PageRank, breadth-first levels and distances on nine machines, from
+    which vertices are active when, for the heterogeneous comparators."""
+    from ..operators import algos, bsp
+    from .core import edges, run_method, weighted
+
+    e = edges(s, d, "g4")
+    f = machines.nine(e.count())
+    start = e.agg(F.min("src")).first()[0]
+    levels = algos.bfs(e, start).persist()
+    reach = algos.sssp(weighted(s, d), start)
+    # a vertex works for distances in each step up to its level, while offers may still come
+    active = reach.select("v").join(levels, "v").select("v", F.explode(F.sequence(F.lit(1), F.col("level") + 1)).alias("step"))
+    rows = []
+    for m in ("full", "load_only", "traffic_migration", "hetero_stream", "hetero_expansion"):
+        a = run_method(s, d, "g4", m, fleet=f)[0].persist()
+        times = [bsp.simulate(a, f, x).agg(F.sum("t")).first()[0] for x in (bsp.dense_activity(a, 1), bsp.level_activity(levels), active)]
+        a.unpersist()
+        rows.append((m, 10 * float(times[0]), float(times[1]), float(times[2])))
+    levels.unpersist()
+    return s.createDataFrame(rows, "method string, pagerank double, bfs double, sssp double")
+
+
 @query("exp_pagerank_time")
 def exp_pagerank_time(s, d):
     """Simulated time of ten dense supersteps and of the map-reduce routine on nine machines."""
