@@ -29,7 +29,7 @@ from .textbuf import ragged, text_slices
 SPLIT = regex.compile(r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+""")  # fixed value
 WIDE, NONE = 64, np.int64(1) << 40
 #: Pre-tokens whose ids a worker keeps; beyond, the store starts anew.
-KEPT = 400_000
+KEPT = 120_000
 
 
 def byte_alphabet() -> dict[str, int]:
@@ -232,8 +232,14 @@ class Encoder:
     def _reset(self) -> None:
         self.index.clear()
         self.index |= {("", s): k for k, s in enumerate(self.tokenizer.added)}
-        self.ids = [np.array([i], np.uint32) for i in self.tokenizer.added.values()]
-        self.flat = None
+        self._store([], [np.array([i], np.uint32) for i in self.tokenizer.added.values()])
+
+    def _store(self, old: list[np.ndarray], new: list[np.ndarray]) -> None:
+        """Ids of all kept pre-tokens as one array, with where each begins."""
+        n = np.fromiter(map(len, new), np.int64, len(new))
+        self.lengths = np.concatenate([self.lengths, n]) if old else n
+        self.flat = np.concatenate([*old, *new]) if old or new else np.zeros(0, np.uint32)
+        self.starts = np.concatenate([[0], np.cumsum(self.lengths)[:-1]]).astype(np.int64)
 
     def pieces(self, text: str) -> list:
         t = self.tokenizer
@@ -251,13 +257,8 @@ class Encoder:
         parts = [self.pieces(x) for x in texts]
         new = list(set().union(*parts).difference(self.index)) if parts else []
         if new:
-            self.index |= {x: len(self.ids) + k for k, x in enumerate(new)}
-            self.ids += self.tokenizer.encode_tokens([x.encode() for x in new])
-            self.lengths = np.fromiter(map(len, self.ids), np.int64, len(self.ids))
-            self.starts = np.concatenate([[0], np.cumsum(self.lengths)[:-1]])
-            self.flat = np.concatenate(self.ids)
-        elif self.flat is None:
-            return [np.zeros(0, np.uint32) if not p else np.concatenate([self.ids[self.index[x]] for x in p]) for p in parts]
+            self.index |= {x: len(self.lengths) + k for k, x in enumerate(new)}
+            self._store([self.flat], self.tokenizer.encode_tokens([x.encode() for x in new]))
         out = []
         for p in parts:
             k = np.fromiter(map(self.index.__getitem__, p), np.int64, len(p))

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import checkpointed, table
-from .textbuf import LOWER, WORD, mix, prefix_sums, run_hashes, text_slices, words
+from .textbuf import LOWER, WORD, give_back, mix, prefix_sums, run_hashes, text_slices, words
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 12, 4
@@ -230,6 +230,7 @@ def star_similarities(pairs: DataFrame, texts: DataFrame, idf: np.ndarray) -> Da
         head = next(_texts([blobs[int(np.flatnonzero(ids == hub)[0])].as_py()], idf)).of(0)
         rest = np.flatnonzero(ids != hub)
         sim = [weighted_jaccard(head, sh) for sh in _texts([blobs[i].as_py() for i in rest.tolist()], idf)]
+        give_back()
         return pa.Table.from_arrays([pa.array(np.full(len(rest), hub, ids.dtype)), pa.array(ids[rest]), pa.array(np.concatenate(sim) if sim else np.zeros(0))], names=["hub", "id", "sim"])
 
     return dealt.unionByName(own).join(texts, "id").groupBy("hub", "part").applyInArrow(compare, f"hub {kind}, id {kind}, sim double")

@@ -38,7 +38,7 @@ import zstandard
 from pyspark.sql import DataFrame
 
 from .common import plan_bytes, table
-from .textbuf import covered, mix, powers, prefix_sums, ragged, run_hashes, text_slices
+from .textbuf import covered, give_back, mix, powers, prefix_sums, ragged, run_hashes, text_slices
 
 LENGTH, GRAM, SHALLOW = 50, 16, 16
 GRAMS = LENGTH - GRAM + 1  # grams of a string
@@ -326,6 +326,7 @@ def removed_ranges(docs: DataFrame, buckets: int, key: str = "doc_id", text: str
         done = [(1, group.column("bucket")[int(i)].as_py(), group.column("blob")[int(i)].as_py()) for i in np.flatnonzero(kinds == 1)]
         if blobs:
             done += send_ranges(*settle(blobs), buckets)
+        give_back()
         return pa.Table.from_arrays([pa.array([x[0] for x in done], pa.int32()), pa.array([x[1] for x in done], pa.int32()), pa.array([x[2] for x in done], pa.binary())], names=["kind", "bucket", "blob"])
 
     return docs.select(key, text).mapInArrow(send, BLOBS).groupBy("bucket").applyInArrow(meet, BLOBS)
