@@ -209,7 +209,7 @@ def score(docs: DataFrame, chain: Chain | None, keep: list[str], text: str = "te
 
 
 def op5_toxicity(spark, sf_dir: str) -> DataFrame:
-    """Learns from labelled rows whose fold isn't 0; ``held_out`` marks the others."""
+    """Learns from labelled rows whose ``fold`` isn't 0."""
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     chain = train(docs, labels.where(fold() != 0))
-    return score(docs.select("doc_id", "text", (fold() == 0).alias("held_out")), chain, ["doc_id", "held_out"])
+    return score(docs.select("doc_id", "text", fold().alias("fold")), chain, ["doc_id", "fold"])
