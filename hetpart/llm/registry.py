@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import importlib
 
+from .oracles import SQL
+
 #: query name -> (module, function); modules load when a query is made.
 _WHERE = {
     "op1_tool_calls": "tool_calls",
@@ -17,7 +19,7 @@ _WHERE = {
     "op9_near_dup": "near_dup",
     "op10_line_rules": "line_rules",
 }
-SQL: dict[str, str] = {}
+
 
 
 def _query(module: str, name: str):
