@@ -10,7 +10,8 @@ documents, and all words of all documents as well. A term t discloses an entity
 their pointwise mutual information, ln(N n(e,t) / (n(e) n(t))), is at least the entity's
 information ln(N / n(e)) over ``ALPHA``, on ``SUPPORT`` documents or more. It is then
 generalised to its first letters, if the class of words with these letters discloses e
-no longer, and removed otherwise.
+no longer, and removed otherwise. The words near an entity only tell which terms disclose
+it: such a term goes wherever it stands in the documents that hold the entity.
 
 Only 8-byte hashes are counted, combined before each shuffle; texts don't move for the
 counts, and pairs of entity and term are bounded by the entity's occurrences.
@@ -36,24 +37,39 @@ PHONE = "\\+[0-9][\\x20().0-9-]+[0-9]"
 BYTE = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
 TERM = "(?<![\\p{L}@._%+0-9-])\\p{L}{3,}(?![\\p{L}@_%+0-9-])(?!\\.[A-Za-z0-9])"
 WORD = "\\p{L}{3,}"
+#: Words outside addresses: an address is one match, which its @ tells.
+PLAIN = f"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\\.[A-Za-z0-9-]++)++|{WORD}"
 
 NEAR, WIDTH, HEAD = 5, 64, 4
 ALPHA, SUPPORT = 1.1, 2
 SPAN = "array<struct<s:int,e:int,hit:string>>"
+#: Matches placed in one fold: a fold copies its list at each step, so long texts take blocks.
+BLOCK = 256
 
 
 def located(text: Column, pattern: str) -> Column:
-    """(s, e, hit) of the matches: their places follow from the lengths of what is between."""
+    """(s, e, hit) of the matches: their places follow from the lengths of what is between.
+    They are placed within blocks, then the blocks behind each other."""
     hits, gaps = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.split(text, pattern, -1)
     zero = F.struct(F.lit(0).alias("pos"), F.array().cast(SPAN).alias("out"))
+    none = F.struct(F.lit(0).alias("pos"), F.array().cast(f"array<{SPAN}>").alias("out"))
 
     def step(acc: Column, x: Column) -> Column:
         s = acc["pos"] + F.char_length(x["gap"])
         e = s + F.char_length(x["hit"])
         return F.struct(e.alias("pos"), F.concat(acc["out"], F.array(F.struct(s.alias("s"), e.alias("e"), x["hit"].alias("hit")))).alias("out"))
 
+    def behind(acc: Column, block: Column) -> Column:
+        moved = F.transform(block["out"], lambda x: F.struct((acc["pos"] + x["s"]).alias("s"), (acc["pos"] + x["e"]).alias("e"), x["hit"].alias("hit")))
+        return F.struct((acc["pos"] + block["pos"]).alias("pos"), F.concat(acc["out"], F.array(moved)).alias("out"))
+
+    def placed(pairs: Column) -> Column:
+        starts = F.sequence(F.lit(1), F.greatest(F.size(pairs), F.lit(1)), F.lit(BLOCK))
+        blocks = F.transform(starts, lambda k: F.aggregate(F.slice(pairs, k, F.lit(BLOCK)), zero, step))
+        return F.flatten(F.aggregate(blocks, none, behind, lambda acc: acc["out"]))
+
     pairs = F.zip_with(F.slice(gaps, 1, F.size(hits)), hits, lambda g, h: F.struct(g.alias("gap"), h.alias("hit")))
-    return F.aggregate(pairs, zero, step, lambda acc: acc["out"])
+    return F.get(F.transform(F.array(pairs), placed), F.lit(0))  # an array of one: the matches are found once
 
 
 def luhn(digits: Column) -> Column:
@@ -156,13 +172,22 @@ def disclosing(near: DataFrame, counts: DataFrame, total: int, key: str, alpha:
 def term_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:
     """_key and _terms: the sorted spans of disclosing terms of each document that has one."""
     docs = docs.select(key, text)
-    near = checkpointed(near_terms(with_base_spans(docs, text), key))
+    spanned = with_base_spans(docs, text)
+    near = checkpointed(near_terms(spanned, key))
     total = docs.count()
-    told = disclosing(near, word_counts(docs, text), total, key, alpha, support)
-    found = near.where("term IS NOT NULL").join(told, ["entity", "term"])
+    told = checkpointed(disclosing(near, word_counts(docs, text), total, key, alpha, support).withColumn("h", F.xxhash64("term")).select("entity", "h", "generalise"))
+    # every place of a told term in the documents that hold its entity, not only the near ones
+    some = F.greatest(*[F.size(f"_{kind}") for kind, *_ in KINDS]) > 0
+    words = F.filter(located(F.col("_t"), PLAIN), lambda x: ~F.contains(x["hit"], F.lit("@")))
+    words = F.transform(words, lambda x: F.struct(F.xxhash64(F.lower(x["hit"])).alias("h"), x["s"].alias("s"), x["e"].alias("e")))
+    places = spanned.where(some).select(key, F.explode(words).alias("x")).select(key, "x.*").join(told.select("h").distinct(), "h", "left_semi")
+    places = places.groupBy(key, "h").agg(F.collect_set(F.struct("s", "e")).alias("at"))
+    holds = near.select(F.col(key).alias("_key"), "entity").distinct()
+    found = places.join(holds, F.col(key).eqNullSafe(F.col("_key"))).join(told, ["entity", "h"])
     # a term that discloses several entities is generalised only if it may be for all
-    one = found.groupBy(key, "s", "e").agg(F.min("generalise").alias("generalise"))
-    return one.groupBy(F.col(key).alias("_key")).agg(F.sort_array(F.collect_list(F.struct("s", "e", "generalise"))).alias("_terms"))
+    one = found.groupBy("_key", "h").agg(F.min("generalise").alias("generalise"), F.first("at").alias("at"))
+    one = one.select("_key", F.transform("at", lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), F.col("generalise").alias("generalise"))).alias("at"))
+    return one.groupBy("_key").agg(F.sort_array(F.flatten(F.collect_list("at"))).alias("_terms"))
 
 
 def findings(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:

@@ -94,3 +94,20 @@ def test_native_plan_and_empty_table(frame):
     plan = df._jdf.queryExecution().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Cartesian" not in plan
     assert pii.findings(frame([])).count() == 0 and pii.sanitised(frame([])).count() == 0
+
+
+FAR = "after a while the weather changed and nobody said much about it until the train came in"
+
+
+def test_a_told_term_goes_wherever_it_stands(frame):
+    """Far from its entity as well, however it is joined to signs, but not in documents without the entity."""
+    docs = {k: f"Zyxwander wrote to zyx@mail.org. {FAR} {k}. zyxwander lives here, Zyxwander_2 too" for k in range(20)}
+    docs |= {30: f"Zyxwander {FAR}", 31: f"someone asked other@mail.org. {FAR} Zyxwander"} | {40 + k: f"plain {FAR} {k}" for k in range(200)}
+    docs[25] = f"zyx@mail.org {FAR}. It was ZYXWANDER " + "again and so on " * 200 + "zyxwander"
+    got = {r["doc_id"]: r["spans"].split(",") for r in pii.findings(frame(list(docs.items()))).collect()}
+    for i in (0, 1, 19, 25):
+        places = {f"term:{m.start()}:{m.end()}" for m in re.finditer("(?i)zyxwander", docs[i])}
+        assert places <= set(got[i]) and len(places) == (2 if i == 25 else 3)
+    assert not any(x.startswith("term") for i in (30, 31, 40) for x in got[i])
+    out = {r["doc_id"]: r["text"] for r in pii.sanitised(frame(list(docs.items()))).collect()}
+    assert not any("zyxwander" in out[i].lower() for i in (0, 1, 19, 25)) and out[30] == docs[30] and out[31].endswith("Zyxwander")
