@@ -5,8 +5,8 @@ match what the plain ones do, written so that Java's engine takes linear time an
 deep recursion: possessive repeats, and no start inside a run that was tried already.
 
 Beyond them, terms that reveal an entity are found from the corpus. An entity is the
-value of a base match. For each, the words near it (``NEAR`` on a side) are counted by
-documents, and all words of all documents as well. A term t discloses an entity e if
+value of a base match. For each, the words near it (``NEAR`` on a side, whatever stands
+between; a hyphenated word is one) are counted by documents, and all words of all documents as well. A term t discloses an entity e if
 their pointwise mutual information, ln(N n(e,t) / (n(e) n(t))), is at least the entity's
 information ln(N / n(e)) over ``ALPHA``, on ``SUPPORT`` documents or more. It is then
 generalised to its first letters, if the class of words with these letters discloses e
@@ -35,12 +35,14 @@ IP = "(?:(?<![0-9])|\\G)[0-9]++(?:\\.[0-9]++){3}"
 CARD = "[0-9](?:[\\x20-]?[0-9])++"
 PHONE = "\\+[0-9][\\x20().0-9-]+[0-9]"
 BYTE = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
-TERM = "(?<![\\p{L}@._%+0-9-])\\p{L}{3,}(?![\\p{L}@_%+0-9-])(?!\\.[A-Za-z0-9])"
-WORD = "\\p{L}{3,}"
+#: A word, with inner hyphens; single letters and pairs only within a hyphenated one.
+WORD = "\\p{L}++(?:-\\p{L}++)++|\\p{L}{3,}+"
+#: A word that is no part of an address, a number or an identifier.
+TERM = f"(?<![\\p{{L}}@._%+0-9])(?<![\\p{{L}}@._%+0-9]-)(?:{WORD})(?!-?[\\p{{L}}@_%+0-9])(?!-?\\.[A-Za-z0-9])"
 #: Words outside addresses: an address is one match, which its @ tells.
 PLAIN = f"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\\.[A-Za-z0-9-]++)++|{WORD}"
 
-NEAR, WIDTH, HEAD = 5, 64, 4
+NEAR, HEAD = 5, 4
 ALPHA, SUPPORT = 1.1, 2
 SPAN = "array<struct<s:int,e:int,hit:string>>"
 #: Matches placed in one fold: a fold copies its list at each step, so long texts take blocks.
@@ -113,33 +115,53 @@ def listed(kind: str, spans: Column) -> Column:
     return F.transform(spans, lambda x: F.concat_ws(":", F.lit(kind), x["s"].cast("string"), x["e"].cast("string")))
 
 
-def _terms(side: Column, base: Column, entity: Column, *, left: bool) -> Column:
-    """Terms of one side of an entity; a word that the side's edge may cut is left out."""
-    found, full = located(side, TERM), F.char_length(side) == WIDTH
-    whole = F.filter(found, lambda x: ~(full & ((x["s"] == 0) if left else (x["e"] == WIDTH))))
-    near = F.slice(whole, F.greatest(F.size(whole) - (NEAR - 1), F.lit(1)), NEAR) if left else F.slice(whole, 1, NEAR)
-    return F.transform(near, lambda x: F.struct(entity.alias("entity"), F.lower(x["hit"]).alias("term"), (base + x["s"]).alias("s"), (base + x["e"]).alias("e")))
-
-
-def near_terms(spanned: DataFrame, key: str) -> DataFrame:
-    """Rows (key, entity, term, s, e): words near each base span. The text between the
-    matches of a kind gives both sides, so a text is never searched from its start again."""
-    parts = []
-    for kind, pattern, maybe, valid, value in KINDS:
-        some = F.size(F.col(f"_{kind}")) > 0
-        gaps = F.when(some, F.split(F.col("_t"), pattern, -1))
-        everything = F.when(some, located(F.col("_t"), pattern))
-        sides = F.transform("_all", lambda x, i: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["hit"].alias("hit"), F.substring(F.get("_gaps", i), -WIDTH, WIDTH).alias("left"), F.substring(F.get("_gaps", i + 1), 1, WIDTH).alias("right")))
-        rows = spanned.where(some).select(F.col(key), gaps.alias("_gaps"), everything.alias("_all")).select(key, F.explode(F.filter(sides, _checked(valid))).alias("x"))
-        entity = F.xxhash64(F.lit(kind), value(F.col("x.hit")))
-        rows = rows.select(key, entity.alias("entity"), "x.s", "x.e", "x.left", "x.right")
-        terms = F.concat(_terms(F.col("left"), F.col("s") - F.char_length("left"), F.col("entity"), left=True), _terms(F.col("right"), F.col("e"), F.col("entity"), left=False))
-        # an entity without a term near it counts as well: a row with a null term
-        parts.append(rows.select(key, F.col("entity").alias("of"), F.explode_outer(terms).alias("x")).select(key, F.col("of").alias("entity"), "x.term", "x.s", "x.e"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+def _entities(kind: str, value):
+    return lambda x: F.struct(F.xxhash64(F.lit(kind), value(x["hit"])).alias("entity"), x["s"].alias("s"), x["e"].alias("e"))
+
+
+def with_words(spanned: DataFrame, key: str) -> DataFrame:
+    """(key, _bases, _near, _words) of the documents with a base span: the spans with their
+    entities, and the terms and all words outside addresses with their places."""
+    bases = F.concat(*[F.transform(f"_{kind}", _entities(kind, value)) for kind, _, _, _, value in KINDS])
+    words = F.filter(located(F.col("_t"), PLAIN), lambda x: ~F.contains(x["hit"], F.lit("@")))
+    some = F.greatest(*[F.size(f"_{kind}") for kind, *_ in KINDS]) > 0
+    return spanned.where(some).select(key, bases.alias("_bases"), located(F.col("_t"), TERM).alias("_near"), words.alias("_words"))
+
+
+def _before(words: Column, edge: str, place: Column, *, at: bool) -> Column:
+    """How many words have their edge before the place (or at it): they are in order, so
+    halving finds it in 31 steps."""
+    def step(acc: Column, _: Column) -> Column:
+        middle = F.shiftright(acc["lo"] + acc["hi"], 1)
+        x = F.get(words, middle)[edge]
+        below = (acc["lo"] < acc["hi"]) & (x <= place if at else x < place)
+        return F.struct(F.when(below, middle + 1).otherwise(acc["lo"]).alias("lo"), F.when(below, acc["hi"]).otherwise(F.least(middle, acc["hi"])).alias("hi"))
+
+    return F.aggregate(F.sequence(F.lit(1), F.lit(31)), F.struct(F.lit(0).alias("lo"), F.size(words).alias("hi")), step, lambda acc: acc["lo"])
+
+
+def near_terms(found: DataFrame, key: str) -> DataFrame:
+    """Rows (key, entity, term): the NEAR terms on each side of each base span."""
+    def terms(x: Column) -> Column:
+        n = _before(F.col("_near"), "e", x["s"], at=True)
+        left = F.slice("_near", F.greatest(n - (NEAR - 1), F.lit(1)), F.least(n, F.lit(NEAR)))
+        right = F.slice("_near", _before(F.col("_near"), "s", x["e"], at=False) + 1, F.lit(NEAR))
+        return F.struct(x["entity"].alias("entity"), F.array_distinct(F.transform(F.concat(left, right), lambda y: F.lower(y["hit"]))).alias("terms"))
+
+    rows = found.select(key, F.explode(F.transform("_bases", terms)).alias("x"))
+    # an entity without a term near it counts as well: a row with a null term
+    return rows.select(key, "x.entity", F.explode_outer("x.terms").alias("term"))
+
+
+def _hashed(x: Column) -> Column:
+    """A word, and the parts of a hyphenated one, with the place of the whole."""
+    def part(acc: Column, w: Column) -> Column:
+        e = acc["pos"] + F.char_length(w)
+        return F.struct((e + 1).alias("pos"), F.concat(acc["out"], F.array(F.struct(F.xxhash64(F.lower(w)).alias("h"), acc["pos"].alias("s"), e.alias("e"), x["s"].alias("of"), x["e"].alias("to")))).alias("out"))
+
+    whole = F.array(F.struct(F.xxhash64(F.lower(x["hit"])).alias("h"), x["s"].alias("s"), x["e"].alias("e"), x["s"].alias("of"), x["e"].alias("to")))
+    zero = F.struct(x["s"].alias("pos"), F.array().cast("array<struct<h:bigint,s:int,e:int,of:int,to:int>>").alias("out"))
+    return F.when(F.contains(x["hit"], F.lit("-")), F.concat(whole, F.aggregate(F.split(x["hit"], "-"), zero, part, lambda acc: acc["out"]))).otherwise(whole)
 
 
 def head(term: Column) -> Column:
@@ -172,21 +194,22 @@ def disclosing(near: DataFrame, counts: DataFrame, total: int, key: str, alpha:
 def term_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:
     """_key and _terms: the sorted spans of disclosing terms of each document that has one."""
     docs = docs.select(key, text)
-    spanned = with_base_spans(docs, text)
-    near = checkpointed(near_terms(spanned, key))
+    words = checkpointed(with_words(with_base_spans(docs, text), key))
+    near = checkpointed(near_terms(words, key))
     total = docs.count()
     told = checkpointed(disclosing(near, word_counts(docs, text), total, key, alpha, support).withColumn("h", F.xxhash64("term")).select("entity", "h", "generalise"))
     # every place of a told term in the documents that hold its entity, not only the near ones
-    some = F.greatest(*[F.size(f"_{kind}") for kind, *_ in KINDS]) > 0
-    words = F.filter(located(F.col("_t"), PLAIN), lambda x: ~F.contains(x["hit"], F.lit("@")))
-    words = F.transform(words, lambda x: F.struct(F.xxhash64(F.lower(x["hit"])).alias("h"), x["s"].alias("s"), x["e"].alias("e")))
-    places = spanned.where(some).select(key, F.explode(words).alias("x")).select(key, "x.*").join(told.select("h").distinct(), "h", "left_semi")
-    places = places.groupBy(key, "h").agg(F.collect_set(F.struct("s", "e")).alias("at"))
+    places = words.select(key, F.explode(F.flatten(F.transform("_words", _hashed))).alias("x")).select(key, "x.*").join(told.select("h").distinct(), "h", "left_semi")
+    places = places.groupBy(key, "h").agg(F.collect_set(F.struct("s", "e", "of", "to")).alias("at"))
     holds = near.select(F.col(key).alias("_key"), "entity").distinct()
     found = places.join(holds, F.col(key).eqNullSafe(F.col("_key"))).join(told, ["entity", "h"])
     # a term that discloses several entities is generalised only if it may be for all
     one = found.groupBy("_key", "h").agg(F.min("generalise").alias("generalise"), F.first("at").alias("at"))
-    one = one.select("_key", F.transform("at", lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), F.col("generalise").alias("generalise"))).alias("at"))
+    one = one.select("_key", "generalise", F.explode("at").alias("x")).select("_key", "generalise", "x.*")
+    # of a hyphenated word and its parts the whole is listed, if it is told
+    one = one.groupBy("_key", "of", "to").agg(F.min("generalise").alias("least"), F.sort_array(F.collect_set(F.struct("s", "e", "generalise"))).alias("at"))
+    whole = F.exists("at", lambda x: (x["s"] == F.col("of")) & (x["e"] == F.col("to")))
+    one = one.select("_key", F.when(whole, F.array(F.struct(F.col("of").alias("s"), F.col("to").alias("e"), F.col("least").alias("generalise")))).otherwise(F.col("at")).alias("at"))
     return one.groupBy("_key").agg(F.sort_array(F.flatten(F.collect_list("at"))).alias("_terms"))
 
 

@@ -111,3 +111,23 @@ def test_a_told_term_goes_wherever_it_stands(frame):
     assert not any(x.startswith("term") for i in (30, 31, 40) for x in got[i])
     out = {r["doc_id"]: r["text"] for r in pii.sanitised(frame(list(docs.items()))).collect()}
     assert not any("zyxwander" in out[i].lower() for i in (0, 1, 19, 25)) and out[30] == docs[30] and out[31].endswith("Zyxwander")
+
+
+def test_five_words_a_side_whatever_stands_between(frame):
+    """Failed matches and long words cut no side; hyphenated names are terms, and so are their places alone."""
+    long = "x".join("abcdefghijklmnopqrstuvwxyz")
+    docs = {k: f"card 4111 1111 1111 1111, exp 12/27, holder Zyxwander {k}" for k in range(4)}
+    docs |= {10 + k: f"Quorlith {long} {long}q {long}r {long}s +49 30 1234567, row {k}" for k in range(4)}
+    docs |= {20 + k: f"O-Vexmoor Anne-Brandybuck, anne@mail.org {k}" for k in range(4)}
+    docs |= {30 + k: f"one two three four five six seven eight {k}" for k in range(200)}
+    got = {r["doc_id"]: set(r["spans"].split(",")) for r in pii.findings(frame(list(docs.items()))).collect()}
+    for i, name in ((0, "Zyxwander"), (10, "Quorlith"), (20, "Anne-Brandybuck"), (20, "O-Vexmoor")):
+        at = docs[i].index(name)
+        assert f"term:{at}:{at + len(name)}" in got[i], name
+
+
+def test_sixth_word_is_not_near(frame):
+    docs = {k: f"first second third fourth fifth sixth a@b.org one two three four five outer {k}" for k in range(4)} | {30 + k: f"filler {k}" for k in range(200)}
+    got = {r["doc_id"]: r["spans"].split(",") for r in pii.findings(frame(list(docs.items()))).collect()}
+    places = {docs[0][int(a) : int(b)] for kind, a, b in (x.split(":") for x in got[0]) if kind == "term"}
+    assert places == {"second", "third", "fourth", "fifth", "sixth", "one", "two", "three", "four", "five"}
