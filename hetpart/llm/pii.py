@@ -36,7 +36,7 @@ CARD = "[0-9](?:[\\x20-]?[0-9])++"
 PHONE = "\\+[0-9][\\x20().0-9-]+[0-9]"
 BYTE = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
 #: A word, with inner hyphens; single letters and pairs only within a hyphenated one.
-WORD = "\\p{L}++(?:-\\p{L}++)++|\\p{L}{3,}+"
+WORD = "\\p{L}{3,}+(?:-\\p{L}++)*+|\\p{L}{1,2}+(?:-\\p{L}++)++"
 #: A word that is no part of an address, a number or an identifier.
 TERM = f"(?<![\\p{{L}}@._%+0-9])(?<![\\p{{L}}@._%+0-9]-)(?:{WORD})(?!-?[\\p{{L}}@_%+0-9])(?!-?\\.[A-Za-z0-9])"
 #: Words outside addresses: an address is one match, which its @ tells.
