@@ -22,8 +22,8 @@ import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
+from .common import picked, schema_of, table
 from .textbuf import ragged, text_slices
 
 SPLIT = regex.compile(r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+""")  # fixed value
@@ -287,8 +287,7 @@ def encode(docs: DataFrame, path: str | None = None, text: str = "text", key: st
     Narrow: no shuffle. Each Arrow batch is cut into slices of bounded bytes.
     """
     path = path or default_path()
-    kind = docs.schema[key].dataType.simpleString()
-    schema = f"{key} {kind}, n_tokens bigint" + ", ids array<int>, decoded string" * ids + ", ids_sha256 string, decoded_sha256 string" * digests
+    schema = schema_of(docs, [key], "n_tokens bigint" + ", ids array<int>, decoded string" * ids + ", ids_sha256 string, decoded_sha256 string" * digests)
     where = path
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -307,13 +306,13 @@ def encode(docs: DataFrame, path: str | None = None, text: str = "text", key: st
             yield pa.RecordBatch.from_arrays(cols, names=names)
 
     names = [key, "n_tokens", *(["ids", "decoded"] * ids), *(["ids_sha256", "decoded_sha256"] * digests)]
-    return docs.select(F.col(key), F.col(text)).mapInArrow(run, schema)
+    return picked(docs, **{key: key, text: text}).mapInArrow(run, schema)
 
 
 def decode(encoded: DataFrame, path: str | None = None, ids: str = "ids", key: str = "doc_id") -> DataFrame:
     """Texts of id arrays; a null array decodes to an empty text."""
     path = path or default_path()
-    kind = encoded.schema[key].dataType.simpleString()
+    schema = schema_of(encoded, [key], "text string")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tok = encoder(path).tokenizer
@@ -321,10 +320,8 @@ def decode(encoded: DataFrame, path: str | None = None, ids: str = "ids", key: s
             got = [tok.decode(np.array(x.as_py() or [], np.int64)) for x in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(got, pa.string())], names=[key, "text"])
 
-    return encoded.select(key, ids).mapInArrow(run, f"{key} {kind}, text string")
+    return picked(encoded, **{key: key, ids: ids}).mapInArrow(run, schema)
 
 
 def op4_bpe(spark, sf_dir: str) -> DataFrame:
-    from .common import table
-
     return encode(table(spark, sf_dir, "documents"), ids=False, digests=True)

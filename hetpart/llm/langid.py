@@ -27,7 +27,7 @@ import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import fold, table
+from .common import fold, picked, schema_of, table
 from .textbuf import text_slices
 
 BLOCK = 512
@@ -139,11 +139,11 @@ class Model:
 def learn_samples(labelled: DataFrame, lang: str = "lang", text: str = "text", rows: int = SAMPLE_ROWS, size: int = SAMPLE_BYTES) -> dict[str, bytes]:
     """Sample text of each language: pieces from evenly spaced places of ``rows`` texts,
     those with the least hashes; the number of languages bounds what is collected."""
-    has = labelled.where(F.col(lang).isNotNull() & F.col(text).rlike(r"\p{L}"))
-    n = F.char_length(text)
-    piece = lambda k: F.substring(F.col(text), (n * k / 4).cast("int") + 1, PIECE)
-    top = F.xxhash64(text)
-    part = has.select(F.col(lang).alias("l"), top.alias("h"), F.array_distinct(F.when(n <= PIECE, F.array(F.col(text))).otherwise(F.array(*[piece(k) for k in range(4)]))).alias("p"))
+    has = picked(labelled, l=lang, t=text).where(F.col("l").isNotNull() & F.col("t").rlike(r"\p{L}"))
+    n = F.char_length("t")
+    piece = lambda k: F.substring(F.col("t"), (n * k / 4).cast("int") + 1, PIECE)
+    top = F.xxhash64("t")
+    part = has.select("l", top.alias("h"), F.array_distinct(F.when(n <= PIECE, F.array(F.col("t"))).otherwise(F.array(*[piece(k) for k in range(4)]))).alias("p"))
 
     def least(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         kept = None
@@ -177,7 +177,7 @@ def model(samples: dict[str, bytes]) -> Model:
 
 def identify(docs: DataFrame, samples: dict[str, bytes], keep: list[str], text: str = "text") -> DataFrame:
     """The kept columns, lang_pred and score of each row. Narrow: no shuffle."""
-    schema = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in keep) + ", lang_pred string, score double"
+    schema = schema_of(docs, keep, "lang_pred string, score double")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, data, offsets in text_slices(batches, text, 4_000_000):
@@ -195,10 +195,10 @@ def identify(docs: DataFrame, samples: dict[str, bytes], keep: list[str], text:
             cols = [part.column(part.schema.get_field_index(c)) for c in keep]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(lang.tolist(), pa.string()), pa.array(score)], names=[*keep, "lang_pred", "score"])
 
-    return docs.select(*keep, text).mapInArrow(run, schema)
+    return picked(docs, **{c: c for c in [*keep, text]}).mapInArrow(run, schema)
 
 
 def op7_langid(spark, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", (fold(parts=3) == 1).alias("held_out"))
+    docs = picked(table(spark, sf_dir, "documents"), doc_id="doc_id", text="text", lang="lang").withColumn("held_out", fold(parts=3) == 1)
     samples = learn_samples(docs.where(~F.col("held_out")))
     return identify(docs, samples, ["doc_id", "held_out"])

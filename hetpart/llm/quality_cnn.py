@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, table
+from .common import fold, picked, schema_of, table
 from .textbuf import ragged, text_slices
 
 STEP, SUB, CHUNK, HOP = 4, 16, 4, 3  # bytes a position, positions a strip, strips a chunk, strips between chunks
@@ -135,16 +135,16 @@ class Net:
 
 def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "quality", each: int = SAMPLE) -> Net | float:
     """A trained net, or the share of label 1 where only one class is labelled."""
-    good = labels.where(F.col(label).isNotNull() & F.col(key).isNotNull())
-    share = {r[0]: r[1] for r in good.groupBy(F.col(label).cast("int")).count().collect()}
+    good = picked(labels, _k=key, _y=label).where("_k IS NOT NULL AND _y IS NOT NULL")
+    share = {r[0]: r[1] for r in good.groupBy(F.col("_y").cast("int")).count().collect()}
     if not share.get(0) or not share.get(1):
         return float(share.get(1, 0) / sum(share.values())) if share else 0.5
-    one = good.groupBy(key).agg(F.max(F.col(label).cast("int")).alias("_y"))
-    part = [one.where(F.col("_y") == y).orderBy(F.xxhash64(key), key).limit(each) for y in (0, 1)]
+    one = good.groupBy("_k").agg(F.max(F.col("_y").cast("int")).alias("_y"))
+    part = [one.where(F.col("_y") == y).orderBy(F.xxhash64("_k"), "_k").limit(each) for y in (0, 1)]
     sample = F.broadcast(part[0].unionByName(part[1]))  # 2 * each rows at most
-    raw, n = F.coalesce(F.col(text), F.lit("")).cast("binary"), F.octet_length(F.coalesce(F.col(text), F.lit("")))
+    raw, n = F.coalesce(F.col("_t"), F.lit("")).cast("binary"), F.octet_length(F.coalesce(F.col("_t"), F.lit("")))
     pieces = F.concat(*[F.substring(raw, (n * k / PIECES).cast("int") + 1, PIECE) for k in range(PIECES)])
-    got = docs.select(key, text).join(sample, key).select(F.col(key).cast("string").alias("k"), "_y", F.when(n <= PIECES * PIECE, raw).otherwise(pieces).alias("t")).toPandas()
+    got = picked(docs, _k=key, _t=text).join(sample, "_k").select(F.col("_k").cast("string").alias("k"), "_y", F.when(n <= PIECES * PIECE, raw).otherwise(pieces).alias("t")).toPandas()
     got = got.sort_values("k", kind="stable")
     y = got["_y"].to_numpy(np.float32)
     if len(set(y.tolist())) < 2:
@@ -157,7 +157,7 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
 
 def score(docs: DataFrame, net: Net | float, keep: list[str], text: str = "text") -> DataFrame:
     """The kept columns, score (0 to 1) and predicted (1 from the threshold on)."""
-    schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep) + ", score double, predicted int"
+    schema = schema_of(docs, keep, "score double, predicted int")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, data, offsets in text_slices(batches, text):
@@ -165,10 +165,10 @@ def score(docs: DataFrame, net: Net | float, keep: list[str], text: str = "text"
             cols = [part.column(part.schema.get_field_index(c)) for c in keep]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(p), pa.array((p >= THRESHOLD).astype(np.int32))], names=[*keep, "score", "predicted"])
 
-    return docs.select(*dict.fromkeys([*keep, text])).mapInArrow(run, schema)
+    return picked(docs, **{c: c for c in [*keep, text]}).mapInArrow(run, schema)
 
 
 def op2_quality_cnn(spark, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     net = train(docs, labels.where(fold() != 0))
-    return score(docs.select("doc_id", "text", (fold() == 0).alias("held_out")), net, ["doc_id", "held_out"])
+    return score(picked(docs, doc_id="doc_id", text="text").withColumn("held_out", fold() == 0), net, ["doc_id", "held_out"])
