@@ -2,21 +2,20 @@
 
 Base rules count words, symbols, repeated lines and repeated three-word windows of each
 text. Across documents, each line is normalised (lower case, digits as 0, white space
-squeezed) and hashed with its host; a line that more than ``max_docs`` different texts
-of one host hold is boilerplate and goes. A document of which less than ``min_kept`` of
-the characters in words remain is depleted and rejected.
-
-Equal texts of a host count once, so copies don't make a page's own prose boilerplate.
-Counting is a two-step aggregate over 8-byte hashes: (host and line, text) pairs, then
-lines; each combines before its shuffle, so a host with a third of all rows is no hot
-key. The lines over the limit are written to the checkpoint folder; while their measured
+squeezed) and hashed with its host; a line that more than ``max_docs`` documents of one
+host hold is boilerplate and goes. A document of which less than ``min_kept`` of the
+characters in words remain is depleted and rejected.
+
+Counting is a two-step aggregate over 8-byte hashes: (host and line, document) pairs,
+then lines; each combines before its shuffle, so a host with a third of all rows is no
+hot key. The lines over the limit are written to the checkpoint folder; while their measured
 number is below ``BROADCAST_ROWS`` they meet the documents' lines without a shuffle,
 beyond it through an ordinary join.
 
 Defined results: null and empty texts have no word and fail the base rules; a null host
-is a host of its own; repeated rows count once for frequency and each give a row (the
-key may repeat: rows are joined by key, so equal keys must have equal texts); blank
-lines are never counted or removed.
+is a host of its own; repeated rows of one key count as one document and each give a
+row (rows are joined by key, so equal keys must have equal texts); rows without a key
+are one document; blank lines are never counted or removed; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, table
+from .common import boxed, checkpointed, picked, position, table, unboxed
 
 SPACE = "[\\x20\\x09-\\x0D]"  # fixed value
 SYMBOLS = "[#*$%&|<>]"  # fixed value
@@ -71,48 +70,49 @@ def normalised(text: Column) -> Column:
 
 
 def line_hashes(docs: DataFrame, host: str, text: str) -> DataFrame:
-    """Adds _h (hash of the text) and _lines: (hash with host, word characters) of each line."""
+    """Adds _lines: (hash with host, word characters) of each line."""
     t = F.coalesce(F.col(text), F.lit(""))
     rows = F.filter(F.transform(F.split(normalised(t), "\n", -1), lambda x: F.trim(x)), lambda x: x != "")
-    return docs.withColumn("_h", F.xxhash64(t)).withColumn("_lines", F.transform(rows, lambda x: F.struct(F.xxhash64(F.col(host), x).alias("k"), F.char_length(F.replace(x, F.lit(" "), F.lit(""))).alias("c"))))
+    return docs.withColumn("_lines", F.transform(rows, lambda x: F.struct(F.xxhash64(F.col(host), x).alias("k"), F.char_length(F.replace(x, F.lit(" "), F.lit(""))).alias("c"))))
 
 
-def frequent_lines(hashed: DataFrame, max_docs: int = MAX_DOCS) -> DataFrame:
-    """k: lines that more than max_docs different texts of a host hold."""
-    pairs = hashed.select("_h", F.explode(F.array_distinct(F.transform("_lines", lambda x: x["k"]))).alias("k"))
+def frequent_lines(hashed: DataFrame, key: str, max_docs: int = MAX_DOCS) -> DataFrame:
+    """k: lines that more than max_docs documents of a host hold."""
+    pairs = hashed.select(F.xxhash64(key).alias("_h"), F.explode(F.array_distinct(F.transform("_lines", lambda x: x["k"]))).alias("k"))
     once = pairs.groupBy("k", "_h").agg(F.lit(1).alias("one"))
     return once.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max_docs).select("k")
 
 
 def judge(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str = "text", max_docs: int = MAX_DOCS, min_kept: float = MIN_KEPT, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """Base counts, word characters in boilerplate lines and the verdict."""
-    base = with_base_rules(docs.select(key, text)).drop(text)
-    hashed = line_hashes(docs.select(key, host, text), host, text)
-    common = checkpointed(frequent_lines(hashed, max_docs))
-    lines = hashed.select(F.col(key).alias("_key"), F.posexplode("_lines").alias("i", "x")).select("_key", "i", "x.k", "x.c")
+    docs = picked(docs, _id=key, _host=host, _text=text)
+    base = with_base_rules(docs.select("_id", "_text"), "_text").drop("_text")
+    hashed = line_hashes(docs, "_host", "_text")
+    common = checkpointed(frequent_lines(hashed, "_id", max_docs))
+    lines = hashed.select(F.col("_id").alias("_key"), F.posexplode("_lines").alias("i", "x")).select("_key", "i", "x.k", "x.c")
     goal = F.broadcast(common) if common.count() <= broadcast_rows else common
     hits = lines.join(goal, "k").groupBy("_key").agg(F.collect_set(F.struct("i", "c")).alias("a"))  # lines of one document; a repeated row adds none
     hits = hits.select("_key", F.aggregate("a", F.lit(0).cast("long"), lambda s, x: s + x["c"]).alias("c"))
-    out = base.join(hits, F.col(key).eqNullSafe(F.col("_key")), "left").drop("_key")
+    out = base.join(hits, F.col("_id").eqNullSafe(F.col("_key")), "left").drop("_key")
     gone = F.coalesce(F.col("c"), F.lit(0).cast("long"))
     out = out.withColumn("boilerplate_chars", gone).drop("c")
     # one comparison over both: split in two, a filter on it would move below the base
     # rules' projections and repeat their expressions
     depleted = F.col("boilerplate_chars") > (1 - min_kept) * F.col("word_chars")
-    return out.withColumn("kept", F.col("base_failed").cast("int") + depleted.cast("int") == 0)
+    return out.withColumn("kept", F.col("base_failed").cast("int") + depleted.cast("int") == 0).withColumnRenamed("_id", key)
 
 
 def cleaned(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str = "text", max_docs: int = MAX_DOCS, min_kept: float = MIN_KEPT) -> DataFrame:
     """The documents that stay, without their boilerplate lines: for callers that filter."""
-    verdict = checkpointed(judge(docs, key, host, text, max_docs, min_kept))
-    hashed = line_hashes(docs.select(key, host, text), host, text)
-    common = checkpointed(frequent_lines(hashed, max_docs))
-    flat = docs.where(F.col(text).isNotNull()).select(key, host, F.posexplode(F.split(text, "\n", -1)).alias("i", "line"))
-    flat = flat.withColumn("k", F.xxhash64(F.col(host), F.trim(normalised(F.col("line")))))
+    verdict = checkpointed(judge(docs, key, host, text, max_docs, min_kept).select(F.col(f"`{key}`").alias("_ok"), "kept").where("kept").select("_ok").distinct())
+    rows = boxed(docs, _id=key, _host=host, _text=text)
+    common = checkpointed(frequent_lines(line_hashes(rows.drop("box"), "_host", "_text"), "_id", max_docs))
+    flat = rows.where("_text IS NOT NULL").dropDuplicates(["_id"]).select("_id", "_host", F.posexplode(F.split("_text", "\n", -1)).alias("i", "line"))
+    flat = flat.withColumn("k", F.xxhash64(F.col("_host"), F.trim(normalised(F.col("line")))))
     stay = flat.join(common.withColumn("_bad", F.lit(True)), "k", "left").where(F.col("_bad").isNull() | ~F.col("line").rlike("[^\\x20\\x09-\\x0D]"))
-    whole = stay.groupBy(F.col(key).alias("_key")).agg(F.sort_array(F.collect_list(F.struct("i", "line"))).alias("a")).select("_key", F.array_join(F.transform("a", lambda x: x["line"]), "\n").alias("_text"))
-    out = docs.join(verdict.where("kept").select(F.col(key).alias("_ok")), F.col(key) == F.col("_ok")).drop("_ok").join(whole, F.col(key) == F.col("_key"), "left").drop("_key")
-    return out.withColumn(text, F.coalesce("_text", F.lit(""))).select(*docs.columns)
+    whole = stay.groupBy(F.col("_id").alias("_key")).agg(F.sort_array(F.collect_list(F.struct("i", "line"))).alias("a")).select("_key", F.array_join(F.transform("a", lambda x: x["line"]), "\n").alias("_new"))
+    out = rows.join(verdict, F.col("_id").eqNullSafe(F.col("_ok"))).join(whole, F.col("_id").eqNullSafe(F.col("_key")), "left")
+    return unboxed(out, docs.columns, **{docs.columns[position(docs, text)]: F.coalesce("_new", F.lit(""))})
 
 
 def op10_line_rules(spark, sf_dir: str) -> DataFrame:

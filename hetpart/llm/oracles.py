@@ -25,7 +25,7 @@ g as materialized (select doc_id, i, w[i] || chr(1) || w[i + 1] || chr(1) || w[i
 r as (select doc_id, count(distinct p) as n from (select doc_id, unnest([i, i + 1, i + 2]) as p from (select doc_id, i, count(*) over (partition by doc_id, g) as c from g) where c > 1) group by 1),
 l as materialized (select doc_id, source, t, line, trim(regexp_replace(regexp_replace(lower(line), '[1-9]', '0', 'g'), '[\x20\x09\x0B-\x0D]+', ' ', 'g')) as plain from (select doc_id, source, t, unnest(string_split(t, chr(10))) as line from d) where regexp_matches(line, '[^\x20\x09-\x0D]')),
 u as (select doc_id, count(*) - count(distinct line) as n from l group by 1),
-f as (select source, plain from l group by source, plain having count(distinct t) > 20),
+f as (select source, plain from l group by source, plain having count(distinct doc_id) > 20),
 b as (select l.doc_id, sum(length(replace(l.plain, ' ', ''))) as c from l join f on f.plain = l.plain and f.source is not distinct from l.source group by 1),
 x as (select d.doc_id, len(w)::BIGINT as n_words, length(array_to_string(w, ''))::BIGINT as word_chars, (length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')))::BIGINT as n_symbols, coalesce(u.n, 0)::BIGINT as n_dup_lines, coalesce(r.n, 0)::BIGINT as n_repeat_words, coalesce(b.c, 0)::BIGINT as boilerplate_chars
  from d left join r on r.doc_id = d.doc_id left join u on u.doc_id = d.doc_id left join b on b.doc_id = d.doc_id)

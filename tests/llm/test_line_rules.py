@@ -31,19 +31,21 @@ def prose(k, n=60):
     return " ".join(f"word{k}x{i}" for i in range(n))
 
 
-def test_boilerplate_is_per_host_and_copies_count_once(spark):
+def test_boilerplate_counts_documents_of_a_host(spark):
+    solo = prose(1).replace("word", "term")
     foot = "\n".join(" ".join(f"All{i}x{j}  RIGHTS{j}y" for j in range(5)) + " page" for i in range(12))
     rows = [(k, f"{prose(k)}\n{foot}", "h1") for k in range(25)]
     rows += [(100 + k, f"{prose(k)}\n{foot}", "h2") for k in range(5)]
-    rows += [(200 + k, prose(999), "h1") for k in range(40)]  # copies
+    rows += [(200 + k, prose(999), "h1") for k in range(40)]  # copies are documents of their own
+    rows += [(300, solo, "h1")] * 30  # rows of one document
     docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
     for bound in (100_000, 0):
         r = {x["doc_id"]: x for x in L.judge(docs, broadcast_rows=bound).collect()}
         assert r[0]["boilerplate_chars"] > 0 and not r[0]["kept"] and not r[0]["base_failed"]
         assert r[100]["boilerplate_chars"] == 0 and r[100]["kept"]
-        assert r[200]["kept"]
+        assert r[200]["boilerplate_chars"] > 0 and not r[200]["kept"] and r[300]["kept"] and r[300]["boilerplate_chars"] == 0
     out = {x["doc_id"]: x["text"] for x in L.cleaned(docs, min_kept=0.1).collect()}
-    assert out[0] == prose(0) and out[100].endswith("page") and out[200] == prose(999)
+    assert out[0] == prose(0) and out[100].endswith("page") and 200 not in out and out[300] == solo
 
 
 def test_plan_is_native_and_empty(spark, frame):
