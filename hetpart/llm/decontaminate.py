@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import checkpointed, hot_join, picked, schema_of, table
-from .textbuf import LOWER, WORD, covered, prefix_sums, ragged, run_hashes, text_slices, words
+from .textbuf import LOWER, WORD, covered, joined, prefix_sums, ragged, run_hashes, text_slices, words
 
 WINDOW, GRAM = 10, 5
 MAX_BENCHMARK_BYTES = 32 << 20
@@ -103,12 +103,7 @@ class Scan:
     def text(self, s: np.ndarray, n: np.ndarray) -> pa.Array:
         """Runs of n words from s on, as text with one blank between words."""
         w = ragged(s, n)
-        size = self.ends[w] - self.starts[w] + 1
-        first = np.concatenate([[0], np.cumsum(size)])
-        out = np.full(int(first[-1]), 32, np.uint8)
-        inner = np.ones(len(out), np.bool_)
-        inner[first[1:] - 1] = False
-        out[inner] = self.data[ragged(self.starts[w], size - 1)]
+        out, first = joined(self.data, self.starts[w], self.ends[w])
         ends = first[np.concatenate([[0], np.cumsum(n)])]
         return pa.LargeStringArray.from_buffers(len(n), pa.py_buffer(ends.astype(np.int64).tobytes()), pa.py_buffer(out.tobytes())).cast(pa.string())
 

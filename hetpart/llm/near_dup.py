@@ -1,27 +1,33 @@
 """Near-duplicates: improved consistent weighted sampling over TF-IDF shingles.
 
 A document is its five-word shingles (all its words, if fewer); a shingle weighs its
-count times the mean IDF of its words. IDF comes from a table of fixed size that counts,
-over all documents, those holding a word of each hash value. Weighted samples agree with
+count times its IDF, ln(1 + N / max(df, N / ``RARE``)). df is the number of documents
+that hold the shingle, out of a count-min sketch of fixed size over all N documents: it
+exceeds the true one by about the mean load of a slot (mean shingles of a document over
+2 ** ``IDF_BITS``, as a share of N), whatever N is. Weighted samples agree with
 the probability of the weighted Jaccard similarity; ``ROWS`` of them make a band, and
 documents that agree in a band are candidates.
 
-Equal word sequences are folded first, so copies are neither paired nor moved. In each
-bucket the least document is the hub and all others meet it (a star, not all pairs).
-Texts of candidates are kept compressed and travel to their hubs, a hub with many in
-salted parts; weighted Jaccard similarity decides each link. Linked documents form
-classes (components). What a star may miss is made up for: where a hub's members are of
-several classes, those outside the hub's class meet all members of other classes, in
-blocks of bounded size. So each pair of different texts that shares a bucket is compared
-or known to be in one class, and what moves is documents times blocks, not pairs.
+Equal word sequences (by a 128-bit digest) are folded first, so copies are neither paired
+nor moved. In each bucket the least document is the hub and all others meet it (a star,
+not all pairs). Texts of candidates are kept compressed and travel to their hubs, a hub
+with many in salted parts; weighted Jaccard similarity decides each link. Linked documents
+form classes (components). What a star may miss is made up for: where a hub's members are
+of several classes, those outside the hub's class meet all members of other classes, both
+sides in blocks of bounded size. So each pair of different texts that shares a bucket is
+compared or known to be in one class, and what moves is documents times blocks, not pairs.
+Buckets and hubs with a thousandth of all rows get what belongs to them by broadcast, so
+their rows aren't gathered in one task.
 
 Defined results: a text without words is a class of its own, as is a null id (its class
 is null); a class's id is its least document id; equal rows share a class; ties don't
-arise, as ids decide; extra columns are ignored. Rows with one id must have one text.
+arise, as ids decide; extra columns are ignored. Rows of one id are one document: any of
+their texts may find it, the least in compressed form is compared, all are in one class.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,12 +36,13 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, table
-from .textbuf import LOWER, WORD, give_back, mix, prefix_sums, run_hashes, text_slices, words
+from .common import checkpointed, hot_join, picked, schema_of, table
+from .textbuf import LOWER, WORD, give_back, joined, mix, prefix_sums, run_hashes, text_slices, word_hashes, words
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 12, 4
-IDF_BITS, TABLE_BITS = 18, 15
+#: Slots of each row of the sketch (bits), and the share of documents up to which a shingle is rare.
+IDF_BITS, IDF_ROWS, RARE, TABLE_BITS = 18, 2, 256, 15
 SLICE = 400_000
 #: Words that a hub's part compares at most in one task, about.
 PART_WORDS = 400_000
@@ -44,53 +51,50 @@ PART_WORDS = 400_000
 # ---------------------------------------------------------------- documents' weights
 
 
+def slot(h: np.ndarray, row: int) -> np.ndarray:
+    """Where hashes fall in a row of the sketch: each row takes other bits."""
+    return ((h >> np.uint64(64 - IDF_BITS * (row + 1))) & np.uint64((1 << IDF_BITS) - 1)).astype(np.int64)
+
+
 def document_frequency(docs: DataFrame, text: str = "text") -> tuple[np.ndarray, int]:
-    """Documents by hash of word, in a table of fixed size, and all documents."""
+    """Count-min sketch of the documents that hold each shingle, and the number of documents."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        df, n = np.zeros(1 << IDF_BITS, np.int64), 0
-        for part, data, offsets in text_slices(batches, text):
-            data = LOWER[data]
-            starts, ends, bounds = words(data, offsets, WORD)
-            slot = (run_hashes(prefix_sums(data), starts, ends) >> np.uint64(64 - IDF_BITS)).astype(np.int64)
-            doc = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
-            df += np.bincount(np.unique((doc << IDF_BITS) | slot) & ((1 << IDF_BITS) - 1), minlength=1 << IDF_BITS)
+        df, n = np.zeros((IDF_ROWS, 1 << IDF_BITS), np.int32), 0
+        for part, data, offsets in text_slices(batches, text, SLICE):
+            h = Shingles(data, offsets).hash
+            for row in range(IDF_ROWS):
+                df[row] += np.bincount(slot(h, row), minlength=1 << IDF_BITS).astype(np.int32)
             n += part.num_rows
-        at = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(df[at], n))], names=["slot", "n"])
+        flat = df.ravel()
+        at = np.flatnonzero(flat)
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(flat[at], n).astype(np.int32))], names=["slot", "n"])
 
-    rows = docs.select(text).mapInArrow(count, "slot int, n bigint").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros(1 << IDF_BITS, np.int64)
+    rows = picked(docs, text=text).mapInArrow(count, "slot int, n int").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()  # IDF_ROWS * 2 ** IDF_BITS rows at most
+    out = np.zeros(IDF_ROWS << IDF_BITS, np.int64)
     at = rows["slot"].to_numpy()
     out[at[at >= 0]] = rows["n"].to_numpy()[at >= 0]
-    return out, int(rows["n"].to_numpy()[at < 0].sum())
+    return out.reshape(IDF_ROWS, -1), int(rows["n"].to_numpy()[at < 0].sum())
 
 
 def idf_table(df: np.ndarray, n: int) -> np.ndarray:
-    return np.log1p(n / np.maximum(df, 1)).astype(np.float32)
+    """IDF by row and slot; of a shingle's slots the greatest counts."""
+    return np.log1p(n / np.maximum(df, max(n / RARE, 1e-9))).astype(np.float32)
 
 
 class Shingles:
     """Different shingles of each document of a slice, with weights, ordered by document and hash."""
 
-    def __init__(self, data: np.ndarray, offsets: np.ndarray, idf: np.ndarray):
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, idf: np.ndarray | None = None):
         data = LOWER[data]
         starts, ends, bounds = words(data, offsets, WORD)
-        h = run_hashes(prefix_sums(data), starts, ends)
-        worth = idf[(h >> np.uint64(64 - IDF_BITS)).astype(np.int64)]
+        h = word_hashes(data, starts, ends)
         sums, n = prefix_sums(h), np.diff(bounds)
-        self.n_words = n
-        self.whole = run_hashes(sums, bounds[:-1], bounds[1:])
-        second = prefix_sums(h ^ np.uint64(0xC2B2AE3D27D4EB4F) * (h >> np.uint64(7)))
-        self.whole2 = run_hashes(second, bounds[:-1], bounds[1:])
+        self.n_words, self.data, self.starts, self.ends, self.word_bounds = n, data, starts, ends, bounds
         doc = np.repeat(np.arange(len(n)), n)
         size = np.minimum(n, SHINGLE)[doc]
         at = np.flatnonzero(bounds[1:][doc] - np.arange(len(doc)) >= size)
         size, doc = size[at], doc[at]
-        weight = worth[at].copy()
-        for k in range(1, SHINGLE):
-            weight += np.where(size > k, worth[np.minimum(at + k, max(len(worth) - 1, 0))], np.float32(0))
-        weight /= size.astype(np.float32)
         h = run_hashes(sums, at, at + size)
         bits = max(1, int(len(n)).bit_length())
         key = (doc.astype(np.uint64) << np.uint64(64 - bits)) | (h >> np.uint64(bits))
@@ -102,9 +106,16 @@ class Shingles:
         count = np.diff(np.append(first, len(key)))
         pick = order[first]
         self.doc, self.hash = doc[pick], h[pick]
-        self.weight = weight[pick] * count.astype(np.float32)
+        worth = np.ones(len(pick), np.float32) if idf is None else np.maximum.reduce([idf[row][slot(self.hash, row)] for row in range(IDF_ROWS)])
+        self.weight = worth * count.astype(np.float32)
         self.bounds = np.searchsorted(self.doc, np.arange(len(n) + 1))
 
+    def digests(self) -> np.ndarray:
+        """128-bit digests of the documents' word sequences, as two words each."""
+        out, first = joined(self.data, self.starts, self.ends)
+        cut, whole = first[self.word_bounds].tolist(), out.tobytes()
+        return np.frombuffer(b"".join(hashlib.blake2b(whole[a:b], digest_size=16).digest() for a, b in zip(cut[:-1], cut[1:], strict=True)), np.int64).reshape(-1, 2)
+
     def of(self, d: int) -> tuple[np.ndarray, np.ndarray]:
         """Sorted hashes and weights of one document."""
         a, b = self.bounds[d], self.bounds[d + 1]
@@ -171,36 +182,34 @@ def band_keys(sh: Shingles, bands: int = BANDS, rows: int = ROWS, seed: int = 7)
     return out
 
 
-def signatures(docs: DataFrame, idf: np.ndarray, key: str, text: str) -> DataFrame:
-    """id, n_words, two hashes of the word sequence (null without words) and band keys."""
+def signatures(docs: DataFrame, idf: np.ndarray) -> DataFrame:
+    """Of rows (id, text): id, n_words, two hashes of the word sequence (null without words) and band keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, data, offsets in text_slices(batches, text, SLICE):
+        for part, data, offsets in text_slices(batches, "text", SLICE):
             sh = Shingles(data, offsets, idf)
             none = sh.n_words == 0
-            keys = band_keys(sh)
+            keys, whole = band_keys(sh), sh.digests()
             lists = pa.ListArray.from_arrays(pa.array((np.arange(len(none) + 1) * BANDS).astype(np.int32)), pa.array(keys.ravel().view(np.int64)))
-            yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index(key)), pa.array(sh.n_words.astype(np.int64)), pa.array(sh.whole.view(np.int64), mask=none), pa.array(sh.whole2.view(np.int64), mask=none), lists], names=["id", "n_words", "h1", "h2", "bands"])
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sh.n_words.astype(np.int64)), pa.array(whole[:, 0], mask=none), pa.array(whole[:, 1], mask=none), lists], names=["id", "n_words", "h1", "h2", "bands"])
 
-    kind = docs.schema[key].dataType.simpleString()
-    return docs.select(key, text).mapInArrow(run, f"id {kind}, n_words bigint, h1 bigint, h2 bigint, bands array<bigint>")
+    return docs.mapInArrow(run, schema_of(docs, ["id"], "n_words bigint, h1 bigint, h2 bigint, bands array<bigint>"))
 
 
 # ---------------------------------------------------------------- links
 
 
-def squeezed(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """id and the compressed text of each row."""
-    kind = docs.schema[key].dataType.simpleString()
+def squeezed(docs: DataFrame) -> DataFrame:
+    """id and the compressed text of each row (id, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         z = zstandard.ZstdCompressor(level=3)
-        for part, data, offsets in text_slices(batches, text):
+        for part, data, offsets in text_slices(batches, "text"):
             whole = data.tobytes()
             blobs = [z.compress(whole[a:b]) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([part.column(part.schema.get_field_index(key)), pa.array(blobs, pa.binary())], names=["id", "z"])
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(blobs, pa.binary())], names=["id", "z"])
 
-    return docs.select(key, text).mapInArrow(run, f"id {kind}, z binary")
+    return docs.mapInArrow(run, schema_of(docs, ["id"], "z binary"))
 
 
 def _texts(blobs: list[bytes], idf: np.ndarray) -> Iterator[Shingles]:
@@ -216,13 +225,12 @@ def _texts(blobs: list[bytes], idf: np.ndarray) -> Iterator[Shingles]:
         yield Shingles(*_buffer(held), idf)
 
 
-def star_similarities(pairs: DataFrame, texts: DataFrame, idf: np.ndarray) -> DataFrame:
+def star_similarities(pairs: DataFrame, texts: DataFrame, idf: np.ndarray, total: int) -> DataFrame:
     """hub, id and similarity of each pair (hub, id, n_words of id).
 
     A hub's pairs are dealt over parts by the words they bring; its text goes to each."""
-    kind = pairs.schema["id"].dataType.simpleString()
-    parts = pairs.groupBy("hub").agg(F.ceil(F.sum("n_words") / PART_WORDS).cast("int").alias("parts"))
-    dealt = pairs.join(parts, "hub").select("hub", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int").alias("part"), "id")
+    parts = checkpointed(pairs.groupBy("hub").agg(F.ceil(F.sum("n_words") / PART_WORDS).cast("int").alias("parts"), F.count(F.lit(1)).alias("n")))
+    dealt = hot_join(pairs, parts, ["hub"], "n", total).select("hub", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int").alias("part"), "id")
     own = parts.select("hub", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("hub").alias("id"))
 
     def compare(group: pa.Table) -> pa.Table:
@@ -233,20 +241,19 @@ def star_similarities(pairs: DataFrame, texts: DataFrame, idf: np.ndarray) -> Da
         give_back()
         return pa.Table.from_arrays([pa.array(np.full(len(rest), hub, ids.dtype)), pa.array(ids[rest]), pa.array(np.concatenate(sim) if sim else np.zeros(0))], names=["hub", "id", "sim"])
 
-    return dealt.unionByName(own).join(texts, "id").groupBy("hub", "part").applyInArrow(compare, f"hub {kind}, id {kind}, sim double")
+    return dealt.unionByName(own).join(texts, "id").groupBy("hub", "part").applyInArrow(compare, schema_of(pairs, ["hub", "id"], "sim double"))
 
 
 def further_links(open_: DataFrame, texts: DataFrame, idf: np.ndarray, similarity: float) -> DataFrame:
-    """Links (a, b) between different classes of a hub's members: hub, id, n_words, class, out.
+    """Links (a, b) between different classes of a hub's members: hub, id, class, out, and of
+    the hub the numbers of blocks of all members and of outer ones.
 
-    Members outside the hub's class (``out``) meet all members of other classes; a hub's
-    members are dealt over blocks by their words, the outer ones go to every block. Of an
-    outer member's links to one class in a block the first is enough."""
-    kind = open_.schema["id"].dataType.simpleString()
-    blocks = open_.groupBy("hub").agg(F.ceil(F.sum("n_words") / PART_WORDS).cast("int").alias("blocks"))
-    rows = open_.join(blocks, "hub")
-    inner = rows.select("hub", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int").alias("block"), "id", "class", F.lit(False).alias("pivot"))
-    outer = rows.where("out").select("hub", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "id", "class", F.lit(True).alias("pivot"))
+    Members outside the hub's class (``out``) meet all members of other classes, block by
+    block. Of an outer member's links to one class in a block the first is enough."""
+    block = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    inner = open_.select("hub", block("blocks").alias("i"), every("outer_blocks").alias("j"), "id", "class", F.lit(False).alias("pivot"))
+    outer = open_.where("out").select("hub", every("blocks").alias("i"), block("outer_blocks").alias("j"), "id", "class", F.lit(True).alias("pivot"))
 
     def meet(group: pa.Table) -> pa.Table:
         pivot = group.column("pivot").to_numpy(zero_copy_only=False)
@@ -266,7 +273,8 @@ def further_links(open_: DataFrame, texts: DataFrame, idf: np.ndarray, similarit
                     b += ids[here[hit]].tolist()
         return pa.Table.from_arrays([pa.array(np.array(a, ids.dtype)), pa.array(np.array(b, ids.dtype))], names=["a", "b"])
 
-    return inner.unionByName(outer).join(texts, "id").groupBy("hub", "block").applyInArrow(meet, f"a {kind}, b {kind}")
+    kind = open_.select(F.col("id").alias("a"), F.col("id").alias("b"))
+    return inner.unionByName(outer).join(texts, "id").groupBy("hub", "i", "j").applyInArrow(meet, kind.schema)
 
 
 def _buffer(raw: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -279,13 +287,14 @@ def components(edges: DataFrame) -> DataFrame:
     Large and small stars by turns: each vertex's larger neighbours move to its least
     neighbour, then its smaller ones do; a logarithmic number of rounds in practice."""
     edges = checkpointed(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    before = None
+    before, total = None, 2 * edges.count()
+    n = F.count(F.lit(1)).alias("n")
     while True:
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(low, "a")
+        least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), n)
+        large = hot_join(both.where("b > a"), least, ["a"], "n", total).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = checkpointed(large)
+        small = hot_join(large, large.groupBy("a").agg(F.min("b").alias("m"), n), ["a"], "n", total)
         after = small.select("a", F.col("m").alias("b")).unionByName(small.where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))).distinct()
         edges = checkpointed(after)
         state = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
@@ -296,35 +305,41 @@ def components(edges: DataFrame) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """Each row's id, the class it is in (its least id) and whether it is that one."""
-    docs = docs.select(key, text)
-    df, n = document_frequency(docs, text)
+    docs = picked(docs, id=key, text=text)
+    df, n = document_frequency(docs)
     idf = idf_table(df, n)
-    signed = checkpointed(signatures(docs, idf, key, text))
+    signed = checkpointed(signatures(docs, idf))
     same = signed.where("h1 IS NOT NULL AND id IS NOT NULL")
     first = checkpointed(same.groupBy("h1", "h2", "n_words").agg(F.min("id").alias("id"), F.first("bands").alias("bands")))
     rows = first.select("id", "n_words", F.posexplode("bands").alias("band", "key"))
-    hubs = rows.groupBy("band", "key").agg(F.min("id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    member = checkpointed(rows.join(hubs, ["band", "key"]).select("hub", "id", "n_words").distinct())
-    texts = squeezed(docs, key, text).join(member.select("id").distinct(), "id", "left_semi").groupBy("id").agg(F.first("z").alias("z"))
+    hubs = checkpointed(rows.groupBy("band", "key").agg(F.min("id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1"))
+    member = hot_join(rows, hubs, ["band", "key"], "n", BANDS * first.count())
+    member = checkpointed(member.groupBy("hub", "id").agg(F.max("n_words").alias("n_words")))
+    total = member.count()
+    texts = squeezed(docs).join(member.select("id").distinct(), "id", "left_semi").groupBy("id").agg(F.min("z").alias("z"))
     texts = checkpointed(texts)
-    star = star_similarities(member.where("hub <> id"), texts, idf).where(F.col("sim") >= similarity)
+    star = star_similarities(member.where("hub <> id"), texts, idf, total).where(F.col("sim") >= similarity)
     links = checkpointed(star.select(F.col("id").alias("a"), F.col("hub").alias("b")))
     classes = components(links)
-    more = checkpointed(further_links(_open(member, classes), texts, idf, similarity))
+    more = checkpointed(further_links(_open(member, classes, total), texts, idf, similarity))
     if not more.isEmpty():
         classes = components(more.unionByName(classes.select(F.col("id").alias("a"), F.col("class").alias("b"))))
     least = first.select("h1", "h2", "n_words", F.col("id").alias("rep")).join(classes.withColumnRenamed("id", "rep"), "rep", "left").select("h1", "h2", "n_words", F.coalesce("class", "rep").alias("class_id"))
     out = signed.select("id", "h1", "h2", "n_words").join(least, ["h1", "h2", "n_words"], "left")
-    return out.select(F.col("id").alias(key), F.when(F.col("id").isNotNull(), F.coalesce("class_id", "id")).alias("class_id")).withColumn("is_kept", F.coalesce(F.col(key) == F.col("class_id"), F.lit(True)))
+    class_id = F.when(F.col("id").isNotNull(), F.coalesce("class_id", "id"))
+    return out.select("id", class_id.alias("class_id"), F.coalesce(F.col("id") == class_id, F.lit(True)).alias("is_kept")).withColumnRenamed("id", key)
 
 
-def _open(member: DataFrame, classes: DataFrame) -> DataFrame:
-    """Members of the hubs whose members are of several classes, each with its class."""
+def _open(member: DataFrame, classes: DataFrame, total: int) -> DataFrame:
+    """Members of the hubs whose members are of several classes, each with its class, and
+    the hubs' numbers of blocks."""
     of = member.join(classes, "id", "left").withColumn("class", F.coalesce("class", "id"))
     head = classes.select(F.col("id").alias("hub"), F.col("class").alias("hub_class"))
-    of = of.join(head, "hub", "left").withColumn("out", F.col("class") != F.coalesce("hub_class", "hub")).drop("hub_class")
-    several = of.groupBy("hub").agg(F.max("out").alias("several"), F.count(F.lit(1)).alias("n")).where("several AND n > 2").select("hub")
-    return of.join(several, "hub", "left_semi")
+    hubs = member.groupBy("hub").agg(F.count(F.lit(1)).alias("n")).join(head, "hub", "left").withColumn("hub_class", F.coalesce("hub_class", "hub"))
+    of = checkpointed(hot_join(of, checkpointed(hubs), ["hub"], "n", total).withColumn("out", F.col("class") != F.col("hub_class")).drop("hub_class", "n"))
+    blocks = lambda w: F.greatest(F.ceil(F.sum(w) / PART_WORDS), F.lit(1)).cast("int")
+    several = of.groupBy("hub").agg(F.max("out").alias("several"), F.count(F.lit(1)).alias("n"), blocks("n_words").alias("blocks"), blocks(F.when(F.col("out"), F.col("n_words"))).alias("outer_blocks"))
+    return hot_join(of, checkpointed(several.where("several AND n > 2").drop("several")), ["hub"], "n", total)
 
 
 def op9_near_dup(spark, sf_dir: str) -> DataFrame:

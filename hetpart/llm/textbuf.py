@@ -12,6 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 
 #: Bytes of text that a kernel handles at once; a longer document is handled alone.
 SLICE_BYTES = 2_000_000
@@ -102,6 +103,29 @@ def run_hashes(sums: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
     return mix(h)
 
 
+#: Longer words are hashed by xxhash: the sums above are blind to some patterns of 2 ** 10 letters.
+LONG_WORD = 64
+
+
+def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of words."""
+    h = run_hashes(prefix_sums(data), starts, ends)
+    for i in np.flatnonzero(ends - starts > LONG_WORD).tolist():
+        h[i] = xxhash.xxh64_intdigest(data[starts[i] : ends[i]].tobytes())
+    return h
+
+
+def joined(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The words behind each other, a blank after each, and where each begins, and the end."""
+    size = ends - starts + 1
+    first = np.concatenate([[0], np.cumsum(size)])
+    out = np.full(int(first[-1]), 32, np.uint8)
+    inner = np.ones(len(out), np.bool_)
+    inner[first[1:] - 1] = False
+    out[inner] = data[ragged(starts, size - 1)]
+    return out, first
+
+
 def words(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(starts, ends, bounds): maximal runs of bytes that is_word marks, never across
     documents; bounds[d]:bounds[d+1] are the words of document d."""

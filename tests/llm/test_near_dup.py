@@ -54,7 +54,7 @@ def test_unrelated_texts_stay_apart_and_edge_rows(spark, frame):
 def test_samples_agree_as_often_as_weights_do():
     words = [f"w{k}" for k in range(400)]
     a, b = " ".join(words), " ".join(words[:360] + [f"v{k}" for k in range(40)])
-    sh = N.Shingles(*N._buffer([a.encode(), b.encode()]), np.ones(1 << N.IDF_BITS, np.float32))
+    sh = N.Shingles(*N._buffer([a.encode(), b.encode()]), None)
     keys = N.band_keys(sh, bands=600, rows=1)
     share = (keys[0] == keys[1]).mean()
     assert abs(share - N.weighted_jaccard(sh.of(0), sh)[1]) < 0.06
@@ -66,3 +66,43 @@ def test_small_blocks_give_the_same_classes(frame, sample, edited, monkeypatch):
     one = {tuple(r) for r in N.near_duplicates(frame(docs)).collect()}
     monkeypatch.setattr(N, "PART_WORDS", 1500)
     assert {tuple(r) for r in N.near_duplicates(frame(docs)).collect()} == one
+
+
+def test_recall_of_pairs(frame, sample, edited):
+    """Pairs of different texts at 0.8 or more, by brute force, end up in one class: nine in ten or more."""
+    docs = list(sample.items())
+    for b, text in enumerate(sorted(sample.values(), key=len)[60:160:5]):
+        docs += [(800_000 + 20 * b + k, edited(text, (0.003, 0.006, 0.012, 0.02, 0.03)[k % 5], 31 * b + k)) for k in range(12)]
+    df = frame(docs)
+    counts, n = N.document_frequency(df)
+    sh = N.Shingles(*N._buffer([(t or "").encode() for _, t in docs]), N.idf_table(counts, n))
+    ids = [i for i, _ in docs]
+    pairs = [(ids[q], ids[p]) for q in range(len(ids)) for p in np.flatnonzero(N.weighted_jaccard(sh.of(q), sh) >= 0.8).tolist() if p > q and docs[p][1] != docs[q][1]]
+    got = {r["doc_id"]: r["class_id"] for r in N.near_duplicates(df).collect()}
+    recall = sum(got[a] == got[b] for a, b in pairs) / len(pairs)
+    print(f"recall of {len(pairs)} pairs: {recall:.4f}")
+    assert len(pairs) > 300 and recall >= 0.99
+
+
+def test_sketch_never_counts_too_few_and_rarely_too_many(frame, sample):
+    docs = list(sample.items())
+    counts, n = N.document_frequency(frame(docs))
+    sh = N.Shingles(*N._buffer([(t or "").encode() for _, t in docs]))
+    h, true = np.unique(sh.hash, return_counts=True)
+    told = np.minimum(counts[0][N.slot(h, 0)], counts[1][N.slot(h, 1)])
+    assert (told >= true).all() and (told - true <= n / N.RARE).mean() > 0.95
+
+
+def test_structured_words_and_texts_stay_apart(frame):
+    word = lambda flip, n: "".join("ab"[(bin(i).count("1") + flip) % 2] for i in range(n))
+    long = lambda flip: " ".join(("x", "y")[(bin(i).count("1") + flip) % 2] for i in range(4096))
+    r = {x["doc_id"]: x["class_id"] for x in N.near_duplicates(frame([(1, word(0, 2048)), (2, word(1, 2048)), (3, long(0) + " end"), (4, long(1) + " end")])).collect()}
+    assert r[1] == 1 and r[2] == 2
+    sh = N.Shingles(*N._buffer([long(0).encode(), long(1).encode()]))
+    assert (sh.digests()[0] != sh.digests()[1]).any()
+
+
+def test_one_id_with_several_texts(frame):
+    a, b = " ".join(f"p{k}" for k in range(40)), " ".join(f"q{k}" for k in range(40))
+    r = [tuple(x) for x in N.near_duplicates(frame([(1, a), (1, b), (2, b), (3, "else where")])).collect()]
+    assert sorted(r) == [(1, 1, True), (1, 1, True), (2, 1, False), (3, 3, True)]
