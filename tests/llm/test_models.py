@@ -107,6 +107,72 @@ def test_toxic_words_are_learned_and_odd_rows_pass(spark, frame, awkward):
     assert toxicity.score(frame([]), chain, ["doc_id"]).count() == 0
 
 
+def test_scores_equal_a_plain_chain(spark, frame, awkward):
+    """Features word by word, models one after another: the scores of the vectorised chain."""
+    import re
+
+    docs = [(k, f"plain words about number {k} and gardens{' vile grublin' * (k % 4 == 0)}") for k in range(120)]
+    chain = toxicity.train(frame(docs), spark.createDataFrame([(k, int(k % 4 == 0)) for k in range(120)], "doc_id long, toxic int"))
+
+    def feature(raw, head):
+        data = np.frombuffer(raw, np.uint8)
+        h = int(toxicity.run_hashes(toxicity.prefix_sums(data), np.array([0]), np.array([len(raw)]))[0])
+        return (h ^ (0xA5A5A5A5A5A5A5A5 if head else 0)) >> (64 - toxicity.BITS)
+
+    def plain(text):
+        words = re.findall(rb"[0-9a-z\x80-\xff]+", bytes(b + 32 if 65 <= b <= 90 else b for b in (text or "").encode()))
+        found = {feature(x, False) for x in words} | {feature(x[:k], True) for x in words for k in toxicity.HEADS if len(x) > k}
+        cols, p = {int(chain.lut[f]) for f in found} - {-1}, []
+        for w in chain.weights:
+            z = sum(w[c] for c in cols) + sum(a * b for a, b in zip(p, w[toxicity.FEATURES :], strict=False)) + w[-1]
+            p.append(1 / (1 + np.exp(-np.clip(z, -30, 30))))
+        return p
+
+    rows = [(i, t) for i, t in [*docs, *awkward] if i != 900_100]
+    got = {r["doc_id"]: [r[f"p_{c}"] for c in toxicity.CATEGORIES] + [r["is_toxic"]] for r in toxicity.score(frame(rows), chain, ["doc_id"]).collect()}
+    for i, t in rows:
+        p = plain(t)
+        assert got[i][:-1] == pytest.approx(p, abs=1e-9) and got[i][-1] == (p[-1] >= chain.threshold)
+
+
+def test_out_of_fold_probabilities_never_see_their_fold():
+    """With labels that only a row's own features could tell, held-out scores know nothing."""
+    rng = np.random.default_rng(3)
+    n = 240
+    part, truth = np.arange(n) % toxicity.FOLDS, (rng.random(n) < 0.5).astype(np.float32)
+    asked = []
+
+    def view(k):
+        asked.append(k)
+        x = np.zeros((n, toxicity.FEATURES), np.float32)
+        x[np.arange(n), np.arange(n)] = 1
+        y = np.stack([truth, truth, truth], 1)
+        if k is not None:
+            y[part == k] = np.nan  # a model of this fold must not read them
+        return x, y
+
+    weights, threshold = toxicity.fit_chain(view, np.ones(n, np.float32), part, truth)
+    assert set(asked) == {None, *range(toxicity.FOLDS)} and len(weights) == 3
+    assert all(np.isfinite(w).all() for w in weights) and 0 <= threshold <= 1
+
+
+def test_scores_equal_a_plain_convolution():
+    """The net's score byte by byte, filter by filter and chunk by chunk, without its layout."""
+    net = quality_cnn.Net(5)
+    net.p["bias"] += np.random.default_rng(2).normal(0, 0.1, net.p["bias"].shape).astype(np.float32)
+    emb, filters = net.p["emb"].astype(float), np.concatenate([net.p["near"], net.p["far"]]).astype(float)
+    for text in (b"", b"short", b"some text " * 40, bytes(range(256)) * 2, b"x" * 64, b"yz" * 129):
+        strips = max(1, -(-len(text) // 64))
+        padded = [*text, *[256] * (64 * (strips + 1) - len(text))]
+        best = []
+        for s in range(strips):
+            at = [np.concatenate([emb[padded[i + k]] for k in range(8)]) @ filters + net.p["bias"] for i in range(64 * s, 64 * s + 64, 4)]
+            best.append(np.maximum(np.max(at, axis=0), 0))
+        chunks = [np.max(best[3 * c : 3 * c + 4], axis=0) for c in range(max(1, -(-(strips - 4) // 3) + 1))]
+        z = float(np.mean(chunks, axis=0) @ net.p["mean"] + np.max(chunks, axis=0) @ net.p["top"] + net.p["out"][0])
+        assert net.scores(np.frombuffer(text, np.uint8), np.array([0, len(text)]))[0] == pytest.approx(1 / (1 + np.exp(-z)), abs=1e-5)
+
+
 def test_quality_without_labels(spark, frame, awkward):
     none = spark.createDataFrame([], "doc_id long, quality int")
     assert {r["score"] for r in quality_cnn.score(frame(awkward), quality_cnn.train(frame(awkward), none), ["doc_id"]).collect()} == {0.5}
