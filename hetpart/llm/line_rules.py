@@ -104,7 +104,7 @@ def judge(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str
 
 def cleaned(docs: DataFrame, key: str = "doc_id", host: str = "source", text: str = "text", max_docs: int = MAX_DOCS, min_kept: float = MIN_KEPT) -> DataFrame:
     """The documents that stay, without their boilerplate lines: for callers that filter."""
-    verdict = checkpointed(judge(docs, key, host, text, max_docs, min_kept).select(F.col(f"`{key}`").alias("_ok"), "kept").where("kept").select("_ok").distinct())
+    verdict = checkpointed(judge(docs, key, host, text, max_docs, min_kept)).where("kept").select(F.col(f"`{key}`").alias("_ok")).distinct()
     rows = boxed(docs, _id=key, _host=host, _text=text)
     common = checkpointed(frequent_lines(line_hashes(rows.drop("box"), "_host", "_text"), "_id", max_docs))
     flat = rows.where("_text IS NOT NULL").dropDuplicates(["_id"]).select("_id", "_host", F.posexplode(F.split("_text", "\n", -1)).alias("i", "line"))

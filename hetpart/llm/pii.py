@@ -27,7 +27,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, table
+from .common import boxed, checkpointed, picked, position, table, unboxed
 
 #: The kinds in order with their patterns.
 EMAIL = "(?:(?<![A-Za-z0-9._%+-])|\\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\\.[A-Za-z0-9-]++)++"
@@ -193,7 +193,6 @@ def disclosing(near: DataFrame, counts: DataFrame, total: int, key: str, alpha:
 
 def term_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", alpha: float = ALPHA, support: int = SUPPORT) -> DataFrame:
     """_key and _terms: the sorted spans of disclosing terms of each document that has one."""
-    docs = docs.select(key, text)
     words = checkpointed(with_words(with_base_spans(docs, text), key))
     near = checkpointed(near_terms(words, key))
     total = docs.count()
@@ -215,18 +214,19 @@ def term_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", alpha:
 
 def findings(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:
     """Counts and span lists of each document. Texts stay where they are read."""
-    base = with_base_spans(docs.select(key, text), text)
+    name, docs, key, text = key, picked(docs, _id=key, _text=text), "_id", "_text"
+    base = with_base_spans(docs, text)
     lists = F.concat(*[listed(kind, F.col(f"_{kind}")) for kind, *_ in KINDS])
     base = base.select(key, *[F.size(f"_{kind}").cast("long").alias(f"n_{kind}") for kind, *_ in KINDS], lists.alias("_list"))
     out = base.join(term_spans(docs, key, text, **limits), F.col(key).eqNullSafe(F.col("_key")), "left")
     terms = F.coalesce("_terms", F.array().cast("array<struct<s:int,e:int,generalise:boolean>>"))
-    return out.select(key, *[f"n_{kind}" for kind, *_ in KINDS], F.sha2(F.array_join("_list", ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.concat("_list", listed("term", terms)), ",").alias("spans"), F.size(terms).cast("long").alias("n_term"))
+    return out.select(F.col("_id").alias(name), *[f"n_{kind}" for kind, *_ in KINDS], F.sha2(F.array_join("_list", ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.concat("_list", listed("term", terms)), ",").alias("spans"), F.size(terms).cast("long").alias("n_term"))
 
 
 def sanitised(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:
     """The documents with base spans masked and disclosing terms generalised or removed."""
     # extra columns travel in one struct, so their names can't clash with those here
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"), F.col(key).alias("_id"), F.col(text).alias("_text"))
+    rows = boxed(docs, _id=key, _text=text)
     terms = term_spans(rows.select("_id", "_text"), "_id", "_text", **limits)
     df = with_base_spans(rows.join(terms, F.col("_id").eqNullSafe(F.col("_key")), "left").drop("_key"), "_text")
     kind = "array<struct<s:int,e:int,put:string>>"
@@ -244,7 +244,7 @@ def sanitised(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits
         return F.concat(F.array_join(acc["out"], ""), F.substring(F.col("_t"), acc["pos"] + 1, F.lit(2**31 - 1)))
 
     new = F.when(F.size("_marks") == 0, F.col("_text")).otherwise(F.aggregate("_marks", zero, step, close))
-    return df.select("_doc", new.alias("_new")).select(*[F.col("_new").alias(c) if c == text else F.col("_doc").getField(c).alias(c) for c in docs.columns])
+    return unboxed(df.select("box", new.alias("_new")), docs.columns, **{docs.columns[position(docs, text)]: F.col("_new")})
 
 
 def op3_pii(spark, sf_dir: str) -> DataFrame:

@@ -37,7 +37,7 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
 
-from .common import plan_bytes, table
+from .common import picked, plan_bytes, table
 from .textbuf import covered, give_back, mix, powers, prefix_sums, ragged, run_hashes, text_slices
 
 LENGTH, GRAM, SHALLOW = 50, 16, 16
@@ -412,10 +412,10 @@ NAMES = ["n_bytes", "n_removed", "n_spans", "kept_sha256"]
 
 def deduplicate(docs: DataFrame, key: str = "doc_id", text: str = "text", *, texts: bool = True, buckets: int | None = None) -> DataFrame:
     """Sizes, removed bytes and runs of each document and, as wanted, the bytes kept."""
-    docs = docs.select(key, text)
+    docs, name, key, text = picked(docs, key=key, text=text), key, "key", "text"
     buckets = buckets or bucket_count(docs)
-    schema = f"{key} bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept binary" * texts
-    return with_ranges(docs, removed_ranges(docs, buckets, key, text), buckets, key, text, schema, _finish(key, texts))
+    schema = f"key bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept binary" * texts
+    return with_ranges(docs, removed_ranges(docs, buckets, key, text), buckets, key, text, schema, _finish(key, texts)).withColumnRenamed("key", name)
 
 
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:
