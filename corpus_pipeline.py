@@ -12,42 +12,41 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hetpart.llm import bpe, decontaminate, near_dup, pii, toxicity
-from hetpart.llm.common import shared_folder, table
+from hetpart.llm.common import boxed, picked, position, shared_folder, table, unboxed
 
-#: SQL can't express the trained and sampled stages; tests/llm holds run() against brute force.
+#: SQL can't express the trained and sampled stages; tests/llm holds each against brute force.
 ORACLE_SQL = None
 
 
-def boxed(docs: DataFrame) -> DataFrame:
-    """text, and the whole row as ``_doc``: it passes through an operator as its key."""
-    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"), "text")
-
-
 def toxic_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier chain takes as toxic go. It learns from the labels of
     the documents that are here."""
     chain = toxicity.train(docs, table(spark, sf_dir, "labels"))
-    return toxicity.score(boxed(docs), chain, ["_doc"]).where(~F.col("is_toxic")).select("_doc.*")
+    return unboxed(toxicity.score(boxed(docs, text="text"), chain, ["box"]).where(~F.col("is_toxic")), docs.columns)
 
 
 def near_copies_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near-duplicates the document with the least id stays, once; a
     document without an id stays."""
-    kept = near_dup.near_duplicates(docs).where("is_kept AND doc_id IS NOT NULL").select("doc_id").distinct()
-    named = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
+    rows = boxed(docs, doc_id="doc_id")
+    kept = near_dup.near_duplicates(picked(docs, doc_id="doc_id", text="text")).where("is_kept AND doc_id IS NOT NULL").select("doc_id").distinct()
+    named = rows.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return unboxed(named.unionByName(rows.where("doc_id IS NULL")), docs.columns)
 
 
 def benchmark_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a window of a benchmark item go."""
-    verdict = decontaminate.contamination(boxed(docs), table(spark, sf_dir, "benchmark"), key="_doc")
-    return verdict.where(~F.col("contaminated")).select("_doc.*")
+    verdict = decontaminate.contamination(boxed(docs, text="text"), table(spark, sf_dir, "benchmark"), key="box")
+    return unboxed(verdict.where(~F.col("contaminated")), docs.columns)
 
 
 def personal_data_masked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Personal data is masked, terms that disclose it are generalised or removed."""
     out = pii.sanitised(docs)
-    return out.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)).select(*docs.columns) if "n_chars" in docs.columns else out
+    if "n_chars" not in docs.columns:
+        return out
+    kind = docs.schema.fields[position(docs, "n_chars")].dataType
+    return unboxed(boxed(out, new="text"), docs.columns, n_chars=F.char_length("new").cast(kind))
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
