@@ -47,6 +47,9 @@ ALPHA, SUPPORT = 1.1, 2
 SPAN = "array<struct<s:int,e:int,hit:string>>"
 #: Matches placed in one fold: a fold copies its list at each step, so long texts take blocks.
 BLOCK = 256
+#: Code points of the pieces that long texts are cut into before they are put together anew.
+PIECE = 1024
+MARKS = "array<struct<s:int,e:int,put:string>>"
 
 
 def located(text: Column, pattern: str) -> Column:
@@ -223,27 +226,55 @@ def findings(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits)
     return out.select(F.col("_id").alias(name), *[f"n_{kind}" for kind, *_ in KINDS], F.sha2(F.array_join("_list", ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.concat("_list", listed("term", terms)), ",").alias("spans"), F.size(terms).cast("long").alias("n_term"))
 
 
+def reached(marks: Column) -> Column:
+    """Adds ``before`` to sorted marks: how far the marks before it reach. As places in
+    ``located``, it is found within blocks first, then from block to block."""
+    kind = "array<struct<s:int,e:int,put:string,before:int>>"
+    zero = F.struct(F.lit(0).alias("to"), F.array().cast(kind).alias("out"))
+    none = F.struct(F.lit(0).alias("to"), F.array().cast(f"array<{kind}>").alias("out"))
+    mark = lambda x, before: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["put"].alias("put"), before.alias("before"))
+
+    def step(acc: Column, x: Column) -> Column:
+        return F.struct(F.greatest(acc["to"], x["e"]).alias("to"), F.concat(acc["out"], F.array(mark(x, acc["to"]))).alias("out"))
+
+    def behind(acc: Column, block: Column) -> Column:
+        moved = F.transform(block["out"], lambda x: mark(x, F.greatest(acc["to"], x["before"])))
+        return F.struct(F.greatest(acc["to"], block["to"]).alias("to"), F.concat(acc["out"], F.array(moved)).alias("out"))
+
+    def told(all_: Column) -> Column:
+        starts = F.sequence(F.lit(1), F.greatest(F.size(all_), F.lit(1)), F.lit(BLOCK))
+        blocks = F.transform(starts, lambda k: F.aggregate(F.slice(all_, k, F.lit(BLOCK)), zero, step))
+        return F.flatten(F.aggregate(blocks, none, behind, lambda acc: acc["out"]))
+
+    return F.get(F.transform(F.array(marks), told), F.lit(0))
+
+
+def cut(a: Column, b: Column) -> Column:
+    """The text from place a to place b, out of the pieces in ``_pieces``: a place is reached
+    within its piece, not from the text's start."""
+    first, last = F.floor(a / PIECE).cast("int"), F.floor((b - 1) / PIECE).cast("int")
+    head = F.substring(F.get("_pieces", first), a - first * PIECE + 1, F.least(b - a, F.lit(PIECE)))
+    tail = F.substring(F.get("_pieces", last), F.lit(1), b - last * PIECE)
+    inner = F.when(last - first > 1, F.array_join(F.slice("_pieces", first + 2, F.greatest(last - first - 1, F.lit(0))), "")).otherwise("")
+    return F.when(a >= b, "").when(first == last, head).otherwise(F.concat(head, inner, tail))
+
+
 def sanitised(docs: DataFrame, key: str = "doc_id", text: str = "text", **limits) -> DataFrame:
     """The documents with base spans masked and disclosing terms generalised or removed."""
     # extra columns travel in one struct, so their names can't clash with those here
     rows = boxed(docs, _id=key, _text=text)
     terms = term_spans(rows.select("_id", "_text"), "_id", "_text", **limits)
     df = with_base_spans(rows.join(terms, F.col("_id").eqNullSafe(F.col("_key")), "left").drop("_key"), "_text")
-    kind = "array<struct<s:int,e:int,put:string>>"
     marks = [F.transform(f"_{k}", _mask(k)) for k, *_ in KINDS]
-    words = F.transform(F.coalesce("_terms", F.array().cast("array<struct<s:int,e:int,generalise:boolean>>")), lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), F.when(x["generalise"], F.concat(F.substring(F.col("_t"), x["s"] + 1, F.lit(HEAD)), F.lit("*"))).otherwise(F.lit("[TERM]")).alias("put")))
-    df = df.withColumn("_marks", F.sort_array(F.concat(*marks, words).cast(kind)))
-    zero = F.struct(F.lit(0).alias("pos"), F.array().cast("array<string>").alias("out"))
-
-    def step(acc: Column, x: Column) -> Column:
-        apart = x["s"] >= acc["pos"]
-        piece = F.array(F.substring(F.col("_t"), acc["pos"] + 1, x["s"] - acc["pos"]), x["put"])
-        return F.struct(F.greatest(acc["pos"], x["e"]).alias("pos"), F.when(apart, F.concat(acc["out"], piece)).otherwise(acc["out"]).alias("out"))
-
-    def close(acc: Column) -> Column:
-        return F.concat(F.array_join(acc["out"], ""), F.substring(F.col("_t"), acc["pos"] + 1, F.lit(2**31 - 1)))
-
-    new = F.when(F.size("_marks") == 0, F.col("_text")).otherwise(F.aggregate("_marks", zero, step, close))
+    # an empty put stands for the first letters
+    words = F.transform(F.coalesce("_terms", F.array().cast("array<struct<s:int,e:int,generalise:boolean>>")), lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), F.when(x["generalise"], F.lit("")).otherwise(F.lit("[TERM]")).alias("put")))
+    df = df.withColumn("_marks", reached(F.sort_array(F.concat(*marks, words).cast(MARKS))))
+    df = df.withColumn("_pieces", F.when(F.size("_marks") > 0, F.regexp_extract_all("_t", F.lit(f"(?s).{{1,{PIECE}}}"), F.lit(0))))
+    apart = F.filter("_marks", lambda x: x["s"] >= x["before"])
+    put = lambda x: F.when(x["put"] == "", F.concat(cut(x["s"], x["s"] + HEAD), F.lit("*"))).otherwise(x["put"])
+    end = F.array_max(F.transform("_marks", lambda x: x["e"]))
+    done = F.concat(F.array_join(F.flatten(F.transform(apart, lambda x: F.array(cut(x["before"], x["s"]), put(x)))), ""), cut(end, F.char_length("_t")))
+    new = F.when(F.size("_marks") == 0, F.col("_text")).otherwise(done)
     return unboxed(df.select("box", new.alias("_new")), docs.columns, **{docs.columns[position(docs, text)]: F.col("_new")})
 
 

@@ -131,3 +131,19 @@ def test_sixth_word_is_not_near(frame):
     got = {r["doc_id"]: r["spans"].split(",") for r in pii.findings(frame(list(docs.items()))).collect()}
     places = {docs[0][int(a) : int(b)] for kind, a, b in (x.split(":") for x in got[0]) if kind == "term"}
     assert places == {"second", "third", "fourth", "fifth", "sixth", "one", "two", "three", "four", "five"}
+
+
+def test_long_texts_are_rewritten_in_pieces(spark):
+    """Marks within, across and at the edges of pieces; many of them in one text."""
+    import random
+
+    rng = random.Random(4)
+    text, want = [], []
+    for k in range(6000):
+        gap = "é😀x "[rng.randrange(3)] * rng.randrange(0, 9) + (" filler" * 400 if k % 1000 == 7 else "")
+        ip = f"10.{k % 256}.{k // 256}.{rng.randrange(256)}"
+        text += [gap, " ", ip, " "]
+        want += [gap, " ", "[IP]", " "]
+    rows = [(1, "".join(text)), (2, "a@b.cd" + "y" * 5000), (3, "z" * 1024 + " 1.2.3.4"), (4, "z" * 2048), (5, "9.9.9.9")]
+    got = {r["doc_id"]: r["text"] for r in pii.sanitised(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[1] == "".join(want) and got[2].startswith("[EMAIL]") and got[3] == "z" * 1024 + " [IP]" and got[4] == "z" * 2048 and got[5] == "[IP]"
