@@ -5,13 +5,17 @@ canonical JSON records.
 calls:   conv_id, call_id, pos, tool, arguments (JSON text), after (ids it depends on)
 results: conv_id, call_id, pos, content
 
-Order. Mostly a dependency stands before its call, and the order of positions is already
-topological; no sorting is needed then. Only where some dependency stands after its call,
-the positions between both are a tangle; overlapping tangles are merged, and the calls of
-all tangles are peeled in rounds (those whose dependencies are placed come next). Calls
-sort by (conv_id, seq_major, seq_level, pos, call_id): seq_major is the position where the
-tangle begins, or the own one. What no round places is on a cycle or behind one. Nothing
-collects a conversation into one task; rounds are as many as the longest chain in a tangle.
+Order. Where a dependency stands before its call, the order of positions is already
+topological. Where one stands after its call (or is the call itself), the positions
+between both are a tangle; overlapping tangles are merged, and the calls of all tangles
+are peeled in rounds (those whose dependencies are placed come next). Calls sort by
+(conv_id, seq_major, seq_level, pos, call_id): seq_major is the position where the tangle
+begins, or the own one. What no round places is on a cycle or behind one in its tangle.
+
+Nothing collects a conversation or an identifier into one task. Running maxima over a
+conversation are taken within ranges of rows, then over the ranges; identifiers with a
+thousandth of all rows meet their calls by broadcast; rounds are as many as the longest
+chain in a tangle.
 
 Defined results: a repeated call id in a conversation is a call for the least (pos,
 arguments, tool), the others are ``repeated``; a call without a result is ``open``, a
@@ -31,7 +35,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import checkpointed, table
+from .common import checkpointed, hot_join, picked, table
 
 
 # ---------------------------------------------------------------- JSON
@@ -123,6 +127,21 @@ def _key(prefix: str):
     return F.struct(F.col(f"{prefix}pos").alias("pos"), F.col(f"{prefix}call_id").alias("id"))
 
 
+def running_max(rows: DataFrame, value: str, out: str, *, own: bool) -> DataFrame:
+    """Adds the greatest value up to each row of its conversation, by ``at``; own: with the
+    row itself and those at the same place, else only rows before. Rows are dealt by ranges,
+    and each range's greatest value goes on to the later ranges, a row a range."""
+    kind = rows.schema[value].dataType
+    dealt = checkpointed(rows.repartitionByRange("conv_id", "at").withColumn("_b", F.spark_partition_id()))
+    inner = Window.partitionBy("conv_id", "_b").orderBy("at")
+    inner = inner.rangeBetween(Window.unboundedPreceding, Window.currentRow) if own else inner.rowsBetween(Window.unboundedPreceding, -1)
+    ranges = dealt.groupBy("conv_id", "_b").agg(F.max(value).alias("_top"))
+    before = Window.partitionBy("conv_id").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
+    carry = ranges.select(F.col("conv_id").alias("_c"), F.col("_b").alias("_r"), F.max("_top").over(before).alias("_carry"))
+    got = dealt.withColumn("_in", F.max(value).over(inner)).join(carry, (F.col("conv_id") == F.col("_c")) & (F.col("_b") == F.col("_r")))
+    return got.withColumn(out, F.greatest("_in", "_carry").cast(kind)).drop("_b", "_in", "_carry", "_c", "_r")
+
+
 def ordered(calls: DataFrame) -> DataFrame:
     """Adds seq_major, seq_level and on_cycle to calls with distinct (conv_id, call_id)."""
     deps = calls.select("conv_id", "call_id", "pos", F.explode("after").alias("dep_call_id"))
@@ -132,12 +151,15 @@ def ordered(calls: DataFrame) -> DataFrame:
     if back.isEmpty():
         return calls.withColumns({"seq_major": F.col("pos"), "seq_level": F.lit(0), "on_cycle": F.lit(False)})
     # overlapping tangles of a conversation become one
-    before = Window.partitionBy("conv_id").orderBy("lo", "hi").rowsBetween(Window.unboundedPreceding, -1)
-    along = Window.partitionBy("conv_id").orderBy("lo", "hi")
-    parts = back.withColumn("new", F.coalesce(F.col("lo") > F.max("hi").over(before), F.lit(True)).cast("int")).withColumn("part", F.sum("new").over(along))
-    tangles = checkpointed(parts.groupBy("conv_id", "part").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")))
-    inside = calls.select("conv_id", "call_id", "pos").join(tangles, "conv_id").where(_key("").between(F.col("lo"), F.col("hi")))
-    inside = checkpointed(inside.select("conv_id", "call_id", "part", F.col("lo.pos").alias("major")))
+    parts = running_max(back.select("conv_id", F.col("lo").alias("at"), "hi"), "hi", "reach", own=False)
+    parts = parts.withColumn("begin", F.when(F.coalesce(F.col("at") > F.col("reach"), F.lit(True)), F.col("at")))
+    parts = running_max(parts.select("conv_id", "at", "hi", "begin"), "begin", "part", own=True)
+    tangles = checkpointed(parts.groupBy("conv_id", "part").agg(F.max("hi").alias("hi")))
+    # a call is in the tangle that begins last before it, if that reaches so far
+    both = calls.select("conv_id", "call_id", _key("").alias("at"), F.lit(None).cast(tangles.select(F.struct("part", "hi")).schema[0].dataType).alias("tangle"))
+    both = both.unionByName(tangles.select("conv_id", F.lit(None).cast("string").alias("call_id"), F.col("part").alias("at"), F.struct("part", "hi").alias("tangle")))
+    inside = running_max(both, "tangle", "last", own=True).where(F.col("tangle").isNull() & (F.col("at") <= F.col("last.hi")))
+    inside = checkpointed(inside.select("conv_id", "call_id", F.col("last.part").alias("part"), F.col("last.part.pos").alias("major")))
     inner = edges.select("conv_id", "call_id", "dep_call_id").join(inside.select("conv_id", "call_id", "part"), ["conv_id", "call_id"])
     inner = checkpointed(inner.join(inside.select("conv_id", F.col("call_id").alias("dep_call_id"), "part"), ["conv_id", "dep_call_id", "part"]))
     left, placed, level = inside, None, 0
@@ -149,7 +171,8 @@ def ordered(calls: DataFrame) -> DataFrame:
         placed = ready if placed is None else placed.unionByName(ready)
         left = checkpointed(left.join(ready.select("conv_id", "call_id"), ["conv_id", "call_id"], "left_anti"))
         level += 1
-    rest = left.withColumn("level", F.lit(level)).withColumn("cyclic", F.lit(True))
+    done = (inside.withColumn("level", F.lit(0)).where("false") if placed is None else placed).groupBy("conv_id", "part").agg((F.max("level") + 1).alias("level"))
+    rest = left.join(done, ["conv_id", "part"], "left").withColumn("level", F.coalesce("level", F.lit(0))).withColumn("cyclic", F.lit(True))
     seq = rest if placed is None else placed.withColumn("cyclic", F.lit(False)).unionByName(rest)
     out = calls.join(seq.drop("part"), ["conv_id", "call_id"], "left")
     return out.withColumns({"seq_major": F.coalesce("major", "pos"), "seq_level": F.coalesce("level", F.lit(0)), "on_cycle": F.coalesce("cyclic", F.lit(False))}).drop("major", "level", "cyclic")
@@ -163,21 +186,31 @@ COLUMNS = "conv_id, call_id, pos, tool, status, seq_major, seq_level, on_cycle,
 def link(calls: DataFrame, results: DataFrame, schemas: dict[str, dict]) -> DataFrame:
     """One row for each call and each orphaned result, with the canonical record."""
     calls = calls.select("conv_id", "call_id", "pos", "tool", "arguments", F.coalesce("after", F.array().cast("array<string>")).alias("after"))
+    ids, n = ["conv_id", "call_id"], F.count(F.lit(1)).alias("n")
     named = calls.where("conv_id IS NOT NULL AND call_id IS NOT NULL")
-    first = named.groupBy("conv_id", "call_id").agg(F.min(F.struct("pos", "arguments", "tool", "after")).alias("x"), F.count(F.lit(1)).alias("copies"))
-    first = checkpointed(first.select("conv_id", "call_id", "x.*", "copies"))
-    again = named.withColumn("i", F.row_number().over(Window.partitionBy("conv_id", "call_id").orderBy("pos", "arguments", "tool", "after"))).where("i > 1").drop("i")
+    equal = checkpointed(named.groupBy(*ids, "pos", "tool", "arguments", "after").agg(F.count(F.lit(1)).alias("times")))
+    first = equal.groupBy(*ids).agg(F.min(F.struct("pos", "arguments", "tool", "after")).alias("x"), n)
+    first = checkpointed(first.select(*ids, "x", "n"))
+    total = equal.count()
+    met = hot_join(equal, first, ids, "n", total)
+    spare = F.col("times") - F.struct("pos", "arguments", "tool", "after").eqNullSafe(F.col("x")).cast("int")
+    again = met.withColumn("spare", spare).where("spare > 0").withColumn("i", F.explode(F.sequence(F.lit(1).cast("long"), F.col("spare").cast("long")))).select(calls.columns)
+    first = first.select(*ids, "x.*")
     lost = calls.where("conv_id IS NULL OR call_id IS NULL")
     given = results.select("conv_id", "call_id", F.col("pos").alias("result_pos"), "content")
-    met = given.join(first.select("conv_id", "call_id", "pos"), ["conv_id", "call_id"])
-    answer = met.groupBy("conv_id", "call_id").agg(F.min(F.when(F.col("result_pos") > F.col("pos"), F.struct("result_pos", "content"))).alias("r"), F.sum((F.col("result_pos") > F.col("pos")).cast("long")).alias("n_results"))
+    sizes = checkpointed(given.groupBy(*ids).agg(n))
+    n_given = sizes.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    met = hot_join(given, sizes.join(first.select(*ids, "pos"), ids), ids, "n", n_given)
+    answer = met.groupBy(*ids).agg(F.min(F.when(F.col("result_pos") > F.col("pos"), F.struct("result_pos", "content"))).alias("r"), F.sum((F.col("result_pos") > F.col("pos")).cast("long")).alias("n_results"))
+    unmet = sizes.join(first.select(*ids), ids, "left_anti")
+    stray = hot_join(given, unmet.where("conv_id IS NOT NULL AND call_id IS NOT NULL"), ids, "n", n_given).drop("n").unionByName(given.where("conv_id IS NULL OR call_id IS NULL"))
     gone = first.select("conv_id", F.explode("after").alias("dep"), "call_id").join(first.select("conv_id", F.col("call_id").alias("dep")), ["conv_id", "dep"], "left_anti")
     gone = gone.groupBy("conv_id", "call_id").agg(F.sort_array(F.collect_set("dep")).alias("missing"))
     good = ordered(first).join(answer, ["conv_id", "call_id"], "left").join(gone, ["conv_id", "call_id"], "left")
     good = good.withColumn("status", F.when(F.col("r").isNotNull(), "linked").when(F.col("n_results").isNotNull(), "early").otherwise("open"))
     none = {"seq_major": F.col("pos"), "seq_level": F.lit(0), "on_cycle": F.lit(False), "n_results": F.lit(0).cast("long"), "result_pos": F.lit(None).cast("long"), "content": F.lit(None).cast("string"), "missing": F.array().cast("array<string>")}
     good = good.withColumns({"result_pos": F.col("r.result_pos"), "content": F.col("r.content"), "n_results": F.coalesce("n_results", F.lit(0).cast("long")), "missing": F.coalesce("missing", F.array().cast("array<string>"))})
-    orphan = given.join(first.select("conv_id", "call_id"), ["conv_id", "call_id"], "left_anti").select("conv_id", "call_id", F.col("result_pos").alias("pos"), F.lit(None).cast("string").alias("tool"), F.lit(None).cast("string").alias("arguments"), F.array().cast("array<string>").alias("after"), "content").withColumns({k: v for k, v in none.items() if k != "content"}).withColumn("status", F.lit("orphan"))
+    orphan = stray.select("conv_id", "call_id", F.col("result_pos").alias("pos"), F.lit(None).cast("string").alias("tool"), F.lit(None).cast("string").alias("arguments"), F.array().cast("array<string>").alias("after"), "content").withColumns({k: v for k, v in none.items() if k != "content"}).withColumn("status", F.lit("orphan"))
     other = again.withColumn("status", F.lit("repeated")).unionByName(lost.withColumn("status", F.lit("unnamed"))).withColumns(none)
     wide = ["conv_id", "call_id", "pos", "tool", "status", "seq_major", "seq_level", "on_cycle", "n_results", "result_pos", "arguments", "after", "content", "missing"]
     rows = good.select(wide).unionByName(other.select(wide)).unionByName(orphan.select(wide))
@@ -226,23 +259,39 @@ def tagged(turns: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def turns_as_calls(turns: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Conversations without tool tags: a user's turn calls the tool ``reply``, a system's
-    turn ``configure``; the next turn, if an assistant's, is the result. A call depends on
-    the calls one and two turns before, where there are such."""
-    ident = lambda c, t: F.concat_ws(":", c.cast("string"), t.cast("string"))
-    asks = turns.where(F.col("role").isin("user", "system")).select("conv_id", "turn", "role", "text")
-    earlier = asks.select("conv_id", "turn").distinct()
-    deps = asks.select("conv_id", "turn", F.explode(F.array(F.col("turn") - 1, F.col("turn") - 2)).alias("dep")).distinct().join(earlier.withColumnRenamed("turn", "dep"), ["conv_id", "dep"])
-    deps = deps.groupBy("conv_id", "turn").agg(F.sort_array(F.collect_set(ident(F.col("conv_id"), F.col("dep")))).alias("after"))
-    body = F.to_json(F.struct(F.col("text").alias("prompt"), F.col("turn")), {"ignoreNullFields": "false"})
-    calls = asks.join(deps, ["conv_id", "turn"], "left").select("conv_id", ident(F.col("conv_id"), F.col("turn")).alias("call_id"), F.col("turn").alias("pos"), F.when(F.col("role") == "user", "reply").otherwise("configure").alias("tool"), body.alias("arguments"), "after")
-    results = turns.where("role = 'assistant'").select("conv_id", ident(F.col("conv_id"), F.col("turn") - 1).alias("call_id"), F.col("turn").alias("pos"), F.col("text").alias("content"))
+    """Calls out of conversations without tool tags; all of it is read from the texts.
+
+    A user's or system's turn is a call. Its identifier is its first two words, so calls of
+    one opening share one. A system's turn calls ``configure``, a user's ``draft`` if it has
+    several lines, else ``reply``. A call of an even number of words depends on the calls one
+    and two turns after it, one of a number divisible by three on those one and two turns
+    before. An assistant's turn is the result for the identifier of the turn before it (an
+    orphan if that is no call). Of several rows of one turn the least identifier is meant."""
+    words = F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit(r"[\p{L}\p{N}]+"), F.lit(0))
+    asks = turns.where(F.col("role").isin("user", "system")).select("conv_id", "turn", "role", "text", words.alias("w"))
+    asks = asks.withColumn("call_id", F.array_join(F.slice("w", 1, 2), " ")).withColumn("n", F.size("w"))
+    ident = asks.groupBy("conv_id", "turn").agg(F.min("call_id").alias("dep_id")).withColumnRenamed("turn", "dep")
+    later, earlier = F.col("n") % 2 == 0, F.col("n") % 3 == 0
+    way = F.concat(F.when(later, F.array(F.lit(1), F.lit(2))).otherwise(F.array()), F.when(earlier, F.array(F.lit(-1), F.lit(-2))).otherwise(F.array()))
+    deps = asks.select("conv_id", "turn", "call_id", "n", F.explode(way).alias("k")).select("conv_id", "turn", "call_id", "n", (F.col("turn") + F.col("k")).alias("dep")).distinct().join(ident, ["conv_id", "dep"])
+    deps = deps.groupBy("conv_id", "turn", "call_id", "n").agg(F.sort_array(F.collect_set("dep_id")).alias("after"))
+    body = F.to_json(F.struct(F.col("text").alias("prompt"), F.col("turn"), F.col("n").alias("n_words"), F.get("w", F.lit(0)).alias("opening")), {"ignoreNullFields": "false"})
+    tool = F.when(F.col("role") == "system", "configure").when(F.contains("text", F.lit("\n")), "draft").otherwise("reply")
+    calls = asks.join(deps, ["conv_id", "turn", "call_id", "n"], "left").select("conv_id", "call_id", F.col("turn").alias("pos"), tool.alias("tool"), body.alias("arguments"), "after")
+    answers = turns.where("role = 'assistant'").select("conv_id", (F.col("turn") - 1).alias("dep"), F.col("turn").alias("pos"), F.col("text").alias("content"))
+    results = answers.join(ident, ["conv_id", "dep"], "left").select("conv_id", F.col("dep_id").alias("call_id"), "pos", "content")
     return calls, results
 
 
-_TEXT = {"type": "object", "properties": {"prompt": {"type": "string", "minLength": 1}, "turn": {"type": "integer", "minimum": 0}}, "required": ["prompt", "turn"], "additionalProperties": False}
-SCHEMAS = {"reply": _TEXT, "configure": _TEXT}
+def _body(least: int, most: int) -> dict:
+    """The schema of a tool that takes prompts of so many words."""
+    fields = {"prompt": {"type": "string", "minLength": 1}, "turn": {"type": "integer", "minimum": 0}, "n_words": {"type": "integer", "minimum": least, "maximum": most}, "opening": {"type": "string", "maxLength": 9}}
+    return {"type": "object", "properties": fields, "required": ["prompt", "turn", "n_words", "opening"], "additionalProperties": False}
+
+
+SCHEMAS = {"reply": _body(1, 40), "configure": _body(5, 50), "draft": _body(10, 100)}
 
 
 def op1_tool_calls(spark, sf_dir: str) -> DataFrame:
-    return link(*turns_as_calls(table(spark, sf_dir, "conversations")), SCHEMAS)
+    turns = picked(table(spark, sf_dir, "conversations"), conv_id="conv_id", turn="turn", role="role", text="text")
+    return link(*turns_as_calls(turns), SCHEMAS)
