@@ -42,7 +42,7 @@ def triangles(edges: DataFrame) -> DataFrame:
 
 def bfs(edges: DataFrame, source: int) -> DataFrame:
     """(v, level) of all vertices that the source reaches."""
-    arcs = both_ways(edges)
+    arcs = cut(both_ways(edges))
     seen = edges.sparkSession.createDataFrame([(source, 0)], "v long, level int")
     frontier, level = seen, 0
     while True:
@@ -51,15 +51,20 @@ def bfs(edges: DataFrame, source: int) -> DataFrame:
         frontier = cut(new.withColumn("level", F.lit(level)))
         if frontier.isEmpty():
             return seen
-        seen = cut(seen.unionByName(frontier))
+        seen = seen.unionByName(frontier)  # each level is written once
+        if level % 32 == 0:
+            seen = cut(seen)
 
 
-def sssp(weighted: DataFrame, source: int) -> DataFrame:
-    """(v, dist) with non-negative integer weights; only vertices that improved are active."""
+def sssp(weighted: DataFrame, source: int, activity: list[DataFrame] | None = None) -> DataFrame:
+    """(v, dist) with non-negative integer weights; only vertices that improved are active.
+    activity gets the active vertices (step, v) of each round."""
     arcs = weighted.select(F.col("src").alias("v"), F.col("dst").alias("u"), "weight").unionByName(weighted.select(F.col("dst").alias("v"), F.col("src").alias("u"), "weight"))
     dist = weighted.sparkSession.createDataFrame([(source, 0)], "v long, dist long")
     active = dist
     while True:
+        if activity is not None:
+            activity.append(active.select(F.lit(len(activity) + 1).alias("step"), "v"))
         offer = arcs.join(active, "v").groupBy("u").agg(F.min(F.col("dist") + F.col("weight")).alias("offer")).withColumnRenamed("u", "v")
         both = cut(dist.join(offer, "v", "full_outer").select("v", F.col("dist").alias("old"), F.least("dist", "offer").alias("dist")))
         active = both.where("old IS NULL OR dist < old").select("v", "dist")

@@ -85,12 +85,13 @@ def share_super(edges: int, p: int) -> Fleet:
 
 
 def typed(edges: int, q: int, p: int = 30) -> Fleet:
-    """q kinds of machines in equal numbers; kind t is enlarged by 1 + t / 4."""
-    base = scaled(SMALL[1], edges, SMALL[2])
-    out = []
+    """q kinds of machines: each kind beyond the first takes a sixth of the machines (five of
+    thirty), the last ones; kind t is enlarged by 1 + t / 4."""
+    base, per, out = scaled(SMALL[1], edges, SMALL[2]), max(1, p // 6), []
     for i in range(p):
-        f = 1 + 0.25 * (i * q // p)
-        out.append(Machine(math.ceil(base.mem * 2 * f), base.c_node * f, base.c_edge * f, base.c_com * f, f"type{i * q // p}"))
+        kind = max(0, (i - (p - per * (q - 1))) // per + 1)
+        f = 1 + 0.25 * kind
+        out.append(Machine(math.ceil(base.mem * 2 * f), base.c_node * f, base.c_edge * f, base.c_com * f, f"type{kind}"))
     return Fleet(tuple(out))
 
 

@@ -1,8 +1,11 @@
 """Complete methods on edge DataFrames: (src, dst) in, (src, dst, machine, seq) out.
 
-``kernel`` runs a method exactly, in one task for each block. ``two_level`` is the form
-for graphs beyond one task: vertices are dealt to blocks by cluster, each block is
-partitioned in its own task, and blocks share each machine's capacity by their size.
+``kernel`` runs a method exactly, in one task for each block, and raises where memory is
+short. ``two_level`` is another algorithm, for graphs beyond one task: vertices are dealt
+to blocks by cluster, each block is partitioned in its own task, blocks share each
+machine's memory by their size, and edges that a block can't place are placed in rounds
+under the memory that all blocks left. ``partition`` never changes from one to the other
+by itself.
 """
 
 from __future__ import annotations
@@ -15,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut
 from ..sources.graphs import stats
 from . import streams
 from .capacity import Infeasible, memory_only, plan, uniform
@@ -23,8 +27,8 @@ from .machines import Fleet
 from .refine import SearchConfig, State, local_search
 
 SCHEMA = "src long, dst long, machine int, seq long"
-#: Edges that one task partitions exactly; larger graphs take two levels.
-KERNEL_EDGES = 20_000_000
+#: Edges that one task partitions exactly, and bytes of its table of machines and vertices.
+KERNEL_EDGES, KERNEL_BYTES = 20_000_000, 1_000_000_000
 
 
 @dataclass(frozen=True)
@@ -103,19 +107,21 @@ PAPER_METHODS = ("full", "plus", "star", "naive")
 BASELINES = ("multilevel", "degree_aware_stream", "neighbor_expansion", "sorted_balance", "load_only", "traffic_migration", "hetero_stream", "hetero_expansion")
 
 
-def kernel(edges: DataFrame, run: Callable[[Block], tuple[np.ndarray, np.ndarray]], limit: int = KERNEL_EDGES, direction: str = "both") -> DataFrame:
-    """Runs a method over all edges in one task; refuses more edges than one task takes.
-    With a direction, src -> dst are arcs and growth follows them ('out') or goes against
-    them ('in')."""
-    n = edges.count()
-    if n > limit:
-        raise ValueError(f"{n} edges; one task takes {limit}. Use two_level()")
+def kernel(edges: DataFrame, run: Callable[[Block], tuple[np.ndarray, np.ndarray]], limit: int = KERNEL_EDGES, direction: str = "both", machines: int = 30) -> DataFrame:
+    """Runs a method over all edges in one task; refuses more edges, or more machines times
+    vertices, than one task takes. With a direction, src -> dst are arcs and growth follows
+    them ('out') or goes against them ('in')."""
+    n, v = graph_size(edges)
+    if n > limit or 4 * v * machines > KERNEL_BYTES:
+        raise ValueError(f"{n} edges and {v} vertices; one task takes {limit} edges and {KERNEL_BYTES // (4 * machines)} vertices. Use mode='two_level' or rounds.best_first_parallel()")
     return edges.withColumn("_b", F.lit(0)).groupBy("_b").applyInArrow(lambda t: _apply(t, run, direction), SCHEMA)
 
 
 def _apply(t: pa.Table, run, direction: str) -> pa.Table:
     b = Block(t.column("src").to_numpy(), t.column("dst").to_numpy(), direction)
     machine, seq = run(b)
+    if (machine < 0).any():
+        raise Infeasible(f"{int((machine < 0).sum())} edges find no machine with memory")
     return pa.Table.from_arrays([pa.array(b.src), pa.array(b.dst), pa.array(machine.astype(np.int32)), pa.array(seq.astype(np.int64))], names=["src", "dst", "machine", "seq"])
 
 
@@ -124,20 +130,29 @@ def clusters(edges: DataFrame, blocks: int, rounds: int = 3) -> DataFrame:
     neighbours, then labels dealt to blocks by hash. Hubs only send counts."""
     from ..sources.graphs import both_ways
 
-    arcs = both_ways(edges)
-    label = arcs.groupBy("v").agg(F.min("u").alias("label"))
+    arcs = cut(both_ways(edges))
+    label = cut(arcs.groupBy("v").agg(F.min("u").alias("label")))
     for _ in range(rounds):
         votes = arcs.join(label.withColumnRenamed("v", "u"), "u").groupBy("v", "label").agg(F.count(F.lit(1)).alias("n"))
-        label = votes.groupBy("v").agg(F.max_by("label", F.struct("n", "label")).alias("label"))
-    return label.select("v", F.pmod(F.xxhash64("label"), F.lit(blocks)).cast("int").alias("block"))
+        label = cut(votes.groupBy("v").agg(F.max_by("label", F.struct("n", "label")).alias("label")))
+    # a label that holds more than half a block's share of the vertices is dealt by vertex
+    sizes = label.groupBy("label").agg(F.count(F.lit(1)).alias("n"))
+    total = label.count()
+    large = F.broadcast(sizes.where(F.col("n") > max(1, total // (2 * blocks))).select("label", F.lit(True).alias("large")))  # 2 * blocks rows at most
+    split = label.join(large, "label", "left")
+    return split.select("v", F.pmod(F.when(F.col("large"), F.xxhash64("v")).otherwise(F.xxhash64("label")), F.lit(blocks)).cast("int").alias("block"))
 
 
 def two_level(edges: DataFrame, fleet: Fleet, name: str = "full", cfg: Config | None = None, blocks: int = 8, seed: int = 1) -> DataFrame:
     """Blocks of clustered vertices, each partitioned in its own task for all machines with
-    memory and capacity in proportion to the block's edges."""
+    memory and capacity in proportion to the block's edges. What a block can't place goes,
+    in rounds, where the blocks together left memory; raises Infeasible if that is short."""
     home = clusters(edges, blocks)
-    part = edges.join(home.withColumnRenamed("v", "src"), "src")
-    n = edges.count()
+    part = cut(edges.join(home.withColumnRenamed("v", "src"), "src").select("src", "dst", "block"))
+    n = part.count()
+    largest = part.groupBy("block").count().agg(F.max("count")).first()[0]
+    if largest and largest > KERNEL_EDGES:
+        raise ValueError(f"a block has {largest} edges; one task takes {KERNEL_EDGES}. Use more blocks")
 
     def run(t: pa.Table) -> pa.Table:
         share = t.num_rows / n
@@ -146,18 +161,38 @@ def two_level(edges: DataFrame, fleet: Fleet, name: str = "full", cfg: Config |
         try:
             machine, seq = method(name, own, cfg, seed)(b)
         except Infeasible:
-            machine, seq = method(name, fleet, cfg, seed)(b)
+            machine, seq = np.full(len(b.src), -1, np.int32), np.zeros(len(b.src), np.int64)
         return pa.Table.from_arrays([pa.array(b.src), pa.array(b.dst), pa.array(machine.astype(np.int32)), pa.array(seq.astype(np.int64))], names=["src", "dst", "machine", "seq"])
 
-    return part.select("src", "dst", "block").groupBy("block").applyInArrow(run, SCHEMA)
+    from .rounds import Filling, place_left
+
+    out = cut(part.groupBy("block").applyInArrow(run, SCHEMA))
+    left = out.where("machine < 0").select("src", "dst")
+    if left.isEmpty():
+        return out
+    state = Filling(fleet, edges.sparkSession)
+    state.take(out.where("machine >= 0"))
+    place_left(cut(left), state, 1 << 10)
+    return state.placed()
 
 
 def partition(edges: DataFrame, fleet: Fleet, name: str = "full", cfg: Config | None = None, mode: str = "auto", blocks: int | None = None, seed: int = 1) -> DataFrame:
-    """Any method on any graph: exact in one task while it fits, else in two levels."""
-    n = edges.count()
-    if mode == "sequential" or mode == "auto" and n <= KERNEL_EDGES:
-        return kernel(edges, method(name, fleet, cfg, seed))
-    return two_level(edges, fleet, name, cfg, blocks or max(2, -(-n // KERNEL_EDGES)), seed)
+    """Any method on any graph: mode 'sequential' is exact, in one task, and refuses graphs
+    beyond it; 'two_level' is the form for those, 'parallel' the growth by rounds (of the
+    method itself, not the comparators) with batched local search. 'auto' is 'sequential'."""
+    if mode in ("auto", "sequential"):
+        return kernel(edges, method(name, fleet, cfg, seed), machines=len(fleet))
+    if mode == "two_level":
+        n = edges.count()
+        return two_level(edges, fleet, name, cfg, blocks or max(2, -(-2 * n // KERNEL_EDGES)), seed)
+    if mode == "parallel" and name in ("full", "plus"):
+        from .rounds import best_first_parallel, refine_rounds
+
+        cfg = cfg or Config()
+        grown = best_first_parallel(edges, fleet, cfg.growth.alpha, cfg.growth.beta)
+        s = cfg.search
+        return grown if name == "plus" else refine_rounds(grown, fleet, s.gamma, s.theta, s.rounds, s.fails, s.partners)
+    raise ValueError(f"no mode {mode} for {name}")
 
 
 def hash_placement(edges: DataFrame, p: int) -> DataFrame:

@@ -36,15 +36,21 @@ class State:
         on = machine >= 0
         np.add.at(self.count, (machine[on], block.a[on]), 1)
         np.add.at(self.count, (machine[on], block.b[on]), 1)
-        self.clock = int(seq.max(initial=0)) + 1
+        self.clock, self.repartitions = int(seq.max(initial=0)) + 1, 0
         self.recompute()
 
     def recompute(self) -> None:
-        held = self.count > 0
         self.n_edges = np.bincount(self.machine[self.machine >= 0], minlength=len(self.fleet)).astype(float)
-        self.n_vertices = held.sum(1).astype(float)
-        n, all_ = held.sum(0), self.com @ held
-        self.t_com = np.where(held & (n > 1)[None], (n - 2)[None] * self.com[:, None] + all_[None], 0).sum(1)
+        n, all_ = np.zeros(self.count.shape[1]), np.zeros(self.count.shape[1])
+        for i, c in enumerate(self.com):  # one machine's row at a time: no second matrix
+            held = self.count[i] > 0
+            n += held
+            all_ += c * held
+        self.n_vertices, self.t_com = np.zeros(len(self.com)), np.zeros(len(self.com))
+        for i, c in enumerate(self.com):
+            held = self.count[i] > 0
+            self.n_vertices[i] = held.sum()
+            self.t_com[i] = np.where(held & (n > 1), (n - 2) * c + all_, 0).sum()
 
     @property
     def t_cal(self) -> np.ndarray:
@@ -93,18 +99,23 @@ class State:
 
     def choose(self, e: int, guard: bool = True) -> int:
         """Of the machines holding both ends, else one, else of all, the one with least time
-        that has memory; if none has, the least filled by share."""
+        that has memory; -1 if none has."""
         a, b = self.count[:, self.block.a[e]] > 0, self.count[:, self.block.b[e]] > 0
         ok, t = self.fits(e) if guard else np.ones(len(self.mem), np.bool_), self.t
         for some in (a & b, a | b, np.ones(len(t), np.bool_)):
             which = np.flatnonzero(some & ok)
             if len(which):
                 return int(which[t[which].argmin()])
-        return int((self.used / self.mem).argmin())
+        return -1
 
-    def repair(self, edges, guard: bool = True) -> None:
-        for e in edges:
-            self.add(int(e), self.choose(int(e), guard))
+    def repair(self, edges, guard: bool = True, else_to: np.ndarray | None = None) -> None:
+        """Places edges; those that no machine has memory for go to ``else_to`` or nowhere."""
+        for k, e in enumerate(edges):
+            i = self.choose(int(e), guard)
+            if i < 0 and else_to is not None:
+                i = int(else_to[k])
+            if i >= 0:
+                self.add(int(e), i)
 
 
 def victims(t: np.ndarray, gamma: float) -> np.ndarray:
@@ -118,9 +129,10 @@ def destroy_and_repair(s: State, cfg: SearchConfig) -> bool:
         own = np.flatnonzero(s.machine == i)
         n = min(len(own), int(np.ceil(cfg.theta * len(own))))
         lost += own[np.lexsort((own, s.seq[own]))[::-1][:n]].tolist()
+    old = s.machine[lost].copy()
     for e in lost:
         s.remove(e)
-    s.repair(lost)
+    s.repair(lost, else_to=old)
     return s.goal(cfg.objective) < before - 1e-9
 
 
@@ -148,6 +160,7 @@ def repartition(s: State, cfg: SearchConfig, grow: GrowthConfig) -> None:
     for k, i in enumerate(which):
         e = grow_one(part, caps[k], border, seeds, grow, s.mem[i], s.fleet.m_node, s.fleet.m_edge)
         new[e], seq[e] = i, s.clock + np.arange(len(e))
+    old = s.machine[pool].copy()
     for e in pool.tolist():
         i = s.machine[e]
         s.count[i, s.block.a[e]] -= 1
@@ -158,7 +171,7 @@ def repartition(s: State, cfg: SearchConfig, grow: GrowthConfig) -> None:
     np.add.at(s.count, (new[on], s.block.b[pool[on]]), 1)
     s.clock = int(s.seq.max(initial=0)) + 1
     s.recompute()
-    s.repair(pool[~on].tolist())
+    s.repair(pool[~on].tolist(), else_to=old[~on])
 
 
 def local_search(s: State, cfg: SearchConfig, grow: GrowthConfig) -> tuple[np.ndarray, np.ndarray, float, list[float]]:
@@ -171,6 +184,7 @@ def local_search(s: State, cfg: SearchConfig, grow: GrowthConfig) -> tuple[np.nd
         fails = 0 if destroy_and_repair(s, cfg) else fails + 1
         if fails >= cfg.fails:
             repartition(s, cfg, grow)
+            s.repartitions += 1
             fails = 0
         now = s.goal(cfg.objective)
         trace.append(now)

@@ -99,9 +99,10 @@ def load_only(block: Block, fleet: Fleet, seed: int = 1) -> np.ndarray:
     return out
 
 
-def traffic_migration(block: Block, fleet: Fleet, seed: int = 1, rounds: int = 3, guard: bool = False) -> np.ndarray:
-    """Placement by expected traffic of new replicas, then rounds in which edges of the
-    machine with most communication move where that lowers its time."""
+def traffic_migration(block: Block, fleet: Fleet, seed: int = 1, rounds: int = 10, guard: bool = False) -> np.ndarray:
+    """Placement by expected traffic of new replicas, then rounds in which every machine
+    offers the edges that have an end alone there, for machines that hold both ends; offers
+    that save most communication win, as long as no machine gets slower than the slowest."""
     s, com = Loads(block, fleet, guard), np.array(fleet.column("c_com"), float)
     traffic = np.diff(block.ptr) / max(1.0, np.diff(block.ptr).mean())
     edge = np.array(fleet.column("c_edge"), float)
@@ -111,17 +112,32 @@ def traffic_migration(block: Block, fleet: Fleet, seed: int = 1, rounds: int = 3
         time = (s.edges + 1) * edge
         s.place(e, -(new * com / max(com.mean(), 1e-12) + time / max(time.mean(), 1e-12)))
     state = State(block, fleet, s.machine, np.arange(len(block.src)))
+    ends = (block.a, block.b)
     for _ in range(rounds):
-        worst = int(state.t_com.argmax())
-        own = np.flatnonzero(state.machine == worst)
-        alone = own[(state.count[worst, block.a[own]] == 1) | (state.count[worst, block.b[own]] == 1)]
-        for e in alone[: max(1, len(own) // 50)].tolist():
-            before = state.goal()
+        held = state.count > 0
+        n, all_ = held.sum(0), sum(c * h for c, h in zip(com, held, strict=True))
+        m = state.machine
+        saved = np.zeros(len(m))
+        for v in ends:  # both sides of each link of a replica that would go
+            saved += np.where(state.count[m, v] == 1, (n[v] - 2) * com[m] + all_[v], 0)
+        best, to = np.full(len(m), np.inf), np.full(len(m), -1)
+        for j, t in enumerate(state.t):
+            here = held[j, block.a] & held[j, block.b] & (m != j) & (t < best)
+            best[here], to[here] = t, j
+        offers = np.flatnonzero((to >= 0) & (saved > 0))
+        moved = 0
+        for e in offers[np.argsort(-saved[offers], kind="stable")].tolist():
+            i, j, a, b = int(state.machine[e]), int(to[e]), block.a[e], block.b[e]
+            alone = state.count[i, a] == 1 or state.count[i, b] == 1
+            if not alone or not state.count[j, a] or not state.count[j, b] or state.t[j] + edge[j] > state.t.max():
+                continue
+            if guard and not state.fits(e)[j]:
+                continue
             state.remove(e)
-            state.add(e, state.choose(e, guard))
-            if state.goal() > before + 1e-9:
-                state.remove(e)
-                state.add(e, worst)
+            state.add(e, j)
+            moved += 1
+        if not moved:
+            break
     return state.machine
 
 

@@ -64,7 +64,9 @@ query("page_arcs", f"select distinct (page_id * 16 + 8)::BIGINT as src, {O.TERM_
 _FLEET = "machine, mem, c_node, c_edge, c_com, kind"
 query("fleet_two_type", f"select {_FLEET} from ({O.small_fleet('g4')})")(lambda s, d: machines.small(edges(s, d, "g4").count()).df(s))
 query("fleet_nine", f"select i::INTEGER as machine, ceil((select count(*) from ({O.EDGES['g4']})) / 9.0::DOUBLE * (case when i < 3 then 9 else 3.6::DOUBLE end)) as mem, (case when i < 3 then 10 else 5 end)::DOUBLE as c_node, (case when i < 3 then 15 else 10 end)::DOUBLE as c_edge, (case when i < 3 then 15 else 10 end)::DOUBLE as c_com, case when i < 3 then 'super' else 'normal' end as kind from range(9) t(i)")(lambda s, d: machines.nine(edges(s, d, "g4").count()).df(s))
-query("fleet_typed", "select i::INTEGER as machine, 5.0 * (1 + 0.25 * (i * 3 // 30)) as c_node, 10.0 * (1 + 0.25 * (i * 3 // 30)) as c_edge, 10.0 * (1 + 0.25 * (i * 3 // 30)) as c_com, 'type' || (i * 3 // 30) as kind from range(30) t(i)")(lambda s, d: machines.typed(100_000, 3).df(s).drop("mem"))
+for _q in (1, 2, 3, 6):
+    _kind = f"greatest(0, {_q - 1} - (29 - i) // 5)"
+    query(f"fleet_typed_{_q}" if _q != 3 else "fleet_typed", f"select i::INTEGER as machine, 5.0 * (1 + 0.25 * {_kind}) as c_node, 10.0 * (1 + 0.25 * {_kind}) as c_edge, 10.0 * (1 + 0.25 * {_kind}) as c_com, 'type' || {_kind} as kind from range(30) t(i)")(lambda s, d, q=_q: machines.typed(100_000, q).df(s).drop("mem"))
 
 
 def _bench(spark, d):
@@ -231,13 +233,84 @@ def _full(s, d):
     return costs.costs(a, f)
 
 
-def _parallel(s, d):
+def _parallel(s, d, g):
+    """Growth by rounds: the invariants, and whether growth placed most edges by itself."""
+    e, told = edges(s, d, g), {}
+    f = machines.small(e.count(), 2, 4).with_memory(8)
+    a = rounds.best_first_parallel(e, f, max_rounds=6, trace=told)
+    return costs.invariants(a, e, f).withColumn("mostly_grown", F.lit(told["grown"] > 0.5 * told["edges"]))
+
+
+for _g in ("g6", "g9"):
+    query("inv_grow_parallel" + ("" if _g == "g6" else f"_{_g}"), f"select *, true as mostly_grown from ({_inv_sql(_g)})")(lambda s, d, g=_g: _parallel(s, d, g))
+
+
+def _tight(s, d):
+    """Growth by rounds on machines with little memory to spare."""
+    e = edges(s, d, "g6")
+    f = machines.small(e.count(), 2, 4).with_memory(6)
+    return costs.invariants(rounds.best_first_parallel(e, f, max_rounds=3), e, f)
+
+
+query("inv_grow_parallel_tight", _inv_sql("g6"))(_tight)
+
+
+def _rounds_of(s, d, fails):
+    """Local search by rounds from a placement within memory: invariants, never worse, and
+    which steps ran."""
     e = edges(s, d, "g6")
     f = machines.small(e.count(), 2, 4).with_memory(8)
-    return rounds.best_first_parallel(e, f, max_rounds=4), e, f
+    a, steps = hash_placement(e, 6).withColumn("seq", (F.col("src") * 31 + F.col("dst")) % 100003), []
+    b = rounds.refine_rounds(a, f, theta=0.05, rounds=1, fails=fails, batches=2, trace=steps, growth={"max_rounds": 2})
+    t = lambda x: costs.total(x, f).first()[0]
+    return costs.invariants(b, e, f).withColumn("not_worse", F.lit(t(b) <= t(a) + 1e-6)).withColumn("steps", F.lit(",".join(x for x, _ in steps)))
+
+
+query("inv_refine_rounds", f"select *, true as not_worse, 'repair' as steps from ({_inv_sql('g6')})")(lambda s, d: _rounds_of(s, d, 5))
+query("inv_repartition_rounds", f"select *, true as not_worse, 'repartition' as steps from ({_inv_sql('g6')})")(lambda s, d: _rounds_of(s, d, 0))
+
+
+def _searched(s, d, **search):
+    """Invariants of the full method with some search settings on G4."""
+    from ..operators.refine import SearchConfig
+
+    return run_method(s, d, "g4", "full", cfg=partitioners.Config(search=SearchConfig(**search)))
+
+
+query("inv_repartition", _inv_sql("g4"))(lambda s, d: costs.invariants(*_searched(s, d, fails=0, rounds=3)))
+
 
+def _goal(s, d):
+    """The search with the map-reduce goal: that goal is no worse than without a search."""
+    a, e, f = _searched(s, d, objective="barrier_split")
+    b = run_method(s, d, "g4", "plus")[0]
+    goal = lambda x: costs.total(x, f, "barrier_split").first()[0]
+    return costs.invariants(a, e, f).withColumn("not_worse", F.lit(goal(a) <= goal(b) + 1e-6))
 
-query("inv_grow_parallel", "select * exclude (n_over_memory) from (" + _inv_sql("g6") + ")")(lambda s, d: costs.invariants(*_parallel(s, d)).drop("n_over_memory"))
+
+query("inv_goal_barrier_split", f"select *, true as not_worse from ({_inv_sql('g4')})")(_goal)
+
+
+def _no_time(s, d):
+    """A search without time is none: the assignment without a search."""
+    a, e, _ = _searched(s, d, time_limit_s=-1.0)
+    b = run_method(s, d, "g4", "plus")[0]
+    same = a.select("src", "dst", "machine").intersect(b.select("src", "dst", "machine"))
+    return same.agg(F.count(F.lit(1)).alias("n_equal"))
+
+
+query("search_time_limit", f"select count(*)::BIGINT as n_equal from ({O.EDGES['g4']})")(_no_time)
+
+
+def _own_ratios(s, d):
+    """Capacity terms with a ratio of vertices to edges of each machine's own."""
+    a, f = setting(s, d)
+    n = {r["machine"]: r["n_vertices"] / r["n_edges"] for r in costs.costs(a, f).collect()}  # p rows
+    cost, cap = capacity.terms(f, 1, 1, [n[i] for i in range(len(f))])
+    return s.createDataFrame([(i, c, k) for i, (c, k) in enumerate(zip(cost, cap, strict=True))], "machine int, cost double, cap double").select("machine", r6("cost", "cost"), r6("cap", "cap"))
+
+
+query("cap_own_ratios", _S + "select k.machine, round(f.c_edge + f.c_node * (n_vertices::DOUBLE / n_edges), 6) as cost, round(f.mem / (2 + n_vertices::DOUBLE / n_edges), 6) as cap from k join f on f.machine = k.machine")(_own_ratios)
 for _w in ("out", "in", "both"):
     _sql = f"select count(*)::BIGINT as n_edges, count(*)::BIGINT as n_assigned, 0::BIGINT as n_duplicate, 0::BIGINT as n_foreign, 0::BIGINT as n_unknown, 0::BIGINT as n_over_memory from (select distinct page_id, t from {O.TERMS})"
 
@@ -249,7 +322,7 @@ for _w in ("out", "in", "both"):
     query(f"inv_directed_{_w}", _sql)(_directed)
 for _w in ("capacity", "network"):
     query(f"inv_order_{_w}", _inv_sql("g4"))(lambda s, d, w=_w: costs.invariants(*run_method(s, d, "g4", "plus", cfg=partitioners.Config(machine_order=w))))
-query("inv_two_level", "select * exclude (n_over_memory) from (" + _inv_sql("g4") + ")")(lambda s, d: (lambda e: costs.invariants(partitioners.two_level(e, machines.small(e.count()).with_memory(2), blocks=4), e, machines.small(e.count())))(edges(s, d, "g4")).drop("n_over_memory"))
+query("inv_two_level", _inv_sql("g4"))(lambda s, d: (lambda e: (lambda f: costs.invariants(partitioners.two_level(e, f, blocks=4), e, f))(machines.small(e.count()).with_memory(2)))(edges(s, d, "g4")))
 
 
 @query("refine_never_worse", "select true as not_worse, 0::BIGINT as n_lost")
@@ -270,7 +343,34 @@ query("ext_labels", O.setting("g2") + f"select machine, count(*) as n_labels, su
 )
 query("ext_vertex_home", _S + ", p as (select v, machine, count(*) as n from (select src as v, machine from a union all select dst, machine from a) group by 1, 2) select v, machine from (select *, row_number() over (partition by v order by n desc, machine) as r from p) where r = 1")(lambda s, d: extensions.to_vertex_partition(setting(s, d)[0]))
 query("ext_vertex_to_edge", f"select src, dst, (case when (src * 31 + dst * 17 + 1) % 2 = 0 then src % 7 else dst % 7 end)::INTEGER as machine from ({O.EDGES['g4']})")(lambda s, d: extensions.to_edge_partition(edges(s, d, "g4"), _homes(s, d)))
-query("ext_vertex_quota", f"with g as ({O.EDGES['g6']}) select count(distinct v)::BIGINT as n_vertices from (select src as v from g union all select dst from g)")(lambda s, d: extensions.to_vertex_partition(setting(s, d, "g6")[0], capacity=400).groupBy("v").count().agg(F.count(F.lit(1)).alias("n_vertices")))
+
+
+def _quota(s, d):
+    """A vertex partition with room for five in a hundred more: vertices, rows, unknown
+    machines, and machines over the quota."""
+    a, _ = setting(s, d, "g6")
+    n = a.select(F.explode(F.array("src", "dst")).alias("v")).distinct().count()
+    capacity = -(-n * 21 // (20 * 30))
+    h = extensions.to_vertex_partition(a, capacity, 30)
+    sizes = h.groupBy("machine").agg(F.count(F.lit(1)).alias("n"))
+    over = sizes.agg(F.sum((F.col("n") > capacity).cast("long")).alias("n_over"), F.sum((~F.col("machine").between(0, 29)).cast("long")).alias("n_unknown"))
+    return h.agg(F.count_distinct("v").alias("n_vertices"), F.count(F.lit(1)).alias("n_rows")).crossJoin(over)
+
+
+query("ext_vertex_quota", f"with g as ({O.EDGES['g6']}), v as (select src as v from g union select dst from g) select count(*)::BIGINT as n_vertices, count(*)::BIGINT as n_rows, 0::BIGINT as n_over, 0::BIGINT as n_unknown from v")(_quota)
+_HOME = ", p as (select v, machine, count(*) as n from (select src as v, machine from a union all select dst, machine from a) group by 1, 2), home as (select v, machine from (select *, row_number() over (partition by v order by n desc, machine) as r from p) where r = 1)"
+query("ext_edges_at_homes", _S + _HOME + " select distinct src, dst, machine from (select a.src, a.dst, x.machine from a join home x on x.v = a.src union all select a.src, a.dst, y.machine from a join home y on y.v = a.dst)")(lambda s, d: (lambda a: extensions.edges_at_homes(a.select("src", "dst"), extensions.to_vertex_partition(a)))(setting(s, d)[0]))
+_LABELLED = f""", lab as (select v, sum(bytes) as bytes from ({_LABELS}) group by 1), hw as materialized (select h.v, h.machine, 1 + coalesce(bytes, 0) / 10.0::DOUBLE as w from h left join lab on lab.v = h.v),
+com as (select x.machine, sum((fi.c_com + fj.c_com) * x.w) as t_com from hw x join hw y on y.v = x.v and y.machine <> x.machine join f fi on fi.machine = x.machine join f fj on fj.machine = y.machine group by 1),
+vw as (select machine, sum(w) as w from hw group by 1)
+select k.machine, round(vw.w + 2 * k.n_edges, 6) as mem_used, round(f.c_edge * k.n_edges + f.c_node * vw.w, 6) as t_cal, round(coalesce(com.t_com, 0), 6) as t_com from k join f on f.machine = k.machine join vw on vw.machine = k.machine left join com on com.machine = k.machine"""
+
+
+def _customer_labels(s, d):
+    return graphs.read(s, d, "customer").select((F.col("c_custkey") * 16 + 1).cast("long").alias("v"), F.col("c_mktsegment").alias("label"), F.char_length("c_mktsegment").cast("long").alias("bytes"))
+
+
+query("ext_labelled_costs", O.setting("g2") + _LABELLED)(lambda s, d: extensions.labelled_costs(setting(s, d, "g2")[0], _customer_labels(s, d).select("v", "bytes"), setting(s, d, "g2")[1], 10.0).select("machine", r6("mem_used", "mem_used"), r6("t_cal", "t_cal"), r6("t_com", "t_com")))
 query("base_mapping", _S + "select machine as part, n_edges, (row_number() over (order by n_edges desc, machine) - 1)::INTEGER as place from k")(lambda s, d: _mapping(s, d))
 
 

@@ -1,31 +1,36 @@
 """Experiment workloads: parameter sweeps, ablation, comparisons, sizes, fleets.
 
-A sweep is a small table of settings; each row is one run of a method on one graph. The
-graph's edges go to the tasks once, behind a check of their number, and the runs spread
-over the cluster. Larger graphs are compared with ``partitioners.partition`` instead."""
+A sweep is a small table of settings; each row is one run of a method on one graph. Each
+run gets the graph's edges as its group, behind a check of their number, and the runs
+spread over the cluster; edges never pass the driver. Larger graphs are compared with
+``partitioners.partition`` instead. Each run's costs are counted twice, as the search
+keeps them and by the definition, pair by pair (``agrees``)."""
 
 from __future__ import annotations
 
 import time
-from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
+from pyspark.sql.types import StructType
 
 from ..operators import machines
 from ..operators.growth import Block, GrowthConfig
 from ..operators.machines import Fleet
+from ..operators import partitioners
 from ..operators.partitioners import BASELINES, PAPER_METHODS, Config, method
 from ..operators.refine import SearchConfig, State
 from ..sources import graphs
+from . import oracle as O
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 #: Edges of a graph that every run of a sweep may hold.
 SWEEP_EDGES = 4_000_000
-RESULT = "graph string, method string, parameter string, value double, tc double, rf double, balance double, t_cal double, t_com double, comm_share double, over_memory int, seconds double, edges_per_second double"
+RESULT = "graph string, method string, parameter string, value double, tc double, rf double, balance double, t_cal double, t_com double, comm_share double, over_memory int, seconds double, edges_per_second double, n_edges long, agrees boolean"
 
 
 def query(name, sql=None):
@@ -58,34 +63,65 @@ def measure(block: Block, fleet: Fleet, machine: np.ndarray) -> dict:
     return {"tc": s.goal(), "rf": float(s.n_vertices.sum() / len(block.ids)), "balance": float(s.n_edges.max() * len(fleet) / s.n_edges.sum()), "t_cal": float(s.t_cal.max()), "t_com": float(s.t_com.max()), "comm_share": float(s.t_com.sum() / t.sum()), "over_memory": int((s.used > s.mem + 1e-6).sum())}
 
 
+def agrees(block: Block, fleet: Fleet, machine: np.ndarray, told: float) -> bool:
+    """Whether the slowest machine's time is what the definition gives: for each pair of
+    machines both ends' cost for every vertex that both hold."""
+    p = len(fleet)
+    held = np.zeros((p, len(block.ids)), np.bool_)
+    held[machine, block.a] = True
+    held[machine, block.b] = True
+    shared = np.array([(held & held[i]).sum(1) for i in range(p)], float)
+    np.fill_diagonal(shared, 0)
+    com = np.array(fleet.column("c_com"), float)
+    t = np.bincount(machine, minlength=p) * np.array(fleet.column("c_edge")) + held.sum(1) * np.array(fleet.column("c_node")) + (shared * (com[:, None] + com[None])).sum(1)
+    return bool(machine.min(initial=0) >= 0 and abs(t.max() - told) <= 1e-6 * max(1.0, told))
+
+
 def sweep(edges: DataFrame, graph: str, runs: list[tuple[str, str, float]], fleet_of=None) -> DataFrame:
     """Runs (method, parameter, value) on one graph; fleet_of(edges, parameter, value)."""
     n = edges.count()
     if n > SWEEP_EDGES:
         raise ValueError(f"{n} edges; a sweep holds {SWEEP_EDGES} in each task")
-    e = edges.toPandas()
-    src, dst = e["src"].to_numpy(np.int64), e["dst"].to_numpy(np.int64)
     fleets = {(p, v): (fleet_of or (lambda k, p, v: machines.small(k).with_memory(1.5)))(n, p, v) for _, p, v in runs}
-    spark = edges.sparkSession
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            out = []
-            for r in f.itertuples(index=False):
-                fleet = fleets[r.parameter, r.value]
-                block = Block(src, dst)
-                began = time.perf_counter()
-                machine, _ = method(r.method, fleet, configured(r.parameter, r.value), int(r.value) if r.parameter == "seed" else 1)(block)
-                took = time.perf_counter() - began
-                out.append({"graph": graph, "method": r.method, "parameter": r.parameter, "value": r.value, **measure(block, fleet, machine), "seconds": took, "edges_per_second": n / took})
-            yield pd.DataFrame(out)
+    schema = pa.schema([(f.name, to_arrow_type(f.dataType)) for f in StructType.fromDDL(RESULT).fields])
 
-    grid = spark.createDataFrame([(m, p, float(v)) for m, p, v in runs], "method string, parameter string, value double")
-    return grid.repartition(min(len(runs), 64)).mapInPandas(run, RESULT)
+    def run(t: pa.Table) -> pa.Table:
+        name, parameter, value = runs[t.column("run")[0].as_py()]
+        fleet = fleets[parameter, value]
+        order = np.lexsort((t.column("dst").to_numpy(), t.column("src").to_numpy()))
+        block = Block(t.column("src").to_numpy()[order], t.column("dst").to_numpy()[order])
+        began = time.perf_counter()
+        machine, _ = method(name, fleet, configured(parameter, value), int(value) if parameter == "seed" else 1)(block)
+        took = time.perf_counter() - began
+        told = measure(block, fleet, machine)
+        row = {"graph": graph, "method": name, "parameter": parameter, "value": float(value), **told, "seconds": took, "edges_per_second": n / took, "n_edges": n, "agrees": agrees(block, fleet, machine, told["tc"])}
+        return pa.Table.from_pylist([row], schema=schema)
+
+    each = edges.select("src", "dst", F.explode(F.sequence(F.lit(0), F.lit(len(runs) - 1))).alias("run"))
+    return each.groupBy("run").applyInArrow(run, RESULT)
 
 
 def _graph(s, d, g):
-    return graphs.rmat(s, 10) if g == "rmat" else graphs.GRAPHS[g](s, d)
+    return graphs.rmat(s, 10) if g == "rmat" else graphs.grid(s, 60, 50) if g == "grid" else graphs.GRAPHS[g](s, d)
+
+
+def _count_sql(g: str) -> str:
+    return f"select count(*) from ({O.rmat(10) if g == 'rmat' else O.grid(60, 50) if g == 'grid' else O.EDGES[g]})"
+
+
+def _inv_sql(settings: list[tuple[str, list]]) -> str:
+    """What must hold for runs (graph, runs) of methods within memory."""
+    rows = [f"('{g}', '{m}', '{p}', {float(v)}::DOUBLE)" for g, runs in settings for m, p, v in runs]
+    sizes = " union all ".join(f"select '{g}' as graph, ({_count_sql(g)})::BIGINT as n_edges" for g, _ in settings)
+    return f"select t.graph, method, parameter, value, n_edges, true as agrees, 0::INTEGER as over_memory, true as bounded from (values {', '.join(rows)}) t(graph, method, parameter, value) join ({sizes}) c on c.graph = t.graph"
+
+
+def _inv(r: DataFrame) -> DataFrame:
+    """Runs as invariants: all edges placed, costs as defined, memory kept, and no replica or
+    time below what the definitions allow."""
+    bounded = (F.col("rf") >= 1) & (F.col("balance") >= 1) & (F.col("tc") >= F.greatest("t_cal", "t_com") - 1e-6) & (F.col("tc") <= F.col("t_cal") + F.col("t_com") + 1e-6)
+    return r.select("graph", "method", "parameter", "value", "n_edges", "agrees", "over_memory", bounded.alias("bounded"))
 
 
 def _sweep(g: str, runs, fleet_of=None):
@@ -101,18 +137,33 @@ SWEEPS = {
     "n0": ("fails", list(range(1, 10))),
     "t0": ("rounds", list(range(1, 10))),
 }
+GUARDED = ("multilevel", "degree_aware_stream", "neighbor_expansion", "sorted_balance")
+FIVE = ("full", *GUARDED)
+_nine = lambda n, p, v: machines.nine(n)
+_more = lambda n, p, v: machines.share_super(n, int(v)).with_memory(1.5)
+_types = lambda n, p, v: machines.typed(n, int(v))
+
+
+def _put(name: str, g: str, runs: list, fleet_of=None, *, guarded: bool = True) -> None:
+    """The experiment, and beside it what must hold for its runs, checked by SQL."""
+    query(f"exp_{name}")(_sweep(g, runs, fleet_of))
+    if guarded:
+        query(f"inv_exp_{name}", _inv_sql([(g, runs)]))(lambda s, d: _inv(sweep(_graph(s, d, g), g, runs, fleet_of)))
+
+
 for _name, (_p, _values) in SWEEPS.items():
-    for _g in ("g4", "g9", "rmat"):
-        query(f"exp_{_name}_{_g}")(_sweep(_g, [("full", _p, v) for v in _values]))
-for _g in ("g1", "g4", "g6", "g9", "rmat"):
-    query(f"exp_ablation_{_g}")(_sweep(_g, [(m, "none", 0.0) for m in PAPER_METHODS]))
-    query(f"exp_compare_{_g}")(_sweep(_g, [(m, "none", 0.0) for m in ("full", "multilevel", "degree_aware_stream", "neighbor_expansion", "sorted_balance")]))
-    query(f"exp_hetero_{_g}")(_sweep(_g, [(m, "none", 0.0) for m in ("full", *BASELINES[4:])], lambda n, p, v: machines.nine(n)))
-    query(f"exp_nine_{_g}")(_sweep(_g, [(m, "none", 0.0) for m in ("full", "degree_aware_stream", "neighbor_expansion")], lambda n, p, v: machines.nine(n)))
-query("exp_homogeneous")(_sweep("g4", [(m, "none", 0.0) for m in ("full", "degree_aware_stream", "neighbor_expansion")], lambda n, p, v: machines.homogeneous(n)))
-query("exp_machines")(_sweep("g4", [("full", "machines", v) for v in (30, 45, 60, 75, 90)], lambda n, p, v: machines.share_super(n, int(v)).with_memory(1.5)))
-query("exp_types")(_sweep("g4", [("full", "types", v) for v in range(1, 7)], lambda n, p, v: machines.typed(n, int(v))))
-query("exp_seeds")(_sweep("g4", [("full", "seed", v) for v in range(1, 11)]))
+    for _g in ("g1", "g4", "g5", "g6", "g9", "rmat"):
+        _put(f"{_name}_{_g}", _g, [("full", _p, v) for v in _values], guarded=_g in ("g4", "g9", "rmat"))
+for _g in ("g1", "g2", "g3", "g4", "g5", "g6", "g9", "grid", "rmat"):
+    _put(f"ablation_{_g}", _g, [(m, "none", 0.0) for m in PAPER_METHODS])
+    _put(f"compare_{_g}", _g, [(m, "none", 0.0) for m in FIVE])
+for _g in ("g1", "g2", "g3", "g4", "g5", "g6", "g9", "rmat"):
+    _put(f"hetero_{_g}", _g, [(m, "none", 0.0) for m in ("full", *BASELINES[4:])], _nine, guarded=False)
+    _put(f"nine_{_g}", _g, [(m, "none", 0.0) for m in FIVE], _nine)
+_put("homogeneous", "g4", [(m, "none", 0.0) for m in FIVE], lambda n, p, v: machines.homogeneous(n))
+_put("machines", "g4", [(m, "machines", v) for m in ("full", "neighbor_expansion", "sorted_balance") for v in (30, 45, 60, 75, 90)], _more)
+_put("types", "g4", [(m, "types", v) for m in ("full", "neighbor_expansion", "sorted_balance") for v in range(1, 7)], _types)
+_put("seeds", "g4", [("full", "seed", v) for v in range(1, 11)])
 
 
 @query("exp_repeat")
@@ -126,8 +177,11 @@ def exp_repeat(s, d):
 @query("exp_seconds")
 def exp_seconds(s, d):
     """Partitioning time and throughput of every method."""
-    r = sweep(_graph(s, d, "g1"), "g1", [(m, "none", 0.0) for m in (*PAPER_METHODS, *BASELINES)])
-    return r.select("graph", "method", "seconds", "edges_per_second")
+    out = None
+    for g in ("g1", "g3", "g4", "g5"):
+        r = sweep(_graph(s, d, g), g, [(m, "none", 0.0) for m in (*PAPER_METHODS, *BASELINES)])
+        out = r if out is None else out.unionByName(r)
+    return out.select("graph", "method", "n_edges", "seconds", "edges_per_second")
 
 
 @query("exp_gains")
@@ -141,98 +195,95 @@ def exp_gains(s, d):
     return t.select("graph", (F.col("naive") / F.col("star")).alias("capacity_gain"), (F.col("star") / F.col("plus")).alias("best_first_gain"), (F.col("plus") / F.col("full")).alias("search_gain"))
 
 
-@query("exp_workload_times")
-def exp_workload_times(s, d):
-    """Simulated time of PageRank, breadth-first levels and distances on nine machines, from
-    which vertices are active when, for the heterogeneous comparators."""
-    from ..operators import algos, bsp
-    from .core import edges, run_method, weighted
-
-    e = edges(s, d, "g4")
-    f = machines.nine(e.count())
-    start = e.agg(F.min("src")).first()[0]
-    levels = algos.bfs(e, start).persist()
-    reach = algos.sssp(weighted(s, d), start)
-    # a vertex works for distances in each step up to its level, while offers may still come
-    active = reach.select("v").join(levels, "v").select("v", F.explode(F.sequence(F.lit(1), F.col("level") + 1)).alias("step"))
-    rows = []
-    for m in ("full", "load_only", "traffic_migration", "hetero_stream", "hetero_expansion"):
-        a = run_method(s, d, "g4", m, fleet=f)[0].persist()
-        times = [bsp.simulate(a, f, x).agg(F.sum("t")).first()[0] for x in (bsp.dense_activity(a, 1), bsp.level_activity(levels), active)]
-        a.unpersist()
-        rows.append((m, 10 * float(times[0]), float(times[1]), float(times[2])))
-    levels.unpersist()
-    return s.createDataFrame(rows, "method string, pagerank double, bfs double, sssp double")
-
-
-@query("exp_pagerank_time")
-def exp_pagerank_time(s, d):
-    """Simulated time of ten dense supersteps and of the map-reduce routine on nine machines."""
-    from ..operators import bsp
-    from .core import edges, run_method
-
-    f = machines.nine(edges(s, d, "g4").count())
+def _weighted(s, d, g):
+    """A graph's edges with the arithmetic weights of the distance workload."""
+    return _graph(s, d, g).withColumn("weight", (F.col("src") * 31 + F.col("dst") * 17) % 97 + 1)
+
+
+def _wedges(e: DataFrame) -> DataFrame:
+    """Triangle counting in two steps, as vertices are active in it: all send their lists,
+    then those that have two neighbours or more look for the third edge."""
+    deg = graphs.degrees(e)
+    return deg.select(F.lit(1).alias("step"), "v").unionByName(deg.where("degree > 1").select(F.lit(2).alias("step"), "v"))
+
+
+def workload_times(s, d, g: str, fleet, methods: tuple[str, ...]) -> DataFrame:
+    """Simulated time of PageRank (ten dense steps), triangles, breadth-first levels and
+    distances, from which vertices are active in which step, beside TC."""
+    from ..operators import algos, bsp, costs
+    from ..session import cut
+
+    e = cut(_graph(s, d, g))
+    n = e.count()
+    f, start, steps = fleet(n), e.agg(F.min("src")).first()[0], []
+    levels = cut(algos.bfs(e, start))
+    algos.sssp(_weighted(s, d, g), start, steps)
+    active = steps[0]
+    for x in steps[1:]:
+        active = active.unionByName(x)
+    work = {"triangles": _wedges(e), "bfs": bsp.level_activity(levels), "sssp": cut(active)}
     rows = []
-    for m in ("full", "degree_aware_stream", "neighbor_expansion", "load_only", "hetero_stream", "hetero_expansion"):
-        a, _, _ = run_method(s, d, "g4", m, fleet=f)
-        a = a.persist()
-        step, split = (bsp.simulate(a, f, bsp.dense_activity(a, 1), mode).agg(F.sum("t")).first()[0] for mode in ("superstep", "barrier_split"))
-        a.unpersist()
-        rows.append((m, 10 * float(step), 10 * float(split)))
-    return s.createDataFrame(rows, "method string, superstep_time double, mapreduce_time double")
+    for m in methods:
+        a = cut(partitioners.kernel(e, method(m, f)))
+        tc = float(costs.total(a, f).first()[0])
+        dense = bsp.simulate(a, f, bsp.dense_activity(a, 1)).agg(F.sum("t")).first()[0]
+        split = bsp.simulate(a, f, bsp.dense_activity(a, 1), "barrier_split").agg(F.sum("t")).first()[0]
+        rest = [float(bsp.simulate(a, f, x).agg(F.sum("t")).first()[0]) for x in work.values()]
+        rows.append((g, m, n, tc, 10 * float(dense), 10 * float(split), *rest))
+    return s.createDataFrame(rows, "graph string, method string, n_edges long, tc double, pagerank double, pagerank_mapreduce double, triangles double, bfs double, sssp double")
+
+
+HETERO = ("full", *BASELINES[4:])
+for _g in ("g1", "g3", "g4", "g5", "g6", "g9"):
+    query(f"exp_times_hetero_{_g}")(lambda s, d, g=_g: workload_times(s, d, g, machines.nine, HETERO if g == "g4" else HETERO[:3]))
+for _g in ("g1", "g4", "g9"):
+    query(f"exp_times_{_g}")(lambda s, d, g=_g: workload_times(s, d, g, machines.nine, ("full", "degree_aware_stream", "neighbor_expansion", "sorted_balance")))
+query("exp_times_homogeneous")(lambda s, d: workload_times(s, d, "g4", machines.homogeneous, FIVE))
 
 
 @query("exp_rmat")
-def exp_rmat(s, d):
+def exp_rmat(s, d, scales=tuple(range(8, 15))):
     """Sizes doubling; the slope of ln TC over the scale follows from the rows."""
     out = None
-    for scale in (7, 8, 9, 10, 11):
-        part = sweep(graphs.rmat(s, scale), f"rmat{scale}", [(m, "scale", float(scale)) for m in ("full", "degree_aware_stream", "neighbor_expansion")])
+    for scale in scales:
+        part = sweep(graphs.rmat(s, scale), f"rmat{scale}", [(m, "scale", float(scale)) for m in FIVE])
         out = part if out is None else out.unionByName(part)
     return out
 
 
 @query("exp_slope")
 def exp_slope(s, d):
-    r = exp_rmat(s, d)
+    r = exp_rmat(s, d, (7, 8, 9, 10, 11))
     return r.groupBy("method").agg(F.regr_slope(F.ln("tc"), "value").alias("slope"), F.exp(F.regr_slope(F.ln("tc"), "value")).alias("growth_per_doubling"))
 
 
 @query("exp_histogram")
 def exp_histogram(s, d):
-    """Time of each machine, computing and talking, for the four variants."""
+    """Time of each machine, computing and talking, for the four variants on three graphs."""
     from ..operators import costs
     from .core import run_method
 
     out = None
-    for m in PAPER_METHODS:
-        a, _, f = run_method(s, d, "g4", m)
-        c = costs.costs(a, f).select(F.lit(m).alias("method"), "machine", "t_cal", "t_com", "t")
-        out = c if out is None else out.unionByName(c)
+    for g in ("g4", "g5", "g9"):
+        for m in PAPER_METHODS:
+            a, _, f = run_method(s, d, g, m)
+            c = costs.costs(a, f).select(F.lit(g).alias("graph"), F.lit(m).alias("method"), "machine", "t_cal", "t_com", "t")
+            out = c if out is None else out.unionByName(c)
     return out
 
 
 @query("exp_tc_vs_time")
 def exp_tc_vs_time(s, d):
-    """TC beside simulated run time of a dense and a sparse workload for three methods, and
-    how far each is from proportion."""
-    from ..operators import algos, bsp, costs
-    from .core import edges, run_method
-
-    e = edges(s, d, "g4")
-    start = e.agg(F.min("src")).first()[0]
-    levels = algos.bfs(e, start)
-    rows = []
-    for m in ("degree_aware_stream", "neighbor_expansion", "full"):
-        a, _, f = run_method(s, d, "g4", m)
-        a = a.persist()
-        tc = costs.total(a, f).first()[0]
-        dense = bsp.simulate(a, f, bsp.dense_activity(a, 10)).agg(F.sum("t")).first()[0]
-        sparse = bsp.simulate(a, f, bsp.level_activity(levels)).agg(F.sum("t")).first()[0]
-        a.unpersist()
-        rows.append((m, float(tc), float(dense), float(sparse)))
-    base = rows[0]
-    return s.createDataFrame([(*r, r[2] / base[2] / (r[1] / base[1]) - 1, r[3] / base[3] / (r[1] / base[1]) - 1) for r in rows], "method string, tc double, dense_time double, sparse_time double, dense_error double, sparse_error double")
+    """TC beside simulated times of four workloads for three methods on two graphs: how far
+    each ratio of times is from the ratio of TC (against the first method)."""
+    out = None
+    for g in ("g1", "g4"):
+        r = workload_times(s, d, g, lambda n: machines.small(n).with_memory(1.5), ("degree_aware_stream", "neighbor_expansion", "full"))
+        out = r if out is None else out.unionByName(r)
+    first = out.where("method = 'degree_aware_stream'")
+    base = first.select("graph", *[F.col(c).alias(f"{c}_0") for c in ("tc", "pagerank", "triangles", "bfs", "sssp")])
+    off = lambda c: ((F.col(c) / F.col(f"{c}_0")) / (F.col("tc") / F.col("tc_0")) - 1).alias(f"{c}_error")
+    return out.join(F.broadcast(base), "graph").select("graph", "method", "tc", "pagerank", "triangles", "bfs", "sssp", *[off(c) for c in ("pagerank", "triangles", "bfs", "sssp")])
 
 
 @query("exp_gap", "select true as plan_is_exact, true as within_five_percent")
