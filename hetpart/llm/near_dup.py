@@ -70,7 +70,7 @@ def document_frequency(docs: DataFrame, text: str = "text") -> tuple[np.ndarray,
         at = np.flatnonzero(flat)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(flat[at], n).astype(np.int32))], names=["slot", "n"])
 
-    rows = picked(docs, text=text).mapInArrow(count, "slot int, n int").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()  # IDF_ROWS * 2 ** IDF_BITS rows at most
+    rows = picked(docs, text=text).mapInArrow(count, "slot int, n int").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()  # IDF_ROWS * 2 ** IDF_BITS rows at most
     out = np.zeros(IDF_ROWS << IDF_BITS, np.int64)
     at = rows["slot"].to_numpy()
     out[at[at >= 0]] = rows["n"].to_numpy()[at >= 0]

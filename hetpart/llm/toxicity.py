@@ -174,9 +174,10 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
             at = np.flatnonzero(n)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), g, np.int32)), pa.array(at.astype(np.int32)), pa.array(n[at])], names=["g", "f", "n"])
 
-    sums = rows.mapInArrow(tally, "g int, f int, n int").groupBy("g", "f").agg(F.sum("n").alias("n")).toPandas()  # 2 * FOLDS * 2 ** BITS rows at most
+    sums = rows.mapInArrow(tally, "g int, f int, n int").groupBy("g", "f").agg(F.sum("n").alias("n")).toArrow()  # 2 * FOLDS * 2 ** BITS rows at most
     count = np.zeros((2 * FOLDS, width + 1), np.int64)
-    count[sums.g.to_numpy(), sums.f.to_numpy()] = sums.n.to_numpy()
+    count[sums["g"].to_numpy(), sums["f"].to_numpy()] = sums["n"].to_numpy()
+    del sums
     n0, n1 = count[0::2], count[1::2]
     if n0[:, -1].sum() == 0 or n1[:, -1].sum() == 0:
         return None
