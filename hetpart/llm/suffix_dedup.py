@@ -20,7 +20,13 @@ compared once, with its group's pivot, and branches off at the first byte that d
 or has the pivot's string. At most 34 levels follow, whatever the data.
 
 Segments, removed ranges and texts travel as compressed blobs, one for each slice and
-bucket; the number of buckets follows the size of the input.
+bucket; the numbers of buckets and of partitions follow the size of the input.
+
+A bucket is read as a stream and holds ``HELD_BYTES`` at most. Beyond that equal segments
+are folded, and if this doesn't halve it, its largest anchors give way: their segments,
+those that come later as well, are taken apart into single strings, sorted in pieces, and
+what no smaller id of the piece has goes on, dealt by all its 50 bytes. So an anchor that
+very many different contexts share isn't one task's, and results don't depend on sizes.
 
 Defined results: null and empty texts have nothing to remove; a null id is smaller than
 all others; repeated rows (equal id and text) don't remove each other and each give a
@@ -36,6 +42,7 @@ import numpy as np
 import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .common import picked, plan_bytes, table
 from .textbuf import covered, give_back, mix, powers, prefix_sums, ragged, run_hashes, text_slices
@@ -43,18 +50,27 @@ from .textbuf import covered, give_back, mix, powers, prefix_sums, ragged, run_h
 LENGTH, GRAM, SHALLOW = 50, 16, 16
 GRAMS = LENGTH - GRAM + 1  # grams of a string
 #: Text that a task gathers before it sends; input on disk for each bucket.
-FLUSH_BYTES, BUCKET_BYTES, MAX_BUCKETS = 16_000_000, 4_000_000, 200_000
+FLUSH_BYTES, BUCKET_BYTES = 16_000_000, 2_000_000
+#: Buckets of a shuffle partition, and partitions of a shuffle: then partitions hold more buckets.
+BUCKETS_A_TASK, MAX_TASKS = 8, 200_000
+#: A larger estimate is none; numbers of finer buckets must be integers of four bytes.
+UNKNOWN_BYTES, MAX_BUCKETS = 1 << 50, 1 << 27
+#: Bytes of segments that a bucket holds; buckets of single strings for each bucket.
+HELD_BYTES, FINER = 64_000_000, 8
 WINDOWS_AT_ONCE = 500_000
+#: Smaller blobs aren't compressed.
+SMALL_BLOB = 512
 NULL_ID = np.iinfo(np.int64).min
 
 
 def pack(*arrays: np.ndarray) -> bytes:
     head = np.array([len(arrays), *(a.nbytes for a in arrays)], np.int64).tobytes()
-    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(np.ascontiguousarray(a).tobytes() for a in arrays))
+    raw = head + b"".join(np.ascontiguousarray(a).tobytes() for a in arrays)
+    return raw if len(raw) < SMALL_BLOB else zstandard.ZstdCompressor(level=3).compress(raw)
 
 
 def unpack(blob: bytes, *types) -> list[np.ndarray]:
-    raw = zstandard.ZstdDecompressor().decompress(blob)
+    raw = zstandard.ZstdDecompressor().decompress(blob) if blob[:4] == zstandard.FRAME_HEADER else blob
     sizes = np.frombuffer(raw, np.int64, 1 + len(types))[1:]
     out, at = [], 8 * (1 + len(types))
     for t, n in zip(types, sizes.tolist(), strict=True):
@@ -63,6 +79,14 @@ def unpack(blob: bytes, *types) -> list[np.ndarray]:
     return out
 
 
+def shares(bucket: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """Each bucket that occurs, with its rows in their order."""
+    order = np.argsort(bucket, kind="stable")
+    there, first = np.unique(bucket[order], return_index=True)
+    for b, i, j in zip(there.tolist(), first.tolist(), [*first[1:].tolist(), len(order)], strict=True):
+        yield b, order[i:j]
+
+
 def gram_hashes(sums: np.ndarray) -> np.ndarray:
     h = (sums[GRAM:] - sums[:-GRAM]) * powers(len(sums) - GRAM, True)
     return mix(h)
@@ -130,11 +154,14 @@ class Sender:
     def flush(self) -> Iterator[tuple[int, int, bytes]]:
         """(kind, bucket, blob): 0 for segments, 1 for removed ranges."""
         if self.rows:
-            cuts = [np.searchsorted(r[0], np.arange(self.buckets + 1)) for r in self.rows]
             ends = [np.concatenate([[0], np.cumsum(r[3].astype(np.int64) + LENGTH - 1)]) for r in self.rows]
-            for b in np.unique(np.concatenate([r[0] for r in self.rows])).tolist():
-                part = [[x[c[b] : c[b + 1]] for x in r[1:]] + [t[e[c[b]] : e[c[b + 1]]]] for r, c, e, t in zip(self.rows, cuts, ends, self.text, strict=True)]
-                yield 0, b, pack(*(np.concatenate(x) for x in zip(*part, strict=True)))
+            there = np.unique(np.concatenate([r[0] for r in self.rows]))
+            for k in range(0, len(there), 4096):
+                some = there[k : k + 4096]
+                cuts = [(np.searchsorted(r[0], some, "left").tolist(), np.searchsorted(r[0], some, "right").tolist()) for r in self.rows]
+                for i, b in enumerate(some.tolist()):
+                    part = [[x[lo[i] : hi[i]] for x in r[1:]] + [t[e[lo[i]] : e[hi[i]]]] for r, (lo, hi), e, t in zip(self.rows, cuts, ends, self.text, strict=True) if hi[i] > lo[i]]
+                    yield 0, b, pack(*(np.concatenate(x) for x in zip(*part, strict=True)))
         if self.ranges:
             yield from send_ranges(*(np.concatenate(x) for x in zip(*self.ranges, strict=True)), self.buckets)
         self.rows, self.text, self.ranges, self.size = [], [], [], 0
@@ -158,11 +185,7 @@ def send_ranges(ids: np.ndarray, start: np.ndarray, end: np.ndarray, buckets: in
     first = np.flatnonzero(new)
     last = np.append(first[1:], len(ids)) - 1
     ids, start, end = ids[first], start[first], reach[last] - doc[first] * span
-    b = home(ids, buckets)
-    order = np.argsort(b, kind="stable")
-    cut = np.searchsorted(b[order], np.arange(buckets + 1))
-    for k in np.unique(b).tolist():
-        o = order[cut[k] : cut[k + 1]]
+    for k, o in shares(home(ids, buckets)):
         yield 1, k, pack(ids[o], start[o].astype(np.uint32), end[o].astype(np.uint32))
 
 
@@ -231,16 +254,168 @@ def sort_suffixes(buf: np.ndarray, pos: np.ndarray, group: np.ndarray, owner: np
         live = live[keep]
 
 
-def settle(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Removed ranges (id, start, end) that the segments of one bucket decide."""
-    parts = [unpack(b, np.int64, np.uint32, np.uint8, np.uint8, np.uint8) for b in blobs]
-    ids, start, count, anchor, buf = (np.concatenate(x) for x in zip(*parts, strict=True))
-    del parts
+#: Segments: document, start, number of strings, anchor's place, bytes behind each other.
+SEGMENTS = (np.int64, np.uint32, np.uint8, np.uint8, np.uint8)
+#: Single strings: document, start, 50 bytes each.
+STRINGS = (np.int64, np.uint32, np.uint8)
+
+
+def places(count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sizes of segments and where each begins in their bytes."""
     size = count.astype(np.int64) + LENGTH - 1
-    at = np.concatenate([[0], np.cumsum(size)[:-1]])
+    return size, np.concatenate([[0], np.cumsum(size)[:-1]])
+
+
+def anchor_keys(buf: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """64-bit keys of the grams that begin at these places."""
     word = np.ndarray((len(buf) - 7,), ">u8", buf, strides=(1,))
-    where = at + anchor
-    key = mix(word[where].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) ^ mix(word[where + 8].astype(np.uint64)))
+    return mix(word[at].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) ^ mix(word[at + 8].astype(np.uint64)))
+
+
+def contents(buf: np.ndarray, at: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """64-bit hashes of segments."""
+    out, step = np.empty(len(at), np.uint64), 1 << 14
+    for a in range(0, len(at), step):
+        n = size[a : a + step]
+        sums, end = prefix_sums(buf[ragged(at[a : a + step], n)]), np.cumsum(n)
+        out[a : a + step] = run_hashes(sums, end - n, end)
+    return out
+
+
+def chosen(part: list[np.ndarray], rows: np.ndarray) -> list[np.ndarray]:
+    """Some of the segments, in the order given."""
+    *columns, buf = part
+    size, at = places(columns[2])
+    return [*(c[rows] for c in columns), buf[ragged(at[rows], size[rows])]]
+
+
+def in_runs(w: np.ndarray, seg: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First and last of each run of neighbouring strings of one segment among sorted w."""
+    new = np.ones(len(w), np.bool_)
+    new[1:] = (w[1:] != w[:-1] + 1) | (seg[w[1:]] != seg[w[:-1]])
+    first = np.flatnonzero(new)
+    return w[first], w[np.append(first[1:], len(w)) - 1]
+
+
+def deal_strings(ids: np.ndarray, start: np.ndarray, rows: np.ndarray, buckets: int) -> Iterator[tuple[int, int, bytes]]:
+    """Single strings (rows of 50 bytes) by the bucket of all their bytes, of kind 3; these
+    buckets have negative numbers."""
+    word = np.ascontiguousarray(rows)[:, [*range(LENGTH), *range(LENGTH - 8, LENGTH - 2)]].reshape(-1).view(np.uint64).reshape(len(rows), -1)
+    h = np.zeros(len(rows), np.uint64)
+    for k in range(word.shape[1]):
+        h = mix((h ^ word[:, k]) * np.uint64(0x9E3779B97F4A7C15))
+    for b, o in shares((h % np.uint64(buckets * FINER)).astype(np.int64)):
+        yield 3, -1 - b, pack(ids[o], start[o], rows[o].reshape(-1))
+
+
+def take_apart(part: list[np.ndarray], buckets: int) -> Iterator[tuple[int, int, bytes]]:
+    """The strings of segments: sorted in pieces, in the order of anchors; those that a
+    smaller id of their piece has are removed, the others are dealt."""
+    ids, start, count, anchor, buf = part
+    size, at = places(count)
+    order = np.argsort(anchor_keys(buf, at + anchor), kind="stable")
+    total = np.cumsum(count[order].astype(np.int64))
+    a = 0
+    while a < len(order):
+        b = max(a + 1, int(np.searchsorted(total, (total[a - 1] if a else 0) + WINDOWS_AT_ONCE, "right")))
+        r, a = order[a:b], b
+        n = count[r].astype(np.int64)
+        seg, inner = np.repeat(r, n), ragged(np.zeros(len(r), np.int64), n)
+        pos, left = at[seg] + inner, np.ones(len(seg), np.bool_)
+        for hit in sort_suffixes(buf, pos, np.zeros(len(pos), np.int64), ids[seg]):
+            left[hit] = False
+        if not left.all():
+            f, l = in_runs(np.flatnonzero(~left), seg)  # noqa: E741
+            yield from send_ranges(ids[seg[f]], start[seg[f]] + inner[f], start[seg[f]] + inner[l] + LENGTH, buckets)
+        rest = np.flatnonzero(left)
+        for k in range(0, len(rest), WINDOWS_AT_ONCE // 4):
+            w = rest[k : k + WINDOWS_AT_ONCE // 4]
+            yield from deal_strings(ids[seg[w]], (start[seg[w]] + inner[w]).astype(np.uint32), buf[pos[w][:, None] + np.arange(LENGTH)], buckets)
+
+
+class Held:
+    """Segments of one bucket, within a bound."""
+
+    def __init__(self, buckets: int, limit: int):
+        self.buckets, self.limit, self.parts, self.size, self.hot = buckets, limit, [], 0, np.zeros(0, np.uint64)
+
+    def joined(self) -> list[np.ndarray]:
+        self.parts = [[np.concatenate(x) for x in zip(*self.parts, strict=True)]] if len(self.parts) > 1 else self.parts
+        return self.parts[0]
+
+    def put(self, part: list[np.ndarray]) -> None:
+        self.parts.append(part)
+        self.size += sum(x.nbytes for x in part)
+
+    def add(self, part: list[np.ndarray]) -> Iterator[tuple[int, int, bytes]]:
+        if len(self.hot):
+            apart = np.isin(anchor_keys(part[4], places(part[2])[1] + part[3]), self.hot)
+            yield from take_apart(chosen(part, np.flatnonzero(apart)), self.buckets) if apart.any() else ()
+            part = chosen(part, np.flatnonzero(~apart))
+        if len(part[0]):
+            self.put(part)
+        if self.size > self.limit:
+            yield from self.relieve()
+
+    def relieve(self) -> Iterator[tuple[int, int, bytes]]:
+        """Folds equal segments; if that doesn't free a quarter of the bound, the largest
+        anchors go, until half of it is free."""
+        ids, start, count, anchor, buf = part = self.joined()
+        self.parts, self.size = [], 0
+        size, at = places(count)
+        gone, _, _ = fold(ids, contents(buf, at, size))
+        yield from send_ranges(ids[gone], start[gone], start[gone].astype(np.int64) + size[gone], self.buckets)
+        part = chosen(part, np.flatnonzero(~gone))
+        size, at = places(part[2])
+        keys, of = np.unique(anchor_keys(part[4], at + part[3]), return_inverse=True)
+        weight = np.bincount(of, weights=size + 14)
+        order = np.argsort(-weight, kind="stable")
+        rest = weight.sum() - np.concatenate([[0], np.cumsum(weight[order])])
+        go = np.zeros(len(keys), np.bool_)
+        if rest[0] > 0.75 * self.limit:
+            go[order[: int(np.argmax(rest <= self.limit / 2))]] = True
+        if go.any():
+            self.hot = np.union1d(self.hot, keys[go])
+            yield from take_apart(chosen(part, np.flatnonzero(go[of])), self.buckets)
+            part = chosen(part, np.flatnonzero(~go[of]))
+        if len(part[0]):
+            self.put(part)
+
+    def settled(self) -> Iterator[tuple[int, int, bytes]]:
+        if self.parts:
+            yield from send_ranges(*settle(*self.joined()), self.buckets)
+        self.parts, self.size = [], 0
+
+
+class HeldStrings:
+    """Single strings of one bucket; beyond the bound those that are decided go."""
+
+    def __init__(self, buckets: int, limit: int):
+        self.buckets, self.limit, self.parts, self.size = buckets, limit, [], 0
+
+    def add(self, part: list[np.ndarray]) -> Iterator[tuple[int, int, bytes]]:
+        self.parts.append(part)
+        self.size += sum(x.nbytes for x in part)
+        if self.size > self.limit:
+            yield from self.settled()
+            self.limit = max(self.limit, 2 * self.size)
+
+    def settled(self) -> Iterator[tuple[int, int, bytes]]:
+        if not self.parts:
+            return
+        ids, start, buf = (np.concatenate(x) for x in zip(*self.parts, strict=True))
+        left = np.ones(len(ids), np.bool_)
+        for hit in sort_suffixes(buf, np.arange(len(ids)) * LENGTH, np.zeros(len(ids), np.int64), ids):
+            left[hit] = False
+        yield from send_ranges(ids[~left], start[~left], start[~left].astype(np.int64) + LENGTH, self.buckets)
+        self.parts = [[ids[left], start[left], buf.reshape(-1, LENGTH)[left].reshape(-1)]]
+        self.size = sum(x.nbytes for x in self.parts[0])
+
+
+def settle(ids: np.ndarray, start: np.ndarray, count: np.ndarray, anchor: np.ndarray, buf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Removed ranges (id, start, end) that these segments decide among them."""
+    size, at = places(count)
+    key = anchor_keys(buf, at + anchor)
     order = np.argsort(key, kind="stable")
     new = np.ones(len(order), np.bool_)
     new[1:] = key[order][1:] != key[order][:-1]
@@ -251,13 +426,7 @@ def settle(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     mine, group = order[shared], group[shared]  # segments whose anchor several documents hold
     if not len(mine):
         return ids[:0], start[:0], start[:0]
-    content = np.empty(len(mine), np.uint64)
-    step = 1 << 14
-    for a in range(0, len(mine), step):
-        m = mine[a : a + step]
-        sums = prefix_sums(buf[ragged(at[m], size[m])])
-        end = np.cumsum(size[m])
-        content[a : a + step] = run_hashes(sums, end - size[m], end)
+    content = contents(buf, at[mine], size[mine])
     gone, cls, least = fold(ids[mine], content)
     out = [(ids[mine[gone]], start[mine[gone]].astype(np.int64), start[mine[gone]] + size[mine[gone]])]
     # one segment stands for each class; groups of one class are settled
@@ -284,15 +453,11 @@ def settle(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
             g = group[r][seg] * np.int64(64) + (anchor[mine[r]].astype(np.int64)[seg] - inner)
             hit = [x for x in sort_suffixes(buf, pos, g, least[cls[r]][seg]) if len(x)]
             if hit:
-                w = np.sort(np.concatenate(hit))
-                new = np.ones(len(w), np.bool_)
-                new[1:] = (w[1:] != w[:-1] + 1) | (seg[w[1:]] != seg[w[:-1]])
-                f = np.flatnonzero(new)
-                l = np.append(f[1:], len(w)) - 1  # noqa: E741
-                c = cls[r[seg[w[f]]]]
+                f, l = in_runs(np.sort(np.concatenate(hit)), seg)  # noqa: E741
+                c = cls[r[seg[f]]]
                 k = member_at[c + 1] - member_at[c]
                 m = mine[members[ragged(member_at[c], k)]]
-                out.append((ids[m], start[m] + np.repeat(inner[w[f]], k), start[m] + np.repeat(inner[w[l]] + LENGTH, k)))
+                out.append((ids[m], start[m] + np.repeat(inner[f], k), start[m] + np.repeat(inner[l] + LENGTH, k)))
             a = b
     return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
@@ -309,7 +474,18 @@ def _ids(part: pa.RecordBatch, key: str) -> np.ndarray:
     return part.column(part.schema.get_field_index(key)).cast(pa.int64()).fill_null(NULL_ID).to_numpy(zero_copy_only=False)
 
 
-def removed_ranges(docs: DataFrame, buckets: int, key: str = "doc_id", text: str = "text") -> DataFrame:
+def _blobs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, int, bytes]]:
+    for b in batches:
+        for kind, bucket, blob in zip(b.column("kind").to_pylist(), b.column("bucket").to_pylist(), b.column("blob"), strict=True):
+            yield kind, bucket, blob.as_py()
+
+
+def dealt(blobs: DataFrame, buckets: int):
+    """Blobs by bucket, in as many partitions as their number asks for."""
+    return blobs.repartition(min(MAX_TASKS, max(16, buckets // BUCKETS_A_TASK)), "bucket").groupBy("bucket")
+
+
+def removed_ranges(docs: DataFrame, buckets: int, key: str = "doc_id", text: str = "text", held: int = HELD_BYTES) -> DataFrame:
     """Blobs of kind 1: removed ranges by their documents' buckets."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -320,16 +496,21 @@ def removed_ranges(docs: DataFrame, buckets: int, key: str = "doc_id", text: str
                 yield from _rows(out.flush())
         yield from _rows(out.flush())
 
-    def meet(group: pa.Table) -> pa.Table:
-        kinds = group.column("kind").to_numpy()
-        blobs = [group.column("blob")[int(i)].as_py() for i in np.flatnonzero(kinds == 0)]
-        done = [(1, group.column("bucket")[int(i)].as_py(), group.column("blob")[int(i)].as_py()) for i in np.flatnonzero(kinds == 1)]
-        if blobs:
-            done += send_ranges(*settle(blobs), buckets)
+    def solve(kind: int, here, types, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Decides the blobs of a kind; others go on as they are."""
+        for k, bucket, blob in _blobs(batches):
+            yield from _rows(here.add(unpack(blob, *types)) if k == kind else [(k, bucket, blob)])
+        yield from _rows(here.settled())
         give_back()
-        return pa.Table.from_arrays([pa.array([x[0] for x in done], pa.int32()), pa.array([x[1] for x in done], pa.int32()), pa.array([x[2] for x in done], pa.binary())], names=["kind", "bucket", "blob"])
 
-    return docs.select(key, text).mapInArrow(send, BLOBS).groupBy("bucket").applyInArrow(meet, BLOBS)
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from solve(0, Held(buckets, held), SEGMENTS, batches)
+
+    def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from solve(3, HeldStrings(buckets, held), STRINGS, batches)
+
+    met = dealt(docs.select(key, text).mapInArrow(send, BLOBS), buckets).applyInArrow(meet, BLOBS)
+    return dealt(met, buckets).applyInArrow(finish, BLOBS)
 
 
 def with_ranges(docs: DataFrame, ranges: DataFrame, buckets: int, key: str, text: str, schema: str, finish) -> DataFrame:
@@ -344,10 +525,7 @@ def with_ranges(docs: DataFrame, ranges: DataFrame, buckets: int, key: str, text
                 return
             ids, data, n = (np.concatenate(x) for x in zip(*held, strict=True))
             first = np.concatenate([[0], np.cumsum(n)[:-1]])
-            order = np.argsort(b, kind="stable")
-            cut = np.searchsorted(b[order], np.arange(buckets + 1))
-            for k in np.unique(b).tolist():
-                o = order[cut[k] : cut[k + 1]]
+            for k, o in shares(b):
                 yield 2, k, pack(ids[o], n[o], data[ragged(first[o], n[o])])
 
         for part, data, offsets in text_slices(batches, text):
@@ -378,11 +556,16 @@ def with_ranges(docs: DataFrame, ranges: DataFrame, buckets: int, key: str, text
         return finish(ids, data, offsets, gone)
 
     sent = docs.select(key, text).mapInArrow(send, BLOBS)
-    return sent.unionByName(ranges).groupBy("bucket").applyInArrow(meet, schema)
+    return dealt(sent.unionByName(ranges), buckets).applyInArrow(meet, schema)
 
 
-def bucket_count(docs: DataFrame) -> int:
-    return int(min(MAX_BUCKETS, max(16, plan_bytes(docs) // BUCKET_BYTES)))
+def bucket_count(docs: DataFrame, text: str = "text") -> int:
+    """By the planner's estimate; where it has none (tables that aren't files), by a count.
+    The number decides about speed only."""
+    size = plan_bytes(docs)
+    if size > UNKNOWN_BYTES:
+        size = docs.agg(F.sum(F.octet_length(F.col(text)))).first()[0] or 0
+    return min(MAX_BUCKETS, max(16, size // BUCKET_BYTES))
 
 
 def _finish(key: str, texts: bool):
@@ -410,12 +593,13 @@ def _finish(key: str, texts: bool):
 NAMES = ["n_bytes", "n_removed", "n_spans", "kept_sha256"]
 
 
-def deduplicate(docs: DataFrame, key: str = "doc_id", text: str = "text", *, texts: bool = True, buckets: int | None = None) -> DataFrame:
-    """Sizes, removed bytes and runs of each document and, as wanted, the bytes kept."""
+def deduplicate(docs: DataFrame, key: str = "doc_id", text: str = "text", *, texts: bool = True, buckets: int | None = None, held: int = HELD_BYTES) -> DataFrame:
+    """Sizes, removed bytes and runs of each document and, as wanted, the bytes kept.
+    held: bytes of segments that a bucket holds at once."""
     docs, name, key, text = picked(docs, key=key, text=text), key, "key", "text"
-    buckets = buckets or bucket_count(docs)
+    buckets = buckets or bucket_count(docs, text)
     schema = f"key bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + ", kept binary" * texts
-    return with_ranges(docs, removed_ranges(docs, buckets, key, text), buckets, key, text, schema, _finish(key, texts)).withColumnRenamed("key", name)
+    return with_ranges(docs, removed_ranges(docs, buckets, key, text, held), buckets, key, text, schema, _finish(key, texts)).withColumnRenamed("key", name)
 
 
 def op6_suffix_dedup(spark, sf_dir: str) -> DataFrame:

@@ -37,6 +37,36 @@ def test_equals_brute_force(frame, sample, awkward, edited):
             assert hashlib.sha256(r["kept"]).hexdigest() == r["kept_sha256"]
 
 
+def test_full_buckets_take_hot_anchors_apart(frame, sample, edited):
+    """Very many contexts around one short phrase, and one passage in many documents: a
+    bound of a few segments gives what brute force gives."""
+    rng = np.random.default_rng(5)
+    noise = lambda n: "".join(chr(c) for c in rng.integers(97, 123, n))
+    phrase, passage = "all rights of this short phrase", "a passage of more than fifty bytes that a third of the documents hold, word by word"
+    docs = {k: noise(60) + phrase + noise(60) + (noise(9) + passage + noise(9)) * (k % 3 == 0) for k in range(300)}
+    docs |= {300 + k: docs[k][20:160] for k in range(0, 300, 7)}
+    docs |= {-1: "ab" * 300, 900: "ab" * 200, 901: "é" * 60, 902: None}
+    base = max(sample.values(), key=len)[:3000]
+    docs |= {1000 + k: edited(base, 0.01, k) for k in range(20)}
+    want = brute(docs)
+    for held in (300, 5_000, 50_000):
+        got = S.deduplicate(frame(list(docs.items()), 4), texts=False, buckets=2, held=held).collect()
+        assert {r[0]: tuple(r)[1:5] for r in got} == want
+
+
+def test_a_hot_anchor_leaves_its_bucket():
+    rng = np.random.default_rng(2)
+    phrase = np.frombuffer(b"one short phrase in all of them", np.uint8)
+    data = np.concatenate([np.concatenate([rng.integers(97, 123, 40), phrase, rng.integers(97, 123, 40)]) for _ in range(2000)]).astype(np.uint8)
+    out = S.Sender(1)
+    out.add(np.arange(2000), data, np.arange(2001) * (80 + len(phrase)))
+    here, kinds = S.Held(1, 100_000), []
+    for kind, _, blob in list(out.flush()):
+        if kind == 0:
+            kinds += [k for k, _, _ in here.add(S.unpack(blob, *S.SEGMENTS))]
+    assert 3 in kinds and here.size <= 100_000 and len(here.hot) > 0
+
+
 def test_nulls_repeats_and_empty_tables(spark, frame):
     t = "a passage that is surely longer than fifty bytes, so it counts as a repeat"
     got = S.deduplicate(frame([(1, t), (1, t), (2, t), (None, t), (3, None)]), texts=False).collect()
