@@ -52,7 +52,7 @@ GRAMS = LENGTH - GRAM + 1  # grams of a string
 #: Text that a task gathers before it sends; input on disk for each bucket.
 FLUSH_BYTES, BUCKET_BYTES = 16_000_000, 2_000_000
 #: Buckets of a shuffle partition, and partitions of a shuffle: then partitions hold more buckets.
-BUCKETS_A_TASK, MAX_TASKS = 8, 200_000
+BUCKETS_A_TASK, MAX_TASKS = 2, 200_000
 #: A larger estimate is none; numbers of finer buckets must be integers of four bytes.
 UNKNOWN_BYTES, MAX_BUCKETS = 1 << 50, 1 << 27
 #: Bytes of segments that a bucket holds; buckets of single strings for each bucket.
@@ -66,7 +66,7 @@ NULL_ID = np.iinfo(np.int64).min
 def pack(*arrays: np.ndarray) -> bytes:
     head = np.array([len(arrays), *(a.nbytes for a in arrays)], np.int64).tobytes()
     raw = head + b"".join(np.ascontiguousarray(a).tobytes() for a in arrays)
-    return raw if len(raw) < SMALL_BLOB else zstandard.ZstdCompressor(level=3).compress(raw)
+    return raw if len(raw) < SMALL_BLOB else zstandard.ZstdCompressor(level=6).compress(raw)
 
 
 def unpack(blob: bytes, *types) -> list[np.ndarray]:
