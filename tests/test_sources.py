@@ -51,3 +51,29 @@ def test_graphs_are_simple(spark, sf, name):
     e = graphs.GRAPHS[name](spark, sf).toPandas()
     assert len(e) and (e.src < e.dst).all() and not e.duplicated().any()
     assert e.src.dtype == np.int64
+
+
+@pytest.mark.parametrize("dims", [3, 16])
+def test_nearest_in_bounded_slices_with_copies(monkeypatch, dims):
+    rng = np.random.default_rng(dims)
+    base = np.concatenate([rng.normal(size=(40, dims)), rng.integers(-1, 2, (60, dims)) + 0.5]).astype(np.float32)
+    x = np.concatenate([base, base[:30], np.repeat(base[:1], 50, 0), 2 * base[5:9]])
+    ids = rng.permutation(len(x)) * 3
+    monkeypatch.setattr(graphs, "SIMILARITIES", 500)
+    monkeypatch.setattr(graphs, "PRODUCTS", 100)
+    near = graphs.Nearest(ids, x, 8)
+    near.prepare()
+    held = []
+    partition = np.partition
+    monkeypatch.setattr(np, "partition", lambda s, *a, **k: held.append(s.size) or partition(s, *a, **k))
+    got = {(int(a), int(b)) for some in near.pairs(ids) for a, b in zip(some[0], some[1], strict=True)}
+    assert max(held) <= 500
+    own = x.astype(float)
+    norm = [sum(float(v) * float(v) for v in r) for r in own]
+    want = set()
+    for i in range(len(x)):
+        dot = np.add.accumulate(own[i] * own, axis=1)[:, -1]
+        cosine = np.clip(dot / np.sqrt(np.array(norm[i]) * np.array(norm)), -1, 1)
+        others = sorted((j for j in range(len(x)) if j != i), key=lambda j: (-cosine[j], ids[j]))
+        want |= {(int(ids[i]), int(ids[j])) for j in others[:8]}
+    assert got == want
