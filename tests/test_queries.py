@@ -48,3 +48,11 @@ def test_ablation_and_sweep(spark, sf):
     assert {r["method"] for r in rows} == {"full", "plus", "star", "naive"} and all(r["over_memory"] == 0 for r in rows)
     tc = {r["method"]: r["tc"] for r in rows}
     assert tc["full"] <= tc["plus"]
+
+
+def test_win_range_rounds_as_its_sql(spark, tmp_path):
+    rows = [(k, 1, p) for k, p in enumerate([0.5, 1.5, 2.5, 50000.5, 50001.5, 50001.4, 50002.5, 50002.6, -0.5, -1.5, -49999.5])]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_totalprice double").toPandas().to_parquet(tmp_path / "orders.parquet")
+    con = duckdb.connect()
+    con.sql(f"create view orders as select * from '{tmp_path}/orders.parquet'")
+    assert {tuple(r) for r in registry.QUERIES["win_range"](spark, str(tmp_path)).collect()} == set(con.sql(registry.SQL["win_range"]).fetchall())
