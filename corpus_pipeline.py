@@ -6,13 +6,14 @@ All but the last return the columns of documents; the last returns token ids.
 
 from __future__ import annotations
 
+import functools
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hetpart.llm import bpe, decontaminate, near_dup, pii, toxicity
-from hetpart.llm.common import boxed, picked, position, shared_folder, table, unboxed
+from hetpart.llm.common import at_rest, boxed, picked, position, shared_folder, table, unboxed
 
 #: SQL can't express the trained and sampled stages; tests/llm holds each against brute force.
 ORACLE_SQL = None
@@ -54,12 +55,23 @@ def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return bpe.encode(docs, ids=True, digests=True).drop("decoded")
 
 
+def _rested(stage):
+    """A stage that begins with the driver's memory free of the stages before it."""
+
+    @functools.wraps(stage)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        at_rest(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run_stage
+
+
 STAGES = [
-    ("toxicity", toxic_out),
-    ("near_duplicates", near_copies_out),
-    ("decontamination", benchmark_out),
-    ("personal_data", personal_data_masked),
-    ("bpe", encoded),
+    ("toxicity", _rested(toxic_out)),
+    ("near_duplicates", _rested(near_copies_out)),
+    ("decontamination", _rested(benchmark_out)),
+    ("personal_data", _rested(personal_data_masked)),
+    ("bpe", _rested(encoded)),
 ]
 
 

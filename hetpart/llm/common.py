@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -23,6 +24,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def at_rest(spark: SparkSession) -> None:
+    """Returns to the system what the driver's Python and JVM hold of finished work: their
+    memory counts together, and neither gives any back by itself."""
+    from .textbuf import give_back
+
+    gc.collect()
+    give_back()
+    spark.sparkContext._jvm.System.gc()
+
+
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
     """Uses the cluster's shared folder; one of this machine only where Spark runs on it alone."""
     sc = spark.sparkContext

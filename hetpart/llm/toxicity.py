@@ -24,6 +24,7 @@ document the greatest counts; extra columns are kept where asked for.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -33,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import fold, picked, schema_of, table
-from .textbuf import LOWER, WORD, prefix_sums, run_hashes, text_slices, words
+from .textbuf import LOWER, WORD, give_back, prefix_sums, run_hashes, text_slices, words
 
 SAMPLE, FEATURES, FOLDS, BITS = 2500, 1024, 4, 18
 HEADS = (4, 6, 8)
@@ -195,33 +196,40 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
             off = pa.array(np.searchsorted(doc, np.arange(len(n) + 1)).astype(np.int32))
             yield pa.RecordBatch.from_arrays([column(part, "_k").cast(pa.string()), column(part, "_y"), column(part, "_f"), pa.array(n), pa.ListArray.from_arrays(off, pa.array(col.astype(np.int32))), pa.ListArray.from_arrays(off, pa.array(times.astype(np.int32)))], names=["k", "y", "f", "n", "cols", "times"])
 
-    got = rows.mapInArrow(rows_of, "k string, y int, f int, n bigint, cols array<int>, times array<int>").toPandas()
-    got = got.sort_values(["k", "n"], kind="stable").reset_index(drop=True)
-    # a text without any feature is no toxic one: rows of zeros say so, with a small weight
-    blank = 2 * FOLDS
-    size = len(got) + blank
-    row = np.repeat(np.arange(len(got)), [len(c) for c in got.cols])
-    col = np.concatenate([*got.cols, np.zeros(0, np.int32)]).astype(np.int64)
-    times = np.concatenate([*got.times, np.zeros(0, np.int32)]).astype(np.float64)
-    toxic = np.append(got.y.to_numpy(np.float32), np.zeros(blank, np.float32))
-    n_words = np.append(got.n.to_numpy(), np.zeros(blank, np.int64))
-    part = np.append(got.f.to_numpy(), np.arange(blank) % FOLDS)
-    w = np.where(toxic > 0, share.get(1, 0) / max(1, (toxic > 0).sum()), share.get(0, 0) / max(1, len(got) - (toxic > 0).sum())).astype(np.float32)
-    w[len(got) :] = 0.02 * w[: len(got)].sum() / blank
-
-    def view(k: int | None) -> tuple[np.ndarray, np.ndarray]:
-        features, lead = picks[k]
-        place = np.full(len(union), -1, np.int64)
-        place[of[features]] = np.arange(len(features))
-        here = np.flatnonzero(place[col] >= 0)
-        x = np.zeros((size, FEATURES), np.float32)
-        x[row[here], place[col[here]]] = 1
-        led = np.zeros(len(union), np.bool_)
-        led[of[features[lead]]] = True
-        leads = np.bincount(row[led[col]], times[led[col]], size)
-        return x, np.stack([toxic * (leads * 100 >= np.maximum(n_words, 1)), toxic * (leads >= 3), toxic], 1).astype(np.float32)
-
-    weights, threshold = fit_chain(view, w, part, toxic)
+    def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = pa.Table.from_batches(batches).to_pandas()
+        got = got.sort_values(["k", "n"], kind="stable").reset_index(drop=True)
+        # a text without any feature is no toxic one: rows of zeros say so, with a small weight
+        blank = 2 * FOLDS
+        size = len(got) + blank
+        row = np.repeat(np.arange(len(got)), [len(c) for c in got.cols])
+        col = np.concatenate([*got.cols, np.zeros(0, np.int32)]).astype(np.int64)
+        times = np.concatenate([*got.times, np.zeros(0, np.int32)]).astype(np.float64)
+        toxic = np.append(got.y.to_numpy(np.float32), np.zeros(blank, np.float32))
+        n_words = np.append(got.n.to_numpy(), np.zeros(blank, np.int64))
+        part = np.append(got.f.to_numpy(), np.arange(blank) % FOLDS)
+        w = np.where(toxic > 0, share.get(1, 0) / max(1, (toxic > 0).sum()), share.get(0, 0) / max(1, len(got) - (toxic > 0).sum())).astype(np.float32)
+        w[len(got) :] = 0.02 * w[: len(got)].sum() / blank
+
+        def view(k: int | None) -> tuple[np.ndarray, np.ndarray]:
+            features, lead = picks[k]
+            place = np.full(len(union), -1, np.int64)
+            place[of[features]] = np.arange(len(features))
+            here = np.flatnonzero(place[col] >= 0)
+            x = np.zeros((size, FEATURES), np.float32)
+            x[row[here], place[col[here]]] = 1
+            led = np.zeros(len(union), np.bool_)
+            led[of[features[lead]]] = True
+            leads = np.bincount(row[led[col]], times[led[col]], size)
+            return x, np.stack([toxic * (leads * 100 >= np.maximum(n_words, 1)), toxic * (leads >= 3), toxic], 1).astype(np.float32)
+
+        model = pickle.dumps(fit_chain(view, w, part, toxic))
+        give_back()
+        yield pa.RecordBatch.from_arrays([pa.array([model], pa.binary())], names=["model"])
+
+    # the driver keeps what learning takes out of its memory: one task learns, from 2 * each rows at most
+    features = rows.mapInArrow(rows_of, "k string, y int, f int, n bigint, cols array<int>, times array<int>")
+    weights, threshold = pickle.loads(features.repartition(1).mapInArrow(fit, "model binary").first()["model"])
     lut = np.full(width, -1, np.int16)
     lut[picks[None][0]] = np.arange(len(picks[None][0]))
     return Chain(lut, weights, CATEGORIES, threshold)

@@ -48,3 +48,19 @@ def test_run_over_the_small_tables(spark):
     left = {r["doc_id"] for r in rows}
     toxic = [i for i, t in labels.items() if t == 1]
     assert sum(i in left for i in toxic) <= 0.1 * len(toxic)
+
+
+def test_driver_does_not_learn_and_rests_between_stages(spark, sf, monkeypatch):
+    from hetpart.llm import toxicity
+
+    def on_driver(*_):
+        raise AssertionError("the driver learns")
+
+    monkeypatch.setattr(toxicity, "logistic", on_driver)  # tasks import their own
+    rested = []
+    monkeypatch.setattr(corpus_pipeline, "at_rest", lambda s: rested.append(s))
+    docs = table(spark, SF, "documents")
+    dict(corpus_pipeline.STAGES)["toxicity"](spark, docs, SF).count()
+    for _, stage in corpus_pipeline.STAGES[2:]:
+        stage(spark, docs, SF)
+    assert len(rested) == 4
