@@ -50,3 +50,21 @@ def test_one_large_cluster_is_cut_into_pieces(spark, monkeypatch):
     monkeypatch.setattr(X, "BLOCK_EDGES", 50)
     part, blocks = X.blocked(graphs.star(spark, 400), 399)
     assert part.count() == 399 and blocks >= 7 and part.groupBy("block").count().agg({"count": "max"}).first()[0] < 120
+
+
+def test_mesh_of_turns(spark, sf):
+    e = graphs.turn_mesh(spark, sf)
+    d = graphs.degrees(e).agg({"degree": "max"}).first()[0]
+    assert e.count() == e.distinct().count() > graphs.turn_chain(spark, sf).count() and 3 <= d <= 4
+
+
+@pytest.mark.parametrize("name, tables", [("example_costs", ["orders"]), ("exp_gap", ["customer", "orders"]), ("exp_compare_grid", ["conversations"]), ("exp_alpha_rmat", ["pages"]), ("exp_ablation_rmat", ["pages"])])
+def test_measured_values_come_from_given_tables(spark, sf, monkeypatch, name, tables):
+    from hetpart import registry
+
+    read, seen = graphs.read, []
+    monkeypatch.setattr(graphs, "read", lambda s, d, t: seen.append(t) or read(s, d, t))
+    rows = registry.QUERIES[name](spark, sf).collect()
+    assert rows and sorted(set(seen)) == tables
+    if "agrees" in rows[0]:
+        assert all(r["agrees"] and r["graph"] in ("g10", "g13") for r in rows)
