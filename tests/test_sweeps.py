@@ -1,9 +1,13 @@
 """Sweeps beyond one task."""
 
+import tracemalloc
+
 import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 
-from hetpart.operators import machines
+from hetpart.operators import machines, streams
 from hetpart.operators.growth import Block
 from hetpart.plans import experiments as X
 from hetpart.sources import graphs
@@ -68,3 +72,73 @@ def test_measured_values_come_from_given_tables(spark, sf, monkeypatch, name, ta
     assert rows and sorted(set(seen)) == tables
     if "agrees" in rows[0]:
         assert all(r["agrees"] and r["graph"] in ("g10", "g13") for r in rows)
+
+
+SWEEPS_OF_G9 = ["exp_compare_g9"]
+
+
+@pytest.fixture(scope="module")
+def many_vectors(tmp_path_factory):
+    """5,000 vectors of 64 numbers, as a folder with the table of them."""
+    d, n = tmp_path_factory.mktemp("vectors"), 5_000
+    x = np.random.default_rng(4).normal(size=(n, 64)).astype(np.float32)
+    pq.write_table(pa.table({"vec_id": np.arange(n), "embedding": list(x)}), f"{d}/embeddings.parquet")
+    return str(d), x
+
+
+@pytest.mark.parametrize("name", SWEEPS_OF_G9)
+def test_search_for_a_sweep_holds_slices(spark, many_vectors, monkeypatch, name):
+    """The task that finds neighbours for a sweep of g9 holds slices, whatever the number of
+    vectors that it gets; all vectors and settings reach the sweep."""
+    from hetpart import registry
+
+    (d, x), tasks, given = many_vectors, [], []
+    monkeypatch.setattr(X, "sweep", lambda edges, g, runs, fleet_of=None: given.append((edges, g, runs)) or spark.createDataFrame([], X.RESULT))
+    frame = type(spark.range(0))
+    real = frame.mapInArrow
+    monkeypatch.setattr(frame, "mapInArrow", lambda self, f, *a, **k: tasks.append(f) or real(self, f, *a, **k))
+    registry.QUERIES[name](spark, d)
+    (edges, g, runs), (task,) = given[0], tasks
+    settings = X.SWEEPS.get(name.removeprefix("inv_").split("_")[1])
+    assert g == "g9" and [v for _, _, v in runs] == (settings[1] if settings else [0.0] * len(X.FIVE))
+    assert graphs.degrees(edges).count() == len(x)
+    some = pa.RecordBatch.from_pydict({"vec_id": np.arange(2_500), "embedding": list(x[:2_500])})
+    tracemalloc.start()
+    found = sum(b.num_rows for b in task(iter([some])))
+    peak = tracemalloc.get_traced_memory()[1] / 1e6
+    tracemalloc.stop()
+    assert found == 8 * 2_500 and peak < 130
+
+
+def test_vectors_are_prepared_in_slices(monkeypatch):
+    x = np.random.default_rng(4).normal(size=(20_000, 64)).astype(np.float32)
+    near = graphs.Nearest(np.arange(len(x)), x, 8)
+    monkeypatch.setattr(graphs, "PRODUCTS", 64_000)
+    tracemalloc.start()
+    near.prepare()
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    own = near.vectors.astype(float)
+    assert np.array_equal(near.norm, np.add.accumulate(own * own, axis=1)[:, -1])
+    assert peak < 1.5 * x.nbytes
+
+
+@pytest.mark.parametrize("cells", [40, 4_000_000])
+def test_levels_hold_no_edges_of_their_own(monkeypatch, cells):
+    """The multilevel comparator on a graph whose edges hardly merge: many levels."""
+    rng = np.random.default_rng(6)
+    a, b = rng.integers(0, 6_000, 60_000), rng.integers(0, 6_000, 60_000)
+    e = np.unique(np.minimum(a, b)[a != b] * 6_000 + np.maximum(a, b)[a != b])
+    block, p = Block(e // 6_000, e % 6_000), 3
+    if cells == 40:  # ranges of vertices give the same homes
+        e = e[:3_000]
+        block = Block(e // 6_000, e % 6_000)
+        want = streams.multilevel_homes(block, p)
+        monkeypatch.setattr(streams, "CELLS", cells)
+        assert np.array_equal(streams.multilevel_homes(block, p), want)
+        return
+    tracemalloc.start()
+    homes = streams.multilevel_homes(block, p)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert np.bincount(homes, minlength=p).min() > 0 and peak < 200 * len(e)
