@@ -74,7 +74,7 @@ def test_measured_values_come_from_given_tables(spark, sf, monkeypatch, name, ta
         assert all(r["agrees"] and r["graph"] in ("g10", "g13") for r in rows)
 
 
-SWEEPS_OF_G9 = ["exp_compare_g9", "inv_exp_compare_g9", "inv_exp_nine_g9", "exp_beta_g9", "inv_exp_beta_g9", "inv_exp_alpha_g9", "exp_gamma_g9", "inv_exp_gamma_g9", "exp_t0_g9", "inv_exp_t0_g9", "exp_theta_g9", "inv_exp_theta_g9"]
+SWEEPS_OF_G9 = ["exp_compare_g9", "inv_exp_compare_g9", "inv_exp_nine_g9", "exp_beta_g9", "inv_exp_beta_g9", "inv_exp_alpha_g9", "exp_gamma_g9", "inv_exp_gamma_g9", "exp_t0_g9", "inv_exp_t0_g9", "exp_theta_g9", "inv_exp_theta_g9", "exp_n0_g9"]
 
 
 @pytest.fixture(scope="module")
