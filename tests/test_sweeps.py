@@ -110,6 +110,25 @@ def test_search_for_a_sweep_holds_slices(spark, many_vectors, monkeypatch, name)
     assert found == 8 * 2_500 and peak < 130
 
 
+def test_search_among_near_copies_holds_slices():
+    """Vectors that single precision hardly tells apart are all compared again, in slices."""
+    rng = np.random.default_rng(7)
+    x = (rng.normal(size=8) + 1e-6 * rng.normal(size=(4_000, 8))).astype(np.float32)
+    near = graphs.Nearest(np.arange(len(x)), x, 8)
+    near.prepare()
+    tracemalloc.start()
+    got = [np.concatenate(y) for y in zip(*near.pairs(np.arange(2_000)), strict=True)]
+    peak = tracemalloc.get_traced_memory()[1] / 1e6
+    tracemalloc.stop()
+    own = x.astype(float)
+    norm = np.add.accumulate(own * own, axis=1)[:, -1]
+    for me in range(0, 2_000, 97):
+        w = np.clip(np.add.accumulate(own[me] * own, axis=1)[:, -1] / np.sqrt(norm[me] * norm), -1, 1)
+        want = [v for v in np.lexsort((np.arange(len(x)), -w)) if v != me][:8]
+        assert got[1][got[0] == me].tolist() == want
+    assert len(got[0]) == 8 * 2_000 and peak < 200
+
+
 def test_vectors_are_prepared_in_slices(monkeypatch):
     x = np.random.default_rng(4).normal(size=(20_000, 64)).astype(np.float32)
     near = graphs.Nearest(np.arange(len(x)), x, 8)
