@@ -161,3 +161,75 @@ def test_levels_hold_no_edges_of_their_own(monkeypatch, cells):
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert np.bincount(homes, minlength=p).min() > 0 and peak < 200 * len(e)
+
+
+def test_compare_grid_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
+    """The same method on the whole graph, whatever the bounds on edges side by side and of a block."""
+    same_by_any_bounds(spark, sf, monkeypatch, "exp_compare_grid")
+
+
+def same_by_any_bounds(spark, sf, monkeypatch, name):
+    from hetpart import registry
+
+    def values():
+        r = registry.QUERIES[name](spark, sf)
+        rows = sorted(tuple(x) for x in r.drop("seconds", "edges_per_second", "blocks").collect())
+        return rows, {x["blocks"] for x in r.collect()} if "blocks" in r.columns else set()
+
+    want, one = values()
+    monkeypatch.setattr(X, "SWEEP_EDGES", 1)
+    monkeypatch.setattr(X, "BLOCK_EDGES", 40)
+    got, many = values()
+    assert want and got == want and one <= {1} and (not many or min(many) > 1)
+
+
+@pytest.mark.parametrize("ordered", [True, False])
+def test_block_has_all_neighbours_in_order(monkeypatch, ordered):
+    """Adjacency made in slices, of edges and of arcs that point both ways; a hub of 300."""
+    from hetpart.operators import growth
+    from hetpart.operators.refine import State
+
+    monkeypatch.setattr(growth, "SLICE", 7)
+    e = np.unique(np.random.default_rng(3).integers(0, 400, (900, 2)), axis=0)
+    e = e[e[:, 0] < e[:, 1]] if ordered else e[e[:, 0] != e[:, 1]]
+    e = np.unique(np.concatenate([e, [[0, v] for v in range(1, 301)]]), axis=0) * 16 + 5
+    shuffled = np.random.default_rng(4).permutation(e)
+    ends = [shuffled[:, 0], shuffled[:, 1]]
+    block = Block.taking(ends) if ordered else Block(*ends)
+    assert not ends if ordered else len(ends) == 2
+    assert np.array_equal(np.stack([block.src, block.dst], 1), e)
+    a, b = np.searchsorted(block.ids, e[:, 0]), np.searchsorted(block.ids, e[:, 1])
+    for v in range(len(block.ids)):
+        want = sorted([(int(b[k]), int(k)) for k in np.flatnonzero(a == v)] + [(int(a[k]), int(k)) for k in np.flatnonzero(b == v)])
+        lo, hi = block.ptr[v], block.ptr[v + 1]
+        assert sorted(zip(block.nbr[lo:hi].tolist(), block.eid[lo:hi].tolist(), strict=True)) == want and np.all(np.diff(block.nbr[lo:hi]) >= 0)
+    s = State(block, machines.homogeneous(len(e), 2), np.zeros(len(e), np.int32), np.zeros(len(e), np.int64))
+    assert s.count[0].tolist() == np.diff(block.ptr).tolist() and s.count.max() >= 300
+
+
+def test_seeds_come_as_from_one_heap():
+    """Keys that fell since stay as they were till they come up, as in one heap of all vertices."""
+    from hetpart.operators.growth import Seeds
+
+    rng = np.random.default_rng(5)
+    e = np.unique(np.sort(rng.integers(0, 60, (200, 2)), axis=1), axis=0)
+    for policy in ("low_degree", "max_degree", "random"):
+        block = Block(*e[e[:, 0] < e[:, 1]].T)
+        n, sign = len(block.ids), -1 if policy == "max_degree" else 1
+        rank, seeds = np.random.default_rng(2).permutation(n), Seeds(block, policy, 2)
+        heap = [(int(rank[v]) if policy == "random" else sign * int(block.degree[v]), v) for v in range(n)]
+        for _ in range(300):
+            done, aside, want = rng.random(n) < 0.5, [], None
+            while heap and want is None:
+                x = min(heap)
+                heap.remove(x)
+                key, v = x
+                d = int(block.degree[v])
+                if d and policy != "random" and key != sign * d:
+                    heap.append((sign * d, v))
+                elif d:
+                    aside.append(x)
+                    want = None if done[v] else v
+            heap += aside
+            assert seeds.next(done) == want
+            block.degree[rng.integers(n)] //= 2
