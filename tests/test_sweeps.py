@@ -168,6 +168,11 @@ def test_compare_grid_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
     same_by_any_bounds(spark, sf, monkeypatch, "exp_compare_grid")
 
 
+def test_gains_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
+    """Gains are of the method itself, not of blocks."""
+    same_by_any_bounds(spark, sf, monkeypatch, "exp_gains")
+
+
 def same_by_any_bounds(spark, sf, monkeypatch, name):
     from hetpart import registry
 
