@@ -173,6 +173,10 @@ def test_gains_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
     same_by_any_bounds(spark, sf, monkeypatch, "exp_gains")
 
 
+def test_gamma_g1_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
+    same_by_any_bounds(spark, sf, monkeypatch, "exp_gamma_g1")
+
+
 def same_by_any_bounds(spark, sf, monkeypatch, name):
     from hetpart import registry
 
