@@ -177,6 +177,10 @@ def test_gamma_g1_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
     same_by_any_bounds(spark, sf, monkeypatch, "exp_gamma_g1")
 
 
+def test_hetero_rmat_doesnt_depend_on_size_bounds(spark, sf, monkeypatch):
+    same_by_any_bounds(spark, sf, monkeypatch, "exp_hetero_rmat")
+
+
 def same_by_any_bounds(spark, sf, monkeypatch, name):
     from hetpart import registry
 
